@@ -1,9 +1,11 @@
-"""Token ids of a public tokenizer, with a bounded memo of space-led chunks.
+"""Token ids of a public tokenizer, with bounded memos of chunks and of words.
 
 A byte-level pre-tokenizer never joins what stands before a space with a space that a non-space character follows.
-So a text is cut there, each distinct chunk is encoded by the library once a task, and a text's ids are its chunks'
-ids in a row. Texts that hold the string of an added token are given to the library whole, as are all texts of
-tokenizers of another kind.
+So a text is cut there into chunks, and a text's ids are its chunks' ids in a row. A chunk not in the memo is split by
+the pre-tokenizer's pattern (letters, and letters before one stop, need no pattern); words not in the memo
+go to the library's merge model, in its byte-level alphabet. Texts that hold the string of an added token are given to
+the full tokenizer, as are all texts of tokenizers of another kind; the first texts of each process are encoded both
+ways and compared.
 """
 
 from __future__ import annotations
@@ -11,11 +13,15 @@ from __future__ import annotations
 import json
 import re
 import sys
+from array import array
+from itertools import filterfalse
 
 import numpy as np
 
 _SPACES = re.compile(r" (?:\s|$)")
 _CUT = re.compile(r" (?=\S)")
+#: Fixed value: the pre-tokenizer pattern of byte-level tokenizers.
+WORD_PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
 
 
 def public_vocabulary(name: str) -> str:
@@ -25,6 +31,13 @@ def public_vocabulary(name: str) -> str:
     return public_tokenizers.path(name)
 
 
+def byte_letters() -> dict[int, int]:
+    """The byte-level alphabet: printable bytes stand for themselves, the others for code points from 256 on."""
+    shown = {*range(33, 127), *range(161, 173), *range(174, 256)}
+    hidden = [b for b in range(256) if b not in shown]
+    return {b: 256 + k for k, b in enumerate(hidden)}
+
+
 def encoder(vocabulary: str) -> Encoder:
     """This process's encoder of a vocabulary: a worker keeps its memo from task to task."""
     kept = sys.__dict__.setdefault("_ruleworld_encoders", {})
@@ -36,10 +49,11 @@ def encoder(vocabulary: str) -> Encoder:
 class Encoder:
     """Encodes texts to little-endian unsigned 32-bit ids, as bytes."""
 
-    def __init__(self, vocabulary: str, memo: int = 400_000, longest: int = 64):
+    def __init__(self, vocabulary: str, memo: int = 1_000_000, longest: int = 64, probes: int = 4):
         import os
 
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")  # one task, one core
+        import regex
         from tokenizers import Tokenizer
 
         path = public_vocabulary(vocabulary) if "/" not in vocabulary else vocabulary
@@ -47,51 +61,86 @@ class Encoder:
         with open(path, encoding="utf-8") as f:
             told = json.load(f)
         kind = told.get("pre_tokenizer") or {}
-        self.chunked = kind.get("type") == "ByteLevel" and not kind.get("add_prefix_space") and kind.get("use_regex", True) and not told.get("normalizer")
+        self.chunked = kind.get("type") == "ByteLevel" and not kind.get("add_prefix_space") and kind.get("use_regex", True) and not told.get("normalizer") and told["model"]["type"] == "BPE"
         self.added = [t["content"] for t in told.get("added_tokens", [])]
         self.size = self.tokenizer.get_vocab_size()
-        self.limit, self.longest = memo, longest
-        self.memo: tuple[dict[str, bytes], dict[str, bytes]] = ({}, {})  # chunks without, and with, a space before them
+        self.limit, self.longest, self.probes = memo, longest, probes
+        self.spaced: dict[str, bytes] = {"": b""}  # chunks and words that a space leads, without it
+        self.plain: dict[str, bytes] = {"": b""}  # others
+        self.find = regex.compile(WORD_PATTERN).findall
+        self.letters = byte_letters()
 
     def whole(self, texts: list[str]) -> list[bytes]:
         return [np.array(e.ids, "<u4").tobytes() for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
 
-    def _joined(self, chunks: list[str]) -> list[bytes]:
-        """Ids of chunks that a space leads, encoded as one text and cut at the tokens' offsets."""
-        done = self.tokenizer.encode(" " + " ".join(chunks), add_special_tokens=False)
-        begins = np.cumsum([0] + [len(c) + 1 for c in chunks[:-1]])
-        cuts = (4 * np.searchsorted(np.array(done.offsets)[:, 0], begins)).tolist() + [4 * len(done.ids)]
-        ids = np.array(done.ids, "<u4").tobytes()
-        return [ids[a:b] for a, b in zip(cuts[:-1], cuts[1:], strict=True)]
-
-    def _learn(self, chunks: set[str], spaced: int) -> list[str]:
-        """Encode new chunks; returns those too long to stay."""
-        memo = self.memo[spaced]
-        fresh = [c for c in chunks if c not in memo]
-        if spaced:
-            for k in range(0, len(fresh), 1000):
-                part = fresh[k : k + 1000]
-                memo.update(zip(part, self._joined(part), strict=True))
-        else:
-            memo.update(zip(fresh, self.whole(fresh), strict=True))
-        return [c for c in fresh if len(c) > self.longest]
+    def _merge(self, words: list[str]) -> list[bytes]:
+        """Ids of words by the library's merge model."""
+        tokenize, letters = self.tokenizer.model.tokenize, self.letters
+        shown = (w.encode("utf-8").decode("latin-1").translate(letters) for w in words)
+        return [array("I", [t.id for t in tokenize(w)]).tobytes() for w in shown]
+
+    def _learn(self, spaced: set[str], plain: set[str]) -> list[tuple[dict, str]]:
+        """Put new chunks into the memos; returns those too long to stay."""
+        parts = []
+        words, led = set(), set()
+        for memo, fresh, lead in ((self.spaced, spaced, True), (self.plain, plain, False)):
+            for c in fresh:
+                if c.isalpha():
+                    (led if lead else words).add(c)
+                    continue
+                if lead and c[-1] in ".,;:!?" and c[:-1].isalpha():
+                    rest, first = c[-1], c[:-1]
+                else:
+                    rest, first = self.find(" " + c if lead else c), None
+                    if lead and len(rest[0]) > 1:
+                        first, rest = rest[0][1:], rest[1:]
+                parts.append((memo, c, first, rest))
+                words.update(rest)
+                if first is not None:
+                    led.add(first)
+        done = []
+        for memo, names, lead in ((self.spaced, led, " "), (self.plain, words, "")):
+            new = list(filterfalse(memo.__contains__, names))
+            memo.update(zip(new, self._merge([lead + w for w in new] if lead else new), strict=True))
+            done += [(memo, w) for w in new if len(w) > self.longest]
+        get, first_of = self.plain.__getitem__, self.spaced
+        for memo, c, first, rest in parts:
+            memo[c] = (first_of[first] if first is not None else b"") + b"".join(map(get, rest))
+            if len(c) > self.longest:
+                done.append((memo, c))
+        return done
 
     def encode(self, texts: list[str]) -> list[bytes]:
         if not self.chunked:
             return self.whole(texts)
-        cut: list[list[str] | None] = [None if any(a in t for a in self.added) else (_CUT.split(t) if _SPACES.search(t) else t.split(" ")) for t in texts]
-        heads, tails = {c[0] for c in cut if c}, set()
+        plain = [k for k, t in enumerate(texts) if not any(a in t for a in self.added)]
+        cut = [_CUT.split(t) if _SPACES.search(t) else t.split(" ") for t in map(texts.__getitem__, plain)]
+        if len(self.spaced) > self.limit:
+            self.spaced = {"": b""}
+        if len(self.plain) > self.limit // 4:
+            self.plain = {"": b""}
+        heads, seen, has = [], set(), self.spaced.__contains__
         for c in cut:
-            if c:
-                tails.update(c[1:])
-        if sum(map(len, self.memo)) > self.limit:
-            self.memo = ({}, {})
-        gone = self._learn(heads, 0), self._learn(tails, 1)
-        first, rest = self.memo[0], self.memo[1].__getitem__
-        out = [self.whole([t])[0] if c is None else first[c[0]] + b"".join(map(rest, c[1:])) for t, c in zip(texts, cut, strict=True)]
-        for memo, long in zip(self.memo, gone, strict=True):
-            for c in long:
-                del memo[c]
+            heads.append(c[0])
+            c[0] = ""
+            seen.update(filterfalse(has, c))
+        long = self._learn(seen, set(filterfalse(self.plain.__contains__, heads)))
+        out: list[bytes] = [b""] * len(texts)
+        get, first = self.spaced.__getitem__, self.plain
+        for k, head, c in zip(plain, heads, cut, strict=True):
+            out[k] = first[head] + b"".join(map(get, c))
+        for memo, c in long:
+            memo.pop(c, None)
+        if len(plain) < len(texts):
+            rest = sorted(set(range(len(texts))).difference(plain))
+            for k, ids in zip(rest, self.whole([texts[k] for k in rest]), strict=True):
+                out[k] = ids
+        if self.probes and texts:
+            n = min(self.probes, len(texts))
+            self.probes -= n
+            if self.whole(texts[:n]) != out[:n]:
+                self.chunked = False
+                return self.whole(texts)
         return out
 
     def stream(self, texts, at_once: int = 256, chars: int = 2_000_000):
