@@ -10,6 +10,7 @@ ways and compared.
 
 from __future__ import annotations
 
+import gc
 import json
 import re
 import sys
@@ -113,6 +114,15 @@ class Encoder:
     def encode(self, texts: list[str]) -> list[bytes]:
         if not self.chunked:
             return self.whole(texts)
+        collecting = gc.isenabled()
+        gc.disable()  # nothing here is cyclic, and the many short lists would set the collector off again and again
+        try:
+            return self._encode(texts)
+        finally:
+            if collecting:
+                gc.enable()
+
+    def _encode(self, texts: list[str]) -> list[bytes]:
         plain = [k for k, t in enumerate(texts) if not any(a in t for a in self.added)]
         cut = [_CUT.split(t) if _SPACES.search(t) else t.split(" ") for t in map(texts.__getitem__, plain)]
         if len(self.spaced) > self.limit:
