@@ -114,15 +114,6 @@ class Encoder:
     def encode(self, texts: list[str]) -> list[bytes]:
         if not self.chunked:
             return self.whole(texts)
-        collecting = gc.isenabled()
-        gc.disable()  # nothing here is cyclic, and the many short lists would set the collector off again and again
-        try:
-            return self._encode(texts)
-        finally:
-            if collecting:
-                gc.enable()
-
-    def _encode(self, texts: list[str]) -> list[bytes]:
         plain = [k for k, t in enumerate(texts) if not any(a in t for a in self.added)]
         cut = [_CUT.split(t) if _SPACES.search(t) else t.split(" ") for t in map(texts.__getitem__, plain)]
         if len(self.spaced) > self.limit:
@@ -153,14 +144,19 @@ class Encoder:
                 return self.whole(texts)
         return out
 
-    def stream(self, texts, at_once: int = 256, chars: int = 2_000_000):
+    def stream(self, texts, at_once: int = 32, chars: int = 1_000_000):
         """Ids of each text of an iterable, in order, encoding bounded batches; null is the empty text."""
         part: list[str] = []
-        size = 0
-        for t in texts:
-            part.append(t or "")
-            size += len(part[-1])
-            if len(part) == at_once or size > chars:
-                yield from self.encode(part)
-                part, size = [], 0
-        yield from self.encode(part) if part else ()
+        size, collecting = 0, gc.isenabled()
+        gc.disable()  # nothing here is cyclic, and the many short lists would set the collector off again and again
+        try:
+            for t in texts:
+                part.append(t or "")
+                size += len(part[-1])
+                if len(part) == at_once or size > chars:
+                    yield from self.encode(part)
+                    part, size = [], 0
+            yield from self.encode(part) if part else ()
+        finally:
+            if collecting:
+                gc.enable()
