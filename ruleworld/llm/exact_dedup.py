@@ -4,7 +4,7 @@ Tasks fill bounded memtables of SHA-256 digests and flush them as sorted runs; r
 compacted, so that a digest ends with one entry (the row that stays, the number of rows). Hot digests shrink to
 one entry a memtable before anything is shuffled. Digests with several rows are hits: their texts are compared
 byte by byte, by grouping on the text itself, which collapses equal copies within a task before the shuffle. A
-fixed-size filter of hit digests keeps the texts of all other rows out of that shuffle. Should a digest ever hold
+bitmap of bounded size of the hit digests keeps the texts of all other rows out of that shuffle. Should a digest ever hold
 different texts, its rows are grouped by text instead.
 
 Edge cases: a null text counts as the empty text; a null id is below every other id, and stays only if its group
@@ -19,9 +19,10 @@ from bisect import bisect_left
 from collections.abc import Iterator
 
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ruleworld.llm.sift import bitmap, maybe_in, without
 from ruleworld.sources.scratch import settle
 
 ENTRY = "digest binary, has_id boolean, id bigint, rid bigint, n bigint"
@@ -178,23 +179,7 @@ def _compacting(keep: str, memtable: int):
     return compact
 
 
-def _hit_filter(hits: DataFrame, words: int) -> DataFrame:
-    """One row: a bitmap of ``words`` 64-bit words with two bits for every hit digest."""
-    places = hits.select(F.explode(F.array(*_places(F.col("digest"), words))).alias("p"))
-    word = places.groupBy(F.floor(F.col("p") / 64).alias("w")).agg(F.bit_or(F.call_function("shiftleft", F.lit(1).cast("long"), (F.col("p") % 64).cast("int"))).alias("b"))
-    filled = word.agg(F.map_from_entries(F.collect_list(F.struct("w", "b"))).alias("m"))
-    return filled.select(F.transform(F.sequence(F.lit(0).cast("long"), F.lit(words - 1).cast("long")), lambda w: F.coalesce(F.try_element_at("m", w), F.lit(0).cast("long"))).alias("bits"))
-
-
-def _places(digest: Column, words: int) -> list[Column]:
-    return [F.pmod(F.xxhash64(digest, F.lit(k)), F.lit(64 * words).cast("long")) for k in (1, 2)]
-
-
-def _bit(bits: Column, p: Column) -> Column:
-    return F.call_function("shiftright", F.element_at(bits, (F.floor(p / 64) + 1).cast("int")), (p % 64).cast("int")).bitwiseAND(F.lit(1).cast("long")) == 1
-
-
-def exact_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", keep: str = "smallest", digest_bytes: int = 32, memtable: int = 200_000, filter_words: int = 4096) -> DataFrame:
+def exact_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", keep: str = "smallest", digest_bytes: int = 32, memtable: int = 200_000) -> DataFrame:
     """One row per row of ``docs``: ``rid, doc_id, keep_id, keep_rid, group_size, kept, text_sha256``.
 
     ``rid`` is the row's place (``monotonically_increasing_id``), stable while ``docs`` is a plain scan of files.
@@ -209,9 +194,9 @@ def exact_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     index = runs.repartition("digest").mapInArrow(_compacting(keep, memtable), ENTRY)
     hits = settle(index.filter("n > 1"))
     # verification: equal digests must mean equal bytes
-    bits = _hit_filter(hits, filter_words).scalar()
+    bits, words = bitmap(hits, "digest", hits.count())
     keyed = source.withColumn("digest", key)
-    near = keyed.filter(_bit(bits, _places(F.col("digest"), filter_words)[0]) & _bit(bits, _places(F.col("digest"), filter_words)[1]))
+    near = keyed.filter(maybe_in(bits, words, F.col("digest")))
     texts = near.groupBy("digest", "body").agg(F.count("*").alias("c")).groupBy("digest").agg(F.count("*").alias("texts"))
     clashing = settle(texts.filter("texts > 1").join(hits.select("digest"), "digest", "left_semi").select("digest"))
     choice = hits.select("digest", F.col("id").alias("g_id"), F.col("rid").alias("g_rid"), F.col("n").alias("g_n"))
@@ -241,5 +226,5 @@ def exact_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
 def drop_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", keep: str = "largest") -> DataFrame:
     """The rows of ``docs`` that stay, with its columns only."""
     mark = "__rw_rid"
-    stay = exact_groups(docs, id_col, text_col, keep).filter("kept").select(F.col("rid").alias(mark))
-    return docs.withColumn(mark, F.monotonically_increasing_id()).join(stay, mark, "left_semi").select(*[F.col(f"`{c}`") for c in docs.columns])
+    gone = settle(exact_groups(docs, id_col, text_col, keep).filter("NOT kept").select(F.col("rid").alias(mark)))
+    return without(docs.withColumn(mark, F.monotonically_increasing_id()), mark, gone).select(*[F.col(f"`{c}`") for c in docs.columns])

@@ -25,6 +25,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ruleworld.operators.connect import connect
+from ruleworld.llm.sift import without
 from ruleworld.sources.scratch import settle
 
 SEED = 42
@@ -56,10 +57,13 @@ _BITS = np.unpackbits(np.arange(256, dtype=np.uint8)[:, None], axis=1, bitorder=
 
 
 def _fingerprints(words: int):
+    """The last column, a text, becomes its fingerprint."""
+
     def run(batches):
         for b in batches:
-            values = np.fromiter((fingerprint(t, words) for t in b.column(1).to_pylist()), np.uint64, b.num_rows)
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(values.view(np.int64))], names=["doc_id", "fp"])
+            last = b.num_columns - 1
+            values = np.fromiter((fingerprint(t, words) for t in b.column(last).to_pylist()), np.uint64, b.num_rows)
+            yield pa.RecordBatch.from_arrays([*b.columns[:last], pa.array(values.view(np.int64))], names=[*b.schema.names[:last], "fp"])
 
     return run
 
@@ -182,10 +186,13 @@ def drop_near(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", w
     """
     mark = "__rw_rid"
     placed = docs.withColumn(mark, F.monotonically_increasing_id())
-    marked = placed.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("body"), F.col(mark).alias("rid"))
-    prints = settle(marked.select("rid", "body").mapInArrow(_fingerprints(words), "doc_id bigint, fp bigint").withColumnRenamed("doc_id", "rid").join(marked.select("rid", "doc_id"), "rid"))
+    marked = placed.select(F.col(mark).alias("rid"), F.col(id_col).cast("long").alias("doc_id"), F.col(text_col))
+    prints = settle(marked.mapInArrow(_fingerprints(words), "rid bigint, doc_id bigint, fp bigint"))
     order = F.struct(F.col("doc_id").isNull().alias("a"), F.col("doc_id").alias("b"), F.col("rid").alias("c"))
     nodes = settle(prints.groupBy("fp").agg(F.min(order).alias("best")))
     roots = connect(ball_links(nodes.select("fp"), radius))
-    stay = nodes.join(roots.withColumnRenamed("node", "fp"), "fp", "left").groupBy(F.coalesce("root", "fp").alias("root")).agg(F.min("best").alias("best"))
-    return placed.join(stay.select(F.col("best.c").alias(mark)), mark, "left_semi").select(*[F.col(f"`{c}`") for c in docs.columns])
+    grouped = nodes.join(roots.withColumnRenamed("node", "fp"), "fp", "left").withColumn("root", F.coalesce("root", "fp"))
+    stay = grouped.groupBy("root").agg(F.min("best").alias("first"))
+    place = grouped.join(stay, "root").select("fp", F.col("first.c").alias("stays"))
+    gone = settle(prints.join(place, "fp").filter("rid <> stays").select(F.col("rid").alias(mark)))
+    return without(placed, mark, gone).select(*[F.col(f"`{c}`") for c in docs.columns])
