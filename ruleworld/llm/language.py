@@ -87,7 +87,7 @@ class CentroidModel:
         return [self.names[self.owner[b]] if ok else UNKNOWN for b, ok in zip(best, has, strict=True)], score, rejected
 
 
-def fit_centroids(rows: list[tuple[str, str]], each: int = 3, buckets: int = BUCKETS, margin: float = 0.5, rounds: int = 12, seed: int = 11) -> CentroidModel:
+def fit_centroids(rows: list[tuple[str, str]], each: int = 3, buckets: int = BUCKETS, margin: float = 0.3, rounds: int = 12, seed: int = 11) -> CentroidModel:
     letters = letter_table()
     rows = sorted(rows)
     names = sorted({lang for lang, _ in rows})

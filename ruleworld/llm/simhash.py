@@ -30,7 +30,7 @@ from ruleworld.sources.scratch import settle
 
 SEED = 42
 #: Variants that a cell should hold, and that a task sorts at once.
-CELL_VARIANTS, TASK_VARIANTS = 2_000_000, 6_000_000
+CELL_VARIANTS, TASK_VARIANTS = 2_000_000, 3_000_000
 
 
 def fingerprint(text: str | None, words: int = 4) -> int:
@@ -121,10 +121,10 @@ def cell_links(fps: np.ndarray, cell: int, bits: int, half: int, forest: Forest,
         if len(i):
             base = fps[i] if not bits else (np.uint64(cell) << lead if bits < 64 else np.uint64(cell)) | (fps[i] & np.uint64((1 << (64 - bits)) - 1))
             variants.append((base[:, None] ^ masks[d]).ravel())
-            owner.append(np.repeat(i, len(masks[d])))
+            owner.append(np.repeat(i.astype(np.int32), len(masks[d])))
     v, o = np.concatenate(variants), np.concatenate(owner)
     order = np.argsort(v)
-    v, o = v[order], o[order]
+    v, o = v[order], o[order].astype(np.int64)
     same = np.flatnonzero(v[1:] == v[:-1])
     if not len(same):
         return

@@ -50,7 +50,7 @@ def encoder(vocabulary: str) -> Encoder:
 class Encoder:
     """Encodes texts to little-endian unsigned 32-bit ids, as bytes."""
 
-    def __init__(self, vocabulary: str, memo: int = 1_000_000, longest: int = 64, probes: int = 4):
+    def __init__(self, vocabulary: str, memo: int = 700_000, longest: int = 64, probes: int = 4):
         import os
 
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")  # one task, one core
