@@ -18,6 +18,7 @@ documents are good with chance one half and toxic with chance zero; repeated row
 from __future__ import annotations
 
 import math
+from collections import Counter
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -61,9 +62,18 @@ def tokens(text: str | None) -> tuple[bytes, list[bytes]]:
     return raw, raw.translate(_WORD).translate(_LOWER).split()
 
 
+def marks(words: list[bytes]) -> set[bytes]:
+    """What a text is told by: its words, and the stems (``^``) and endings (``$``) of the longer ones."""
+    own = set(words)
+    long = [w for w in own if len(w) > 5]
+    own.update(b"^" + w[:5] for w in long)
+    own.update(b"$" + w[-5:] for w in long)
+    return own
+
+
 @dataclass
 class TextModel:
-    """Words, and for each target: weights of words (by share of documents), of shapes, and the constant."""
+    """Words, stems and endings, and for each target: weights of words (by share of documents), of shapes, and the constant."""
 
     words: dict[bytes, int] = field(default_factory=dict)
     weights: dict[str, np.ndarray] = field(default_factory=dict)
@@ -74,10 +84,8 @@ class TextModel:
         raw, words = tokens(text)
         x = np.zeros(len(self.words) + SHAPES + 1)
         get = self.words.get
-        for w in words:
-            k = get(w)
-            if k is not None:
-                x[k] = 1.0
+        for w in self.words.keys() & marks(words):
+            x[get(w)] = 1.0
         x[len(self.words) : -1] = shape(raw, words)
         x[-1] = 1.0
         return x
@@ -91,7 +99,7 @@ class TextModel:
         return {k: np.where(empty, np.nan, np.round(1 / (1 + np.exp(-np.clip(x @ w, -30, 30))), 9)) for k, w in self.weights.items()}
 
 
-def _logistic(x: np.ndarray, y: np.ndarray, ridge: float = 1.0, rounds: int = 30) -> np.ndarray:
+def _logistic(x: np.ndarray, y: np.ndarray, ridge: float = 0.3, rounds: int = 30) -> np.ndarray:
     """Ridge logistic regression by Newton steps; the constant is not shrunk."""
     w, shrink = np.zeros(x.shape[1]), np.full(x.shape[1], ridge)
     shrink[-1] = 1e-6
@@ -104,9 +112,13 @@ def _logistic(x: np.ndarray, y: np.ndarray, ridge: float = 1.0, rounds: int = 30
     return w
 
 
-def fit_text(rows: list[tuple[str | None, dict[str, int | None]]], targets: tuple[str, ...], most_words: int = 400, z_least: float = 6.0) -> TextModel:
+def fit_text(rows: list[tuple[str | None, dict[str, int | None]]], targets: tuple[str, ...], most_words: int = 600, z_least: float = 5.0) -> TextModel:
     """``rows``: text and labels. Words enter by the size of their z score between the classes of any target."""
-    sets = [set(tokens(t)[1]) for t, _ in rows]
+    often = Counter()
+    for text, _ in rows:
+        often.update(marks(tokens(text)[1]))
+    often = {w for w, n in often.items() if n >= 5}
+    sets = [marks(tokens(text)[1]) & often for text, _ in rows]
     best: dict[bytes, float] = {}
     usable = []
     for target in targets:
@@ -115,15 +127,15 @@ def fit_text(rows: list[tuple[str | None, dict[str, int | None]]], targets: tupl
         if not pos or not neg:
             continue
         usable.append(target)
-        seen: dict[bytes, list[int]] = {}
+        seen = Counter(), Counter()
         for words, v in zip(sets, y, strict=True):
             if v is not None:
-                for w in words:
-                    seen.setdefault(w, [0, 0])[v == 1] += 1
-        for w, (b, a) in seen.items():
+                seen[v == 1].update(words)
+        for w in often:
+            b, a = seen[0][w], seen[1][w]
             p = (a + b) / (pos + neg)
             z = abs(a / pos - b / neg) / math.sqrt(max(p * (1 - p), 1e-9) * (1 / pos + 1 / neg))
-            if z >= z_least and a + b >= 5:
+            if z >= z_least:
                 best[w] = max(best.get(w, 0.0), z)
     model = TextModel({w: k for k, (w, _) in enumerate(sorted(best.items(), key=lambda kv: (-kv[1], kv[0]))[:most_words])})
     if not usable:
@@ -199,7 +211,7 @@ def url_site(url: Column) -> tuple[Column, Column]:
     return host, F.regexp_extract(url, r"^[a-zA-Z][a-zA-Z0-9+.-]*://[^/?#]*(/[^/?#]*)", 1)
 
 
-def judge(docs: DataFrame, labels: DataFrame, host: Column | None = None, path: Column | None = None, id_col: str = "doc_id", text_col: str = "text", fit_rows: int = 4000, fit_chars: int = 20_000, least_quality: float = 0.5, most_toxic: float = 0.5, pull: float = 0.5) -> DataFrame:
+def judge(docs: DataFrame, labels: DataFrame, host: Column | None = None, path: Column | None = None, id_col: str = "doc_id", text_col: str = "text", fit_rows: int = 6000, fit_chars: int = 10_000, least_quality: float = 0.5, most_toxic: float = 0.4, pull: float = 0.5) -> DataFrame:
     """``doc_id``, the document's own chances, its site's posteriors, posterior ``quality`` and ``toxicity``, and ``kept``.
 
     ``pull`` is the weight of the site's odds beside the document's: at 0.5 a site can tip close cases only.
