@@ -9,7 +9,9 @@ from ruleworld.plans.ground import query_atoms
 from ruleworld.plans.program import Program
 from ruleworld.sources.scratch import table
 
-UNKNOWN = F.lit(-1).cast("tinyint").alias("truth")
+
+def unknown():
+    return F.lit(-1).cast("tinyint").alias("truth")
 
 
 def running_example(spark: SparkSession):
@@ -100,7 +102,7 @@ def tag_events(spark: SparkSession, sf_dir: str, gap_minutes: int = 60):
             rules.append(f"{abs(w)}: seen(e, '{kind}', {band}) => {'' if w > 0 else '!'}infield(e)")
     text = "@closed seen(event bigint, kind string, band int)\n@closed next_to(event bigint, event bigint)\n@open infield(event bigint)\n" + "\n".join(rules)
     text += "\n2: infield(e) & next_to(e, f) => infield(f)\n1.5: infield(f) & next_to(e, f) => infield(e)"
-    return Program.parse(text), {"seen": seen, "next_to": near, "infield": seen.select("event_id", UNKNOWN)}
+    return Program.parse(text), {"seen": seen, "next_to": near, "infield": seen.select("event_id", unknown())}
 
 
 def tag_turns(spark: SparkSession, sf_dir: str):
@@ -119,7 +121,7 @@ def tag_turns(spark: SparkSession, sf_dir: str):
         1: topic(c, u) & follows(c, t, u) => topic(c, t)
         """
     )
-    return program, {"said": turns, "follows": near, "topic": turns.select("conv_id", "turn", UNKNOWN).distinct()}
+    return program, {"said": turns, "follows": near, "topic": turns.select("conv_id", "turn", unknown()).distinct()}
 
 
 def link_customers(spark: SparkSession, sf_dir: str, hard_key: bool = False):
@@ -147,7 +149,7 @@ def link_customers(spark: SparkSession, sf_dir: str, hard_key: bool = False):
         "bought": pairs.select("c", "s", band),
         "same_nation": home.filter("c_nationkey = s_nationkey").select("c", "s"),
         "alike": alike,
-        "preferred": pairs.select("c", "s", UNKNOWN),
+        "preferred": pairs.select("c", "s", unknown()),
     }
 
 
@@ -176,7 +178,7 @@ def dedup_parts(spark: SparkSession, sf_dir: str, block: tuple[str, ...] = ("p_n
         "near_price": pairs.filter("price").select("p", "q"),
         "same_brand": pairs.filter("brand").select("p", "q"),
         "near_size": pairs.filter("near").select("p", "q"),
-        "same": pairs.select("p", "q", UNKNOWN),
+        "same": pairs.select("p", "q", unknown()),
     }
 
 
@@ -185,7 +187,7 @@ def twin_atoms(spark: SparkSession, sf_dir: str, keys: str = "nation", n: int |
     k = table(spark, sf_dir, name).select(F.col(key).cast("long").alias("k"))
     k = k.filter(F.col("k") < n) if n else k
     program = Program.parse("@open left(k bigint)\n@open right(k bigint)\n1: left(k)\n1: right(k)\n-1: left(k) | right(k)")
-    return program, {"left": k.select("k", UNKNOWN), "right": k.select("k", UNKNOWN)}
+    return program, {"left": k.select("k", unknown()), "right": k.select("k", unknown())}
 
 
 def bridged_rings(spark: SparkSession, sf_dir: str):
@@ -208,7 +210,7 @@ def bridged_rings(spark: SparkSession, sf_dir: str):
         0.5: on(x) & odd(x) & ring(x, y) => !on(y)
         """
     )
-    return program, {"ring": ring, "bridge": bridge, "odd": nation.filter("k % 2 = 1").select("k"), "third": nation.filter("k % 3 = 0").select("k"), "on": nation.select("k", UNKNOWN)}
+    return program, {"ring": ring, "bridge": bridge, "odd": nation.filter("k % 2 = 1").select("k"), "third": nation.filter("k % 3 = 0").select("k"), "on": nation.select("k", unknown())}
 
 
 def nation_flows(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -223,10 +225,10 @@ def graph_program(edges: DataFrame):
     """One rule whose field is the given graph: a node that is on turns on the nodes it links to."""
     program = Program.parse("@closed link(n bigint, n bigint)\n@open on(n bigint)\n1: on(x) & link(x, y) => on(y)")
     nodes = edges.select(F.col("x").alias("n")).unionByName(edges.select(F.col("y").alias("n"))).distinct()
-    return program, {"link": edges.select("x", "y"), "on": nodes.select("n", UNKNOWN)}
+    return program, {"link": edges.select("x", "y"), "on": nodes.select("n", unknown())}
 
 
 def order_lines(spark: SparkSession, sf_dir: str, hard: bool = True):
     program = Program.parse(f"@closed placed(o bigint)\n@closed line(o bigint, n int)\n@open done(o bigint)\n{'hard' if hard else '2'}: placed(o) => exists n: line(o, n)\n1: done(o)")
     orders = table(spark, sf_dir, "orders").select("o_orderkey")
-    return program, {"placed": orders, "line": table(spark, sf_dir, "lineitem").select("l_orderkey", "l_linenumber"), "done": orders.select("o_orderkey", UNKNOWN)}
+    return program, {"placed": orders, "line": table(spark, sf_dir, "lineitem").select("l_orderkey", "l_linenumber"), "done": orders.select("o_orderkey", unknown())}

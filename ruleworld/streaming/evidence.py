@@ -17,6 +17,7 @@ EVENTS = "event_id bigint, ts timestamp_ntz, user_id bigint, event_type string,
 def event_stream(spark: SparkSession, folder: str, files_each: int = 1, late: str = "1 hour") -> DataFrame:
     """Events from files of a folder, each event once within the watermark."""
     raw = spark.readStream.schema(EVENTS).option("maxFilesPerTrigger", files_each).parquet(folder)
+    raw = raw.withColumn("ts", F.col("ts").cast("timestamp"))  # watermarks take no timestamps without a zone
     return raw.withWatermark("ts", late).dropDuplicatesWithinWatermark(["event_id"])
 
 
