@@ -211,7 +211,7 @@ def url_site(url: Column) -> tuple[Column, Column]:
     return host, F.regexp_extract(url, r"^[a-zA-Z][a-zA-Z0-9+.-]*://[^/?#]*(/[^/?#]*)", 1)
 
 
-def judge(docs: DataFrame, labels: DataFrame, host: Column | None = None, path: Column | None = None, id_col: str = "doc_id", text_col: str = "text", fit_rows: int = 6000, fit_chars: int = 10_000, least_quality: float = 0.5, most_toxic: float = 0.4, pull: float = 0.5) -> DataFrame:
+def judge(docs: DataFrame, labels: DataFrame, host: Column | None = None, path: Column | None = None, id_col: str = "doc_id", text_col: str = "text", fit_rows: int = 4000, fit_chars: int = 6_000, least_quality: float = 0.5, most_toxic: float = 0.4, pull: float = 0.5) -> DataFrame:
     """``doc_id``, the document's own chances, its site's posteriors, posterior ``quality`` and ``toxicity``, and ``kept``.
 
     ``pull`` is the weight of the site's odds beside the document's: at 0.5 a site can tip close cases only.

@@ -19,7 +19,6 @@ from itertools import filterfalse
 
 import numpy as np
 
-_SPACES = re.compile(r" (?:\s|$)")
 _CUT = re.compile(r" (?=\S)")
 #: Fixed value: the pre-tokenizer pattern of byte-level tokenizers.
 WORD_PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
@@ -50,7 +49,7 @@ def encoder(vocabulary: str) -> Encoder:
 class Encoder:
     """Encodes texts to little-endian unsigned 32-bit ids, as bytes."""
 
-    def __init__(self, vocabulary: str, memo: int = 700_000, longest: int = 64, probes: int = 4):
+    def __init__(self, vocabulary: str, memo: int = 1_000_000, longest: int = 64, probes: int = 4):
         import os
 
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")  # one task, one core
@@ -66,7 +65,7 @@ class Encoder:
         self.added = [t["content"] for t in told.get("added_tokens", [])]
         self.size = self.tokenizer.get_vocab_size()
         self.limit, self.longest, self.probes = memo, longest, probes
-        self.spaced: dict[str, bytes] = {"": b""}  # chunks and words that a space leads, without it
+        self.spaced: dict[str | None, bytes] = {None: b""}  # chunks and words that a space leads, without it; None: a head's place
         self.plain: dict[str, bytes] = {"": b""}  # others
         self.find = regex.compile(WORD_PATTERN).findall
         self.letters = byte_letters()
@@ -115,16 +114,24 @@ class Encoder:
         if not self.chunked:
             return self.whole(texts)
         plain = [k for k, t in enumerate(texts) if not any(a in t for a in self.added)]
-        cut = [_CUT.split(t) if _SPACES.search(t) else t.split(" ") for t in map(texts.__getitem__, plain)]
+        cut = [texts[k].split(" ") for k in plain]
         if len(self.spaced) > self.limit:
-            self.spaced = {"": b""}
+            self.spaced = {None: b""}
         if len(self.plain) > self.limit // 4:
             self.plain = {"": b""}
         heads, seen, has = [], set(), self.spaced.__contains__
         for c in cut:
             heads.append(c[0])
-            c[0] = ""
+            c[0] = None
             seen.update(filterfalse(has, c))
+        wrong = {c for c in seen if not c or c[0].isspace()}  # a space that no non-space follows; never in the memo
+        if wrong:
+            seen -= wrong
+            for j, k in enumerate(plain):
+                if not wrong.isdisjoint(cut[j]):
+                    cut[j] = _CUT.split(texts[k])
+                    heads[j], cut[j][0] = cut[j][0], None
+                    seen.update(filterfalse(has, cut[j]))
         long = self._learn(seen, set(filterfalse(self.plain.__contains__, heads)))
         out: list[bytes] = [b""] * len(texts)
         get, first = self.spaced.__getitem__, self.plain
