@@ -16,6 +16,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ruleworld.llm.tokens import forget
 from ruleworld.llm.ship import landed, ship
 
 #: ASCII capitals to small letters; every other ASCII character that is no letter or digit to a space.
@@ -227,6 +228,7 @@ def _cleaning(shared, at: int, limit: float):
     """Rows through all automata; hit spans go, rows covered beyond ``limit`` go."""
 
     def run(batches):
+        forget()
         machines = [landed(s) for s in shared]
         for b in batches:
             keep, texts = [], []

@@ -22,6 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ruleworld.llm.tokens import forget
 from ruleworld.llm.sift import bitmap, maybe_in, without
 from ruleworld.sources.scratch import settle
 
@@ -159,6 +160,7 @@ def _rows(batches):
 
 def _flushing(keep: str, memtable: int):
     def flush(batches):
+        forget()
         index = DigestIndex(keep, memtable)
         for digest, has_id, i, rid, n in _rows(batches):
             index.memtable[digest] = index.merge(index.memtable.get(digest), ((has_id, i, rid), n))

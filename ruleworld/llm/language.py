@@ -22,6 +22,7 @@ import pyarrow.compute
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ruleworld.llm.tokens import forget
 from ruleworld.llm.ship import landed, ship
 
 BUCKETS = 1 << 12
@@ -136,6 +137,7 @@ def training_rows(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text
 
 def _predicting(shared, at: int):
     def run(batches):
+        forget()
         model, letters = landed(shared), letter_table()
         for b in batches:
             texts, k = b.column(at).to_pylist(), 0

@@ -24,6 +24,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ruleworld.llm.tokens import forget
 from ruleworld.operators.connect import connect
 from ruleworld.llm.sift import without
 from ruleworld.sources.scratch import settle
@@ -60,6 +61,7 @@ def _fingerprints(words: int):
     """The last column, a text, becomes its fingerprint."""
 
     def run(batches):
+        forget()
         for b in batches:
             last = b.num_columns - 1
             values = np.fromiter((fingerprint(t, words) for t in b.column(last).to_pylist()), np.uint64, b.num_rows)

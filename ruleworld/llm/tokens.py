@@ -46,10 +46,15 @@ def encoder(vocabulary: str) -> Encoder:
     return kept[vocabulary]
 
 
+def forget() -> None:
+    """Drop this process's encoders: a worker that turns to other work gives their memory back."""
+    sys.__dict__.pop("_ruleworld_encoders", None)
+
+
 class Encoder:
     """Encodes texts to little-endian unsigned 32-bit ids, as bytes."""
 
-    def __init__(self, vocabulary: str, memo: int = 1_000_000, longest: int = 64, probes: int = 4):
+    def __init__(self, vocabulary: str, memo: int = 500_000, longest: int = 64, probes: int = 4):
         import os
 
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")  # one task, one core
