@@ -163,6 +163,21 @@ def piece_stats(clauses: DataFrame, pieces: DataFrame) -> DataFrame:
     return sized.crossJoin(F.broadcast(mean)).withColumn("balance", F.col("size") / F.col("mean")).drop("mean")
 
 
+def memory(clauses: DataFrame, comps: DataFrame, raw: DataFrame | None = None) -> DataFrame:
+    """Bytes, by formula: the clause table, the search of the whole field and of its largest component, and, given
+    instances before merging (``raw``), what a solver that grounds in memory holds at once.
+
+    A literal takes 8 bytes in the table; in a search 16 and an atom 40, a clause 64.
+    """
+    sizes = component_sizes(clauses, comps)
+    held = F.col("atoms") * 40 + F.col("clauses") * 64 + F.col("literals") * 16
+    out = sizes.agg(*[F.coalesce(x, F.lit(0)).cast("long").alias(n) for x, n in ((F.sum(F.col("literals") * 8 + F.col("clauses") * 33), "clause_bytes"), (F.sum(held), "whole_bytes"), (F.max(held), "largest_bytes"))])
+    if raw is None:
+        return out
+    peak = raw.agg(F.coalesce(F.sum(F.size("lits") * 16 + 64), F.lit(0)).cast("long").alias("instance_bytes"))
+    return out.crossJoin(peak).withColumn("in_memory_peak_bytes", F.col("instance_bytes") + F.col("whole_bytes"))
+
+
 def program_stats(program, atoms) -> dict[str, int]:
     opened = [t for t in atoms.tables.values() if "aid" in t.columns]
     return {

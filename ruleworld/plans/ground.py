@@ -14,7 +14,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ruleworld.operators.rank import running_total
-from ruleworld.plans.program import Clause, Literal, Program, ProgramError, Term
+from ruleworld.plans.program import Clause, Literal, Predicate, Program, ProgramError, Term
 from ruleworld.sources.scratch import settle
 
 CLAUSE = "rule string, lits array<bigint>, weight double, is_hard boolean, state string"
@@ -40,18 +40,22 @@ class Atoms:
         return out
 
 
+def evidence_rows(p: Predicate, given: DataFrame) -> DataFrame:
+    """Evidence in the columns of atom tables; rows without a ``truth`` column are true."""
+    args = [c for c in given.columns if c != "truth"]
+    if len(args) != len(p.args):
+        raise EvidenceError(f"{p.name} takes {len(p.args)} arguments; its evidence has {args}")
+    cols = [F.col(c).cast(kind).alias(a) for c, (_, kind), a in zip(args, p.args, p.columns, strict=True)]
+    return given.select(*cols, F.col("truth").cast("tinyint") if "truth" in given.columns else F.lit(1).cast("tinyint").alias("truth"))
+
+
 def load_atoms(program: Program, evidence: dict[str, DataFrame]) -> Atoms:
     """Atom tables from evidence: for closed predicates the true rows; for open ones candidates with a ``truth`` column."""
     atoms, base = Atoms(program), 0
     for name, p in sorted(program.predicates.items()):
         if name not in evidence:
             raise EvidenceError(f"no evidence for {name}")
-        given = evidence[name]
-        args = [c for c in given.columns if c != "truth"]
-        if len(args) != len(p.args):
-            raise EvidenceError(f"{name} takes {len(p.args)} arguments; its evidence has {args}")
-        cols = [F.col(c).cast(kind).alias(a) for c, (_, kind), a in zip(args, p.args, p.columns, strict=True)]
-        rows = given.select(*cols, F.col("truth").cast("tinyint") if "truth" in given.columns else F.lit(1).cast("tinyint").alias("truth"))
+        rows = evidence_rows(p, evidence[name])
         if not p.open:
             atoms.tables[name] = rows.filter("truth = 1").distinct()
             continue

@@ -12,7 +12,7 @@ from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ruleworld.operators import kernel, split
@@ -80,6 +80,40 @@ def search_components(clauses: DataFrame, comps: DataFrame, tries: int = 3, nois
     return rows.select("bin", "comp", "flips", "cid", "lits", "weight", "is_hard", "multiplicity").groupBy("bin").applyInArrow(run, FOUND)
 
 
+TRACE = "comp bigint, try bigint, flip bigint, ms double, hard bigint, soft double"
+
+
+def trace_components(clauses: DataFrame, comps: DataFrame, tries: int = 3, noise: float = 0.5, policy: str = "listed", seed: int = 0, seconds: float | None = None, **loading) -> DataFrame:
+    """``TRACE``: each time a component's best cost fell. ``seconds`` stops the search of each component by the clock."""
+
+    def run(t: pa.Table) -> pa.Table:
+        flips = dict(zip(t.column("comp").to_pylist(), t.column("flips").to_pylist(), strict=True))
+        out = []
+        for comp, rows in _by_unit(t, "comp"):
+            w = kernel.walk(kernel.Clauses.build(rows), flips[comp], tries, noise, policy, _seed(comp, seed), seconds=seconds)
+            out += [(comp, *x) for x in w.trace]
+        return _table(out, TRACE)
+
+    rows = binned(clauses, comps, **loading)
+    return rows.select("bin", "comp", "flips", "cid", "lits", "weight", "is_hard", "multiplicity").groupBy("bin").applyInArrow(run, TRACE)
+
+
+def time_cost_curve(trace: DataFrame, points: int = 100, by: str = "flip", after: float = 0.0) -> DataFrame:
+    """``at, hard, soft``: the field's best cost, summed over components, on a grid of at most ``points`` steps of ``by``.
+
+    Components start at their first world's cost. ``after`` is added to ``at`` (grounding time: no cost before it).
+    """
+    seq = Window.partitionBy("comp").orderBy("try", "flip")
+    fall = [(F.col(c) - F.coalesce(F.lag(c).over(seq), F.lit(0))).alias(c) for c in ("hard", "soft")]
+    steps = trace.select(F.col(by).cast("double").alias("at"), *fall)
+    top = trace.agg(F.max(by).cast("double").alias("top"))
+    cell = F.when(F.col("top") > 0, F.ceil(F.col("at") * (points - 1) / F.col("top"))).otherwise(0).cast("int")
+    summed = steps.crossJoin(F.broadcast(top)).groupBy(cell.alias("cell"), "top").agg(F.sum("hard").alias("hard"), F.sum("soft").alias("soft"))
+    run = Window.orderBy("cell").rowsBetween(Window.unboundedPreceding, 0)  # at most ``points`` rows
+    at = F.col("cell") * F.col("top") / (points - 1) + after
+    return summed.select(at.alias("at"), F.sum("hard").over(run).cast("long").alias("hard"), F.round(F.sum("soft").over(run), 9).alias("soft"))
+
+
 def search_whole(clauses: DataFrame, comps: DataFrame | None = None, flips: int = 10**5, tries: int = 1, noise: float = 0.5, policy: str = "listed", seed: int = 0) -> DataFrame:
     """One walk over the whole field in one task. With ``comps`` the best state is remembered for each component apart."""
     each = comps is not None

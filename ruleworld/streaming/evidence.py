@@ -9,6 +9,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ruleworld.plans import grow
+from ruleworld.plans.solve import MapResult
 from ruleworld.sources.scratch import table
 
 EVENTS = "event_id bigint, ts timestamp_ntz, user_id bigint, event_type string, value double, props string"
@@ -44,6 +46,25 @@ def touched(clauses: DataFrame, comps: DataFrame, atoms: DataFrame) -> DataFrame
     return comps.join(atoms.select("aid"), "aid", "left_semi").select("comp").distinct()
 
 
+class LiveWorld:
+    """A solved program that follows a stream of evidence on one relation.
+
+    Pass ``apply`` to ``foreachBatch``. Each batch is folded into the field and the components it touches are searched
+    again. A batch that comes a second time, after a restart of the query on the same object, changes nothing.
+    """
+
+    def __init__(self, result: MapResult, pred: str, **how):
+        self.field, self.world, self.pred, self.how = result.field, result.world, pred, how
+        self.last = -1
+
+    def apply(self, batch: DataFrame, batch_id: int) -> None:
+        if batch_id <= self.last:
+            return
+        step = grow.reground(self.field, {self.pred: batch})
+        self.world = grow.resolve(step, self.world, **self.how)
+        self.field, self.last = step.field, batch_id
+
+
 def oracle_sql() -> dict[str, str]:
     return {
         "windowed_rates": "SELECT date_trunc('day', ts) AS start, event_type, count(*) AS n, round(sum(value), 2) AS value FROM events GROUP BY ALL",
