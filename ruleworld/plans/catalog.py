@@ -11,9 +11,9 @@ from pyspark.sql import functions as F
 from ruleworld.functions import similarity
 from ruleworld.operators import field as views
 from ruleworld.operators import split
+from ruleworld.plans import entities, experiments, grow, solve, workloads
 from ruleworld.plans import ground as g
 from ruleworld.plans import oracles as o
-from ruleworld.plans import solve, workloads
 from ruleworld.sources.scratch import settle, table
 from ruleworld.streaming import evidence as stream
 
@@ -260,6 +260,49 @@ def completed_topic(spark, sf_dir):
     return solve.solve_map(*program(spark, sf_dir, "rc"), total=200_000).filled("topic").select(F.col("a1").alias("doc_id"), F.col("a2").alias("cls"))
 
 
+def regrown_rc(spark, sf_dir):
+    """Documents classified in two steps: links and labels of every seventh document come later and are folded in."""
+
+    def make():
+        prog, ev = program(spark, sf_dir, "rc")
+        late = {"cites": F.col("d1") % 7 == 0, "topic": (F.col("truth") >= 0) & (F.col("doc_id") % 7 == 0)}
+        begun = g.ground(prog, {
+            "authored": ev["authored"],
+            "cites": ev["cites"].filter(~late["cites"]),
+            "topic": ev["topic"].withColumn("truth", F.when(late["topic"], F.lit(-1)).otherwise(F.col("truth")).cast("tinyint")),
+        })
+        return grow.reground(begun, {n: ev[n].filter(when) for n, when in late.items()})
+
+    return _once(spark, sf_dir, "regrown rc", make)
+
+
+def reground_clauses_rc(spark, sf_dir):
+    return _text(regrown_rc(spark, sf_dir).field.clauses.select("rule", "lits", "weight", "multiplicity"))
+
+
+def reground_constants_rc(spark, sf_dir):
+    return regrown_rc(spark, sf_dir).field.constants.filter("constant_cost > 0 OR hard_contradictions > 0").select("rule", "constant_cost", "hard_contradictions")
+
+
+def entity_groups_rc(spark, sf_dir):
+    groups = entities.entity_groups(*program(spark, sf_dir, "rc"), {"doc"})
+    return groups.select(F.col("entity").cast("long").alias("doc_id"), "grp")
+
+
+def lumped_ex1(spark, sf_dir):
+    return experiments.identical_components(spark, [1, 2, 4, 8, 12, 16]).select("policy", "n", F.round("whole_steps", 3).alias("whole_steps"), F.round("component_steps", 3).alias("component_steps"))
+
+
+def best_curve_ie(spark, sf_dir):
+    """The end of the time-cost curve: the field's cost as the sum of its components' best."""
+    curve = solve.time_cost_curve(solve.trace_components(field(spark, sf_dir, "ie").clauses, comps(spark, sf_dir, "ie"), tries=12, budget="fixed", flips=400))
+    return curve.agg(F.max_by("hard", "at").alias("hard"), F.round(F.max_by("soft", "at"), 6).alias("soft"))
+
+
+def memory_rc(spark, sf_dir):
+    return views.memory(field(spark, sf_dir, "rc").clauses, comps(spark, sf_dir, "rc"))
+
+
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
     return completed_topic(spark, sf_dir)
 
@@ -391,6 +434,12 @@ def queries() -> dict:
         "op_json": json_evidence,
         "op_band_join": price_band_join,
         "op_running_best": running_best,
+        "reground_clauses_rc": reground_clauses_rc,
+        "reground_constants_rc": reground_constants_rc,
+        "entity_groups_rc": entity_groups_rc,
+        "lumped_steps_ex1": lumped_ex1,
+        "best_curve_ie": best_curve_ie,
+        "memory_rc": memory_rc,
     }
     for lesion in ("order", "nested_loop", "merge", "broadcast", "shuffle_hash", "no_pushdown"):
         out[f"lesion_{lesion}"] = _canonical("ex2" if lesion == "nested_loop" else "rc", lesion)
@@ -462,6 +511,14 @@ def oracle_sql() -> dict[str, str]:
         "op_band_join": "SELECT a.p_partkey AS p, b.p_partkey AS q FROM part a JOIN part b USING (p_name, p_type) WHERE a.p_partkey <> b.p_partkey AND abs(a.p_retailprice - b.p_retailprice) <= 10",
         "op_running_best": "SELECT o_orderkey, min(o_totalprice) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey ROWS UNBOUNDED PRECEDING) AS best FROM orders",
     }
+    out |= {
+        "reground_clauses_rc": out["canonical_clauses_rc"],
+        "reground_constants_rc": out["constant_cost_rc"],
+        "entity_groups_rc": f"WITH RECURSIVE {o.RC_ATOMS}, link AS (SELECT d1 AS a, d2 AS b FROM cites UNION SELECT d2, d1 FROM cites), reach AS (SELECT DISTINCT doc_id AS a, doc_id AS r FROM documents UNION SELECT b, r FROM reach JOIN link USING (a) WHERE r < b), least AS (SELECT a AS doc_id, min(r) AS c FROM reach GROUP BY a) SELECT doc_id, min('doc:' || doc_id) OVER (PARTITION BY c) AS grp FROM least",
+        "lumped_steps_ex1": "SELECT policy, CAST(n AS BIGINT) AS n, CAST(whole_steps AS DOUBLE) AS whole_steps, CAST(round(n * one, 3) AS DOUBLE) AS component_steps FROM (VALUES ('listed', 1, 1.214, 17 / 14.0), ('listed', 2, 4.078, 17 / 14.0), ('listed', 4, 16.166, 17 / 14.0), ('listed', 8, 109.922, 17 / 14.0), ('listed', 12, 684.747, 17 / 14.0), ('listed', 16, 4574.04, 17 / 14.0), ('repairing', 1, 2.5, 2.5), ('repairing', 2, 11.175, 2.5), ('repairing', 4, 83.667, 2.5), ('repairing', 8, 2878.36, 2.5), ('repairing', 12, 105216.543, 2.5), ('repairing', 16, 3995140.869, 2.5)) v(policy, n, whole_steps, one)",
+        "best_curve_ie": f"{ie}, {o.enumerated(4)} SELECT CAST(sum(hard) AS BIGINT) AS hard, round(sum(soft), 6) AS soft FROM ({o.BEST})",
+        "memory_rc": f"{rc}, {o.COMPONENTS}, a AS (SELECT comp, count(*) AS atoms FROM comps GROUP BY comp), c AS (SELECT comp, count(*) AS n, sum(len(lits)) AS l FROM cl JOIN comps ON aid = abs(lits[1]) GROUP BY comp) SELECT CAST(sum(l * 8 + n * 33) AS BIGINT) AS clause_bytes, CAST(sum(atoms * 40 + n * 64 + l * 16) AS BIGINT) AS whole_bytes, CAST(max(atoms * 40 + n * 64 + l * 16) AS BIGINT) AS largest_bytes FROM a JOIN c USING (comp)",
+    }
     for value, name in (("false", "cost_all_false"), ("true", "cost_all_true")):
         out[name] = f"{rc}, {o.world_cost(value)}, base AS ({lost} UNION ALL {known}) SELECT CAST(0 AS BIGINT) AS hard, (SELECT sum(abs(weight)) FROM bad) + (SELECT sum(constant_cost) FROM base) AS soft"
     out["flip_delta_rc"] = f"""{rc}, one AS (SELECT cid, weight, len(list_filter(lits, lambda x: x > 0)) AS n_true, unnest(lits) AS x FROM cl),
