@@ -1,7 +1,8 @@
 """From raw documents to packed sequences: five stages, each over all that the stage before kept.
 
 Edge cases are those of the operators: rows with null or letterless text go in the first stage; of equal texts the row
-with the largest id stays; of each near-duplicate group the row with the least id stays; passages of benchmark items
+with the largest id stays; of each near-duplicate group (five-word runs, Jaccard 0.8 or more, linked in chains) the row
+with the least id stays; passages of benchmark items
 are cut out, and rows made of them for the most part go; every other row passes unchanged, with all its columns.
 """
 
@@ -9,7 +10,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from ruleworld.llm import decontaminate, exact_dedup, language, packing, simhash
+from ruleworld.llm import decontaminate, exact_dedup, language, near, packing
 from ruleworld.sources.scratch import settle, table
 
 
@@ -22,7 +23,7 @@ def one_of_equals(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def one_of_near(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return simhash.drop_near(docs)
+    return near.drop_near(docs)
 
 
 def no_benchmark(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

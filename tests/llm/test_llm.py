@@ -12,7 +12,8 @@ from hypothesis import given, settings
 from hypothesis import strategies as st
 from pyspark.sql import functions as F
 
-from ruleworld.llm import decontaminate, exact_dedup, html_extract, language, packing, quality, sharding, simhash, token_codec, tokens, warc
+from ruleworld.llm import decontaminate, exact_dedup, html_extract, language, near, packing, quality, sharding, simhash, token_codec, tokens, warc
+from ruleworld.operators import field as views
 
 D = "/root/testdata/sf0.001"
 DOCS = "doc_id bigint, text string, lang string, source string, n_chars bigint, kept boolean, fp string, shard int"
@@ -110,6 +111,60 @@ def test_simhash_edges(spark, odd, none):
     assert sorted(r.doc_id for r in stay.collect()) == [1, 3, 5, 6, 7]
 
 
+def plain_runs(text):
+    low = re.sub("[A-Z]", lambda m: m.group().lower(), text or "")
+    w = re.findall("[^\x20\x09-\x0d]+", low)
+    return {tuple(w[k : k + 5]) for k in range(max(1, len(w) - 4))}
+
+
+def plain_similar(rows):
+    """Pairs of a Jaccard of 0.8 or more, by trying all."""
+    sets = [(i, plain_runs(t)) for i, t in rows]
+    for k, (i, x) in enumerate(sets):
+        for j, y in sets[:k]:
+            if 5 * len(x & y) >= 4 * len(x | y):
+                yield min(i, j), max(i, j)
+
+
+@pytest.fixture(scope="module")
+def copies(spark, docs):
+    """Texts with a few words changed, so that similarities lie around 0.8, one group of many, and a common passage."""
+    chance, rows = random.Random(12), []
+    words = [f"w{k}" for k in range(300)]
+    passage = chance.choices(words, k=30)
+    for k in range(40):
+        base = chance.choices(words, k=chance.choice([4, 12, 60, 150])) + (passage if k % 2 else [])
+        for _ in range(40 if k == 3 else 4):
+            own = list(base)
+            for _ in range(chance.randint(0, 1 + len(own) // 60)):
+                own[chance.randrange(len(own))] = chance.choice(words)
+            rows.append((len(rows), chance.choice([" ", "\n"]).join(own)))
+    return rows + [(len(rows) + k, r.text) for k, r in enumerate(docs.orderBy("doc_id").collect())]
+
+
+@pytest.mark.parametrize("often", [3, 10**9])
+def test_similar_pairs_equal_brute_force(spark, copies, monkeypatch, often):
+    monkeypatch.setattr(near, "OFTEN", often)
+    got = sorted((r.u, r.v) for r in near.similar_pairs(spark.createDataFrame(copies, "doc_id bigint, text string")).collect())
+    assert got == sorted(plain_similar(copies)) and len(got) > 100
+
+
+def test_pipeline_drops_all_near_copies(spark, copies):
+    import corpus_pipeline
+
+    stage = dict(corpus_pipeline.STAGES)["simhash_near_dedup"]
+    stay = {r.doc_id for r in stage(spark, spark.createDataFrame(copies, "doc_id bigint, text string"), D).collect()}
+    root = views.components_local(list(plain_similar(copies)))
+    assert stay == {i for i, _ in copies if root.get(i, i) == i}
+
+
+def test_near_edges(spark, odd, none):
+    stay = near.drop_near(odd)
+    assert stay.columns == odd.columns
+    assert sorted(r.doc_id for r in stay.collect()) == [1, 3, 5, 6, 7]
+    assert near.drop_near(none).count() == 0 and near.similar_pairs(none).count() == 0
+
+
 # 2 -------------------------------------------------------------------------------------------------------------------
 
 
