@@ -3,7 +3,8 @@
 A text is lower-cased, everything but letters becomes single spaces, and its character 1- to 3-grams are hashed into a
 fixed number of buckets. Vectors are damped counts times inverse document frequency, of unit length. Each language
 has several centroids (spherical k-means over its training vectors); a text gets the language of the centroid with the
-largest cosine. A text farther from its centroid than any training text of the language by a margin is rejected.
+largest cosine. A text is rejected if its cosine is below a share of what nearly all training texts of the language
+reach, whole or cut short, that fill about as many buckets: texts with few distinct n-grams score low in any language.
 
 The classifier is fitted on a bounded sample (``per_language`` documents of each language, at most ``languages``
 languages, ``fit_chars`` characters each); predictions read whole texts, in one scan without a shuffle.
@@ -65,13 +66,22 @@ def gram_rows(texts: list[str | None], letters: np.ndarray, buckets: int = BUCKE
     return counts.reshape(n, buckets), has
 
 
+def fills(counts: np.ndarray) -> np.ndarray:
+    """The whole binary logarithm of how many buckets each text fills."""
+    return np.log2(np.maximum(1, (counts > 0).sum(axis=1))).astype(int)
+
+
+#: Letters to which training texts are cut to learn how short ones score, and texts of a language that are cut.
+CUTS, CUT_TEXTS = (4, 8, 16, 32, 64, 128, 256, 512), 150
+
+
 @dataclass
 class CentroidModel:
     names: list[str]
     idf: np.ndarray
     centroids: np.ndarray
     owner: np.ndarray
-    nearest: np.ndarray  # smallest cosine a language accepts
+    nearest: np.ndarray  # smallest cosine a language accepts, by the power of two of the buckets that a text fills
 
     def vectors(self, counts: np.ndarray) -> np.ndarray:
         v = np.log1p(counts).astype(np.float32) * self.idf
@@ -84,19 +94,19 @@ class CentroidModel:
         cos = np.round(self.vectors(counts) @ self.centroids.T, 6)
         best = cos.argmax(axis=1)
         score = np.clip(cos[np.arange(len(texts)), best], 0.0, 1.0) * has
-        rejected = ~has | (score < self.nearest[self.owner[best]])
+        rejected = ~has | (score < self.nearest[self.owner[best], fills(counts)])
         return [self.names[self.owner[b]] if ok else UNKNOWN for b, ok in zip(best, has, strict=True)], score, rejected
 
 
-def fit_centroids(rows: list[tuple[str, str]], each: int = 3, buckets: int = BUCKETS, margin: float = 0.3, rounds: int = 12, seed: int = 11) -> CentroidModel:
+def fit_centroids(rows: list[tuple[str, str]], each: int = 3, buckets: int = BUCKETS, margin: float = 0.5, low: float = 0.01, rounds: int = 12, seed: int = 11) -> CentroidModel:
     letters = letter_table()
     rows = sorted(rows)
     names = sorted({lang for lang, _ in rows})
     if not names:
-        return CentroidModel([], np.ones(buckets, np.float32), np.zeros((0, buckets), np.float32), np.zeros(0, int), np.zeros(0))
+        return CentroidModel([], np.ones(buckets, np.float32), np.zeros((0, buckets), np.float32), np.zeros(0, int), np.zeros((0, 0)))
     counts = np.concatenate([gram_rows([t for _, t in rows[k : k + 64]], letters, buckets)[0] for k in range(0, len(rows), 64)])
     idf = (np.log((1 + len(rows)) / (1 + (counts > 0).sum(axis=0))) + 1).astype(np.float32)
-    model = CentroidModel(names, idf, np.zeros((0, buckets), np.float32), np.zeros(0, int), np.zeros(len(names)))
+    model = CentroidModel(names, idf, np.zeros((0, buckets), np.float32), np.zeros(0, int), np.zeros((len(names), buckets.bit_length())))
     v, label = model.vectors(counts), np.array([names.index(lang) for lang, _ in rows])
     chance, parts, owner = np.random.default_rng(seed), [], []
     for k in range(len(names)):
@@ -108,7 +118,14 @@ def fit_centroids(rows: list[tuple[str, str]], each: int = 3, buckets: int = BUC
             centre /= np.maximum(np.linalg.norm(centre, axis=1, keepdims=True), 1e-9)
         parts.append(centre)
         owner += [k] * len(centre)
-        model.nearest[k] = margin * (own @ centre.T).max(axis=1).min()
+        texts = [t for lang, t in rows if lang == names[k]]
+        short = [t.strip()[:n] for t in texts[:: -(-len(texts) // CUT_TEXTS)] for n in CUTS]
+        some, lettered = gram_rows(short, letters, buckets)
+        seen = np.concatenate([counts[label == k], some[lettered]])
+        cos, size = (model.vectors(seen) @ centre.T).max(axis=1), fills(seen)
+        for j in range(buckets.bit_length()):
+            at = cos[size == j]
+            model.nearest[k, j] = margin * np.quantile(at, low) if len(at) else model.nearest[k, j - 1] if j else 0.0
     model.centroids, model.owner = np.concatenate(parts).astype(np.float32), np.array(owner)
     return model
 

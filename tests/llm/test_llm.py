@@ -347,6 +347,25 @@ def test_language_rejects_what_is_far(spark, docs):
     assert gone[0] and not gone[1] and score[0] < 0.1
 
 
+FOREIGN = {
+    "fi": "Kaikki ihmiset syntyvät vapaina ja tasavertaisina arvoltaan ja oikeuksiltaan. Heille on annettu järki ja omatunto, ja heidän on toimittava toisiaan kohtaan veljeyden hengessä.",
+    "pl": "Wszyscy ludzie rodzą się wolni i równi pod względem swej godności i swych praw. Są oni obdarzeni rozumem i sumieniem i powinni postępować wobec innych w duchu braterstwa.",
+    "sw": "Watu wote wamezaliwa huru, hadhi na haki zao ni sawa. Wote wamejaliwa akili na dhamiri, hivyo yapasa watendeane kindugu.",
+    "none": "xqzvk bwtjp hgfdq zzkvx mnbvq plkjh wqxzr tgbvc yhnmj ujkqz rfvbg edcxw qazws plmko ijnbh",
+}
+
+
+def test_language_rejects_unlearned_languages():
+    import pyarrow.parquet as pq
+
+    rows = pq.read_table("/root/testdata/sf0.01/documents.parquet", columns=["doc_id", "text", "lang"]).to_pylist()
+    out = [zlib.crc32(str(r["doc_id"]).encode()) % 3 == 1 for r in rows]
+    model = language.fit_centroids([(r["lang"], r["text"]) for r, o in zip(rows, out) if not o])
+    letters = language.letter_table()
+    assert model.predict([t[:n] for t in FOREIGN.values() for n in (40, 80, 400)], letters)[2].all()
+    assert not model.predict([r["text"] for r, o in zip(rows, out) if o], letters)[2].any()
+
+
 # 7 -------------------------------------------------------------------------------------------------------------------
 
 
