@@ -4,7 +4,8 @@ A text is the set of its runs of ``words`` words (64-bit hashes). Under one orde
 ``least`` or more share a run among the first n - ceil(least n) + 1 of each, so only those prefixes travel, to the task
 of each run. The order puts runs that are frequent in a bounded sample last; any order gives the same result. Pairs that
 meet are dropped only if they cannot be similar, by their sizes, by the places of the shared run, or by parity bitmaps
-(as many unlike bits as the sets have unlike runs at most); the others are verified on the whole sets.
+(as many unlike bits as the sets have unlike runs at most), first short ones and then ones of two to four bits a run; the
+others are verified on the whole sets.
 
 Groups are found in two rounds: first every text of a run with the run's least row number, then all pairs that are not
 in one group by then. So a large group takes a number of pairs in proportion to it, and no link between groups is lost.
@@ -49,11 +50,17 @@ def word_runs(text: str | None, words: int = 5) -> np.ndarray:
 
 
 def parity(runs: np.ndarray) -> np.ndarray:
-    """A bitmap in which each run turns one bit."""
-    odd = np.bincount((runs >> np.uint64(7)).astype(np.int64) % (64 * PARITY), minlength=64 * PARITY) & 1
+    """A bitmap of 2 to 4 bits a run, 64 ``PARITY`` at least, in which each run turns one bit."""
+    size = max(64 * PARITY, 2 << (len(runs) - 1).bit_length())
+    odd = np.bincount((runs >> np.uint64(7)).astype(np.int64) & (size - 1), minlength=size) & 1
     return np.packbits(odd.astype(np.uint8), bitorder="little").view(np.uint64)
 
 
+def folded(bits: np.ndarray, words: int) -> np.ndarray:
+    """The bitmap that the same runs make in fewer words."""
+    return np.bitwise_xor.reduce(bits.reshape(-1, words), axis=0)
+
+
 def _lists(arrays: list[np.ndarray]) -> pa.Array:
     ends = np.cumsum([0, *map(len, arrays)]).astype(np.int32)
     flat = np.concatenate(arrays) if arrays else np.zeros(0, np.uint64)
@@ -72,22 +79,23 @@ def _telling(words: int):
 
 
 def _prefixes(shared, words: int, num: int, den: int):
-    """``rid, doc_id, text`` become ``rid, doc_id, n, parity, prefix``."""
+    """``rid, doc_id, text`` become ``rid, doc_id, n, parity, sign, prefix``; ``parity`` is ``sign`` folded to a fixed size."""
 
     def run(batches):
         forget()
         often, level = landed(shared)
         for b in batches:
-            n, bits, heads = [], [], []
+            n, bits, short, heads = [], [], [], []
             for t in b.column(2).to_pylist():
                 runs = word_runs(t, words)
                 n.append(len(runs))
-                bits.append(parity(runs).tobytes())
+                bits.append((own := parity(runs)).tobytes())
+                short.append(folded(own, PARITY).tobytes())
                 if len(often):
                     at = np.minimum(np.searchsorted(often, runs), len(often) - 1)
                     runs = runs[np.lexsort((runs, np.where(often[at] == runs, level[at], 0)))]
                 heads.append(runs[: len(runs) + 1 + (-len(runs) * num) // den])
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(n, pa.int64()), pa.array(bits, pa.binary()), _lists(heads)], names=["rid", "doc_id", "n", "parity", "prefix"])
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(n, pa.int64()), pa.array(short, pa.binary()), pa.array(bits, pa.binary()), _lists(heads)], names=["rid", "doc_id", "n", "parity", "sign", "prefix"])
 
     return run
 
@@ -150,6 +158,22 @@ def _pairing(num: int, den: int, star: bool):
     return run
 
 
+def _likely(num: int, den: int):
+    """Pairs whose long bitmaps do not rule similarity out."""
+
+    def run(batches):
+        for b in batches:
+            n = b.column(2).to_numpy() + b.column(3).to_numpy()
+            unlike = np.zeros(b.num_rows, np.int64)
+            for k, (x, y) in enumerate(zip(b.column(4).to_pylist(), b.column(5).to_pylist(), strict=True)):
+                x, y = np.frombuffer(x, np.uint64), np.frombuffer(y, np.uint64)
+                words = min(len(x), len(y))
+                unlike[k] = np.bitwise_count(folded(x, words) ^ folded(y, words)).sum(dtype=np.int64)
+            yield b.select(["u", "v"]).filter(pa.array(unlike * (num + den) <= n * (den - num)))
+
+    return run
+
+
 def _verified(num: int, den: int):
     def run(batches):
         for b in batches:
@@ -166,8 +190,10 @@ def _verified(num: int, den: int):
     return run
 
 
-def _verify(docs: DataFrame, pairs: DataFrame, words: int, num: int, den: int) -> DataFrame:
+def _verify(docs: DataFrame, told: DataFrame, pairs: DataFrame, words: int, num: int, den: int) -> DataFrame:
     """``u, v, sim`` of the pairs that are similar; only the texts that they name leave the scan of ``rid, text``."""
+    one, two = told.select(F.col("rid").alias("u"), F.col("n").alias("n1"), F.col("sign").alias("s1")), told.select(F.col("rid").alias("v"), F.col("n").alias("n2"), F.col("sign").alias("s2"))
+    pairs = settle(pairs.join(one, "u").join(two, "v").select("u", "v", "n1", "n2", "s1", "s2").mapInArrow(_likely(num, den), "u bigint, v bigint"))
     ids = settle(pairs.select(F.explode(F.array("u", "v")).alias("rid")).distinct())
     bits, size = bitmap(ids, "rid", ids.count())
     sets = settle(docs.filter(maybe_in(bits, size, F.col("rid"))).mapInArrow(_telling(words), "rid bigint, runs array<bigint>").join(ids, "rid", "left_semi"))
@@ -182,7 +208,7 @@ def _met(docs: DataFrame, words: int, num: int, den: int) -> tuple[DataFrame, Da
     seen = sample.mapInArrow(_telling(words), "rid bigint, runs array<bigint>").select(F.explode("runs").alias("s")).groupBy("s").count().filter(F.col("count") >= OFTEN).collect()
     seen = sorted((r[0] % 2**64, r[1]) for r in seen)
     shared = ship(spark, (np.array([r[0] for r in seen], np.uint64), np.array([r[1] for r in seen], np.int64)))
-    told = settle(docs.select("rid", "doc_id", "text").mapInArrow(_prefixes(shared, words, num, den), "rid bigint, doc_id bigint, n bigint, parity binary, prefix array<bigint>"))
+    told = settle(docs.select("rid", "doc_id", "text").mapInArrow(_prefixes(shared, words, num, den), "rid bigint, doc_id bigint, n bigint, parity binary, sign binary, prefix array<bigint>"))
     rows = told.select("rid", F.posexplode("prefix").alias("pos", "s")).select("s", "rid", F.col("pos").cast("long").alias("pos"))
     met = rows.repartition("s").mapInArrow(_meeting, "s bigint, rid bigint, pos bigint")
     return told.drop("prefix"), settle(met.join(told.select("rid", "n", "parity"), "rid"))
@@ -197,8 +223,8 @@ def similar_pairs(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text
     """``u, v, sim``: all pairs of ids, ``u < v``, whose texts have a Jaccard similarity of ``least`` or more. Ids are distinct."""
     num, den = Fraction(str(least)).as_integer_ratio()
     rows = docs.select(F.col(id_col).cast("long").alias("rid"), F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
-    _, met = _met(rows, words, num, den)
-    return _verify(rows.select("rid", "text"), _candidates(met.withColumn("root", F.col("rid")), num, den, False), words, num, den)
+    told, met = _met(rows, words, num, den)
+    return _verify(rows.select("rid", "text"), told, _candidates(met.withColumn("root", F.col("rid")), num, den, False), words, num, den)
 
 
 def drop_near(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 5, least: float = 0.8) -> DataFrame:
@@ -211,10 +237,10 @@ def drop_near(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", w
     placed = docs.withColumn(mark, F.monotonically_increasing_id())
     rows = placed.select(F.col(mark).alias("rid"), F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
     told, met = _met(rows, words, num, den)
-    links = settle(_verify(rows.select("rid", "text"), _candidates(met.withColumn("root", F.col("rid")), num, den, True), words, num, den).select("u", "v"))
+    links = settle(_verify(rows.select("rid", "text"), told, _candidates(met.withColumn("root", F.col("rid")), num, den, True), words, num, den).select("u", "v"))
     roots = settle(connect(links).select(F.col("node").alias("rid"), "root"))
     grouped = met.join(roots, "rid", "left").withColumn("root", F.coalesce("root", "rid"))
-    more = _verify(rows.select("rid", "text"), _candidates(grouped, num, den, False), words, num, den).select("u", "v")
+    more = _verify(rows.select("rid", "text"), told, _candidates(grouped, num, den, False), words, num, den).select("u", "v")
     roots = connect(links.unionByName(more)).select(F.col("node").alias("rid"), "root")
     order = F.struct(F.col("doc_id").isNull().alias("a"), F.col("doc_id").alias("b"), F.col("rid").alias("c"))
     known = settle(told.select("rid", "doc_id").join(roots, "rid"))
