@@ -170,16 +170,22 @@ def marginal_error(got: DataFrame, exact: DataFrame) -> DataFrame:
     return joined.agg(F.max(F.abs(F.col("a") - F.col("b"))).alias("max_error"), F.avg(F.abs(F.col("a") - F.col("b"))).alias("mean_error"))
 
 
+def _none_larger(comps: DataFrame, most: int) -> None:
+    n = comps.groupBy("comp").count().agg(F.max("count")).first()[0] or 0
+    if n > most:
+        raise OverBudget(f"a component has {n} atoms, at most {most} can be enumerated")
+
+
 def profiles(clauses: DataFrame, comps: DataFrame, policy: str = "listed", most: int = 12) -> DataFrame:
-    """``comp, a, b, opt_cost`` of components with at most ``most`` atoms."""
+    """``comp, a, b, opt_cost`` of every component. Raises ``OverBudget`` where one has more than ``most`` atoms."""
+    _none_larger(comps, most)
     schema = "comp bigint, a double, b double, opt_cost double"
 
     def run(t: pa.Table) -> pa.Table:
         out = []
         for comp, rows in _by_unit(t, "comp"):
             cl = kernel.Clauses.build(rows)
-            if len(cl.ids) <= most:
-                out.append((comp, *kernel.step_profile(cl, policy)))
+            out.append((comp, *kernel.step_profile(cl, policy)))
         return _table(out, schema)
 
     rows = binned(clauses, comps, budget="fixed")
@@ -261,8 +267,11 @@ def _piece_search(flips: int, noise: float, policy: str, seed: int, sweep: int):
     return run
 
 
-def condition_on(clauses: DataFrame, boundary: list[int]) -> DataFrame:
-    """``hard, soft``: the least cost by trying all values of a few boundary atoms and solving what falls apart exactly."""
+def condition_on(clauses: DataFrame, boundary: list[int], most: int = 16) -> DataFrame:
+    """``hard, soft``: the least cost by trying all values of a few boundary atoms and solving what falls apart exactly.
+
+    Raises ``OverBudget`` where a component of more than ``most`` atoms is left.
+    """
     spark, best = clauses.sparkSession, None
     every = views.literals(clauses).select("aid").distinct()
     fixed = spark.createDataFrame([(b,) for b in boundary], "aid long")
@@ -274,7 +283,9 @@ def condition_on(clauses: DataFrame, boundary: list[int]) -> DataFrame:
         rest = settle(residual(clauses, pieces, state, spark.createDataFrame([(1,)], "piece long")).drop("piece").withColumn("rule", F.lit("")))
         held = views.judged(clauses, values.unionByName(inner.select("aid", F.lit(False).alias("value"))))
         gone = held.join(rest.select("cid"), "cid", "left_anti").filter("violated").agg(F.coalesce(F.sum(F.when(F.col("is_hard"), F.col("multiplicity"))), F.lit(0)).alias("h"), F.coalesce(F.sum(F.when(~F.col("is_hard"), F.abs("weight"))), F.lit(0.0)).alias("s")).first()
-        inside = enumerate_components(rest, views.components(rest)).agg(F.coalesce(F.sum("hard"), F.lit(0)).alias("h"), F.coalesce(F.sum("soft"), F.lit(0.0)).alias("s")).first()
+        comps = settle(views.components(rest))
+        _none_larger(comps, most)
+        inside = enumerate_components(rest, comps, most).agg(F.coalesce(F.sum("hard"), F.lit(0)).alias("h"), F.coalesce(F.sum("soft"), F.lit(0.0)).alias("s")).first()
         cost = (int(gone.h + inside.h), float(gone.s + inside.s))
         best = cost if best is None else min(best, cost)
     return spark.createDataFrame([best], "hard long, soft double")

@@ -320,6 +320,20 @@ def test_splitting_and_conditioning(spark):
     assert 0 < stats.cut_clauses < stats.clauses
 
 
+def test_no_component_is_left_out(spark):
+    f = g.ground(*workloads.bridged_rings(spark, D))
+    end = f.atoms.tables["on"].agg(F.min("aid")).first()[0]
+    with pytest.raises(solve.OverBudget, match="component"):
+        solve.condition_on(f.clauses, [end], most=3)
+    with pytest.raises(solve.OverBudget, match="component"):
+        solve.profiles(f.clauses, views.components(f.clauses), most=3)
+    chain = [(k, [-k, k + 1], 1.0, False, 1, "r") for k in range(1, 20)] + [(20, [1], 9.0, False, 1, "r"), (21, [-20], 9.0, False, 1, "r")]
+    rows = spark.createDataFrame(chain, "cid bigint, lits array<bigint>, weight double, is_hard boolean, multiplicity bigint, rule string")
+    with pytest.raises(solve.OverBudget, match="component"):
+        solve.condition_on(rows, [1])
+    assert solve.condition_on(rows, [1, 10]).first().soft == 1.0
+
+
 def test_graph_is_its_field(spark):
     edges = workloads.nation_flows(spark, D)
     f = g.ground(*workloads.graph_program(edges))
