@@ -2,15 +2,16 @@
 
 The standard library's parser streams events. Text between block-level boundaries is one line; a line knows its text,
 the tags seen since the line before, how much of it is link text, whether it stands in page furniture (by element,
-role, or the words of class and id), and which article-like element holds it. Every line's ratio of text to tags is
+role, or the words of class and id), and which region holds it: an outermost article-like element with all it holds and
+its like siblings under the same parent. Every line's ratio of text to tags is
 smoothed over its neighbours with a Gaussian kernel, and a two-means threshold over the smoothed ratios separates
-content lines from the rest. The article-like element with most content text is the region to take, and all its lines
+content lines from the rest. The region with most content text is taken, and all its lines
 outside furniture are taken, so that short paragraphs between long ones stay. On pages without such an element the
 region runs from the first to the last content line, without furniture and link lists. A page with no line above the
 threshold gives what is outside furniture.
 
 Rules of nesting are those that matter here: a block start ends an open paragraph, an end tag closes what is open
-inside it, an end tag without start is ignored, missing end tags are closed at the end.
+inside it, an end tag without start is ignored, an open head ends where something else than its content starts, missing end tags are closed at the end.
 
 Edge cases: null or empty html gives the empty text; broken markup gives what can be read; equal rows give equal
 results; extra columns are ignored.
@@ -45,6 +46,7 @@ MARKS = frozenset(
 )
 ARTICLES = frozenset(("article", "main"))
 BODY_MARKS = frozenset("article content main post entry story body text".split())
+HEAD_CONTENT = frozenset("base basefont bgsound head html link meta noframes noscript script style template title".split())
 HEADINGS = frozenset(("h1", "h2", "h3", "h4", "h5", "h6"))
 _SAFE = frozenset(("html", "body", "article", "main"))
 
@@ -72,15 +74,15 @@ def _marked(tag: str, attrs: list[tuple[str, str | None]], inside: bool) -> bool
 
 
 class _Lines(HTMLParser):
-    """Lines of a page: ``[text, tags, link characters, furniture, article number]``."""
+    """Lines of a page: ``[text, tags, link characters, furniture, region]``."""
 
     def __init__(self):
         super().__init__(convert_charrefs=True)
         self.lines: list[tuple[str, int, int, bool, int]] = []
         self.text: list[str] = []
         self.tags = self.linked = self.silent = self.bad = self.links = 0
-        self.articles, self.inside = 0, [0]
-        self.open: list[tuple[str, bool, bool, bool]] = []  # tag, silent, furniture, article
+        self.elements, self.inside = 0, [0]
+        self.open: list[tuple[str, bool, bool, bool, int]] = []  # tag, silent, furniture, article, number
 
     def flush(self) -> None:
         line = " ".join("".join(self.text).split()) if self.text else ""
@@ -90,15 +92,21 @@ class _Lines(HTMLParser):
         self.text, self.linked = [], 0
 
     def _pop(self) -> None:
-        tag, silent, bad, article = self.open.pop()
+        tag, silent, bad, article, _ = self.open.pop()
         self.silent -= silent
         self.bad -= bad
         self.links -= tag == "a"
         if article:
             self.inside.pop()
 
+    def _leave_head(self) -> None:
+        while any(o[0] == "head" for o in self.open):
+            self._pop()
+
     def handle_starttag(self, tag, attrs):
         self.tags += 1
+        if self.silent and (tag == "body" or self.open[-1][0] == "head" and tag not in HEAD_CONTENT):
+            self._leave_head()
         if tag in BLOCKS:
             self.flush()
             while self.open and self.open[-1][0] not in BLOCKS and any(o[0] == "p" for o in self.open[-6:]):
@@ -112,12 +120,12 @@ class _Lines(HTMLParser):
         silent, bad = tag in SILENT, _marked(tag, attrs, self.inside[-1] > 0)
         article = not bad and not self.bad and (tag in ARTICLES or dict(attrs).get("role") == "main")
         if article:
-            self.articles += 1
-            self.inside.append(self.articles)
+            self.inside.append(self.inside[-1] or 1 + (self.open[-1][4] if self.open else 0))
         self.silent += silent
         self.bad += bad
         self.links += tag == "a"
-        self.open.append((tag, silent, bad, article))
+        self.elements += 1
+        self.open.append((tag, silent, bad, article, self.elements))
 
     def handle_startendtag(self, tag, attrs):
         self.handle_starttag(tag, attrs)
@@ -137,6 +145,8 @@ class _Lines(HTMLParser):
                 return  # an inline end tag does not close blocks
 
     def handle_data(self, data):
+        if self.silent and self.open[-1][0] == "head" and data.strip():
+            self._leave_head()
         if not self.silent:
             self.text.append(data)
             if self.links:

@@ -229,6 +229,22 @@ def test_main_text_without_furniture():
     assert html_extract.main_text("<body><div class=sidebar>x</div><div><p>" + "long text " * 30 + "</p></div><p><a href=a>link</a></p>") == ("long text " * 30).strip()
 
 
+def test_main_text_with_omitted_head_end():
+    prose = "long text " * 30
+    for start in ("<body>", "", "<body class=x><script>s</script>"):
+        page = f"<html><head><title>T</title><meta charset=utf-8><script>var a</script>{start}<nav>m</nav><article><h1>H</h1><p>{prose}</article></html>"
+        assert html_extract.main_text(page) == "H\n\n" + prose.strip()
+    assert html_extract.main_text("<head><title>T</title>" + prose) == prose.strip()
+
+
+def test_main_text_takes_nested_and_sibling_parts():
+    prose = "long text " * 30
+    page = f"<body><main><h1>Title</h1><p>Lead</p><article><p>{prose}</article><aside><article>ad</article></aside></main><footer>f</footer>"
+    assert html_extract.main_text(page) == "Title\n\nLead\n\n" + prose.strip()
+    page = f"<body><p>x</p><div><article><p>{prose}</article><article><p>Part two</article><article class=promo>p</article></div>"
+    assert html_extract.main_text(page) == prose.strip() + "\n\nPart two"
+
+
 def test_main_text_of_pages(spark):
     import html
 
