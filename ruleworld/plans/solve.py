@@ -397,7 +397,8 @@ def solve_map(program: Program, evidence: dict[str, DataFrame], budget: int = 10
     t2 = time.perf_counter()
     flips = 0
     if path == "table":
-        world, _, rate = table_walk(fld.clauses, min(total, 50), seed=seed)
+        world, costs, _ = table_walk(fld.clauses, total, seed=seed)
+        flips = len(costs) - 1
     elif path == "pieces":
         pieces = settle(split.split_bounded(fld.clauses, comps, budget))
         world, _ = alternate(fld, pieces, sweeps, max(1, total // sweeps), policy=policy, seed=seed)

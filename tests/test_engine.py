@@ -348,6 +348,13 @@ def test_paths_and_budgets(spark):
     assert split_up.path == "pieces" and split_up.soft == pytest.approx(3.75)
 
 
+def test_table_path_runs_and_reports_its_flips(spark, monkeypatch):
+    asked = []
+    monkeypatch.setattr(solve, "table_walk", lambda clauses, flips, seed: asked.append(flips) or (views.constant_world(clauses, False), [(0, 1.0)] * (flips + 1), 1.0))
+    r = solve.solve_map(*workloads.running_example(spark), budget=1, may_split=False, total=70)
+    assert (r.path, r.flips, asked) == ("table", 70, [70])
+
+
 def test_table_search(spark):
     f = g.ground(*workloads.twin_atoms(spark, D, "nation", 2))
     world, costs, rate = solve.table_walk(f.clauses, 3, clustered=True)
