@@ -1,9 +1,12 @@
-"""Token ids of a public tokenizer, with bounded memos of chunks and of words.
+"""Token ids of a public tokenizer, with a bounded memo of chunks.
 
 A byte-level pre-tokenizer never joins what stands before a space with a space that a non-space character follows.
-So a text is cut there into chunks, and a text's ids are its chunks' ids in a row. A chunk not in the memo is split by
-the pre-tokenizer's pattern (letters, and letters before one stop, need no pattern); words not in the memo
-go to the library's merge model, in its byte-level alphabet. Texts that hold the string of an added token are given to
+So a text is cut there into chunks, and a text's ids are its chunks' ids in a row. A batch of texts is cut and its
+distinct chunks are found by Arrow kernels. Of chunks that are not in the memo, words of Latin letters (and signs after them)
+go to the library's merge model, the others to the whole tokenizer, many as one text in which each starts with a space;
+the ids come apart again at the tokens that start with one. The ids of a batch
+are then gathered as one array. The memo has two generations: when the younger is full it becomes the elder, and what
+the elder still gives is taken over, so chunks in use stay. Texts that hold the string of an added token are given to
 the full tokenizer, as are all texts of tokenizers of another kind; the first texts of each process are encoded both
 ways and compared.
 """
@@ -14,14 +17,15 @@ import gc
 import json
 import re
 import sys
-from array import array
-from itertools import filterfalse
 
 import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 
 _CUT = re.compile(r" (?=\S)")
-#: Fixed value: the pre-tokenizer pattern of byte-level tokenizers.
-WORD_PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
+#: First characters that are surely no white space.
+_SURE = r"^[!-~\x{A1}-\x{24F}]"
+_SIGNS = "!\"#$%&'()*+,-./:;<=>?@[\\]^_`{|}~"
 
 
 def public_vocabulary(name: str) -> str:
@@ -51,15 +55,23 @@ def forget() -> None:
     sys.__dict__.pop("_ruleworld_encoders", None)
 
 
+def gathered(flat: np.ndarray, size: np.ndarray, codes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Runs of ``flat`` (of the sizes ``size``, one after another) in the order of ``codes``, and the end of each."""
+    start = np.cumsum(size) - size
+    own = size[codes]
+    ends = np.cumsum(own)
+    return flat[np.repeat(start[codes] - (ends - own), own) + np.arange(ends[-1] if len(ends) else 0)], ends
+
+
 class Encoder:
-    """Encodes texts to little-endian unsigned 32-bit ids, as bytes."""
+    """Encodes texts to little-endian unsigned 32-bit ids."""
 
-    def __init__(self, vocabulary: str, memo: int = 500_000, longest: int = 64, probes: int = 4):
+    def __init__(self, vocabulary: str, memo: int = 300_000, longest: int = 64, probes: int = 4):
         import os
 
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")  # one task, one core
-        import regex
         from tokenizers import Tokenizer
+        from tokenizers.pre_tokenizers import CharDelimiterSplit
 
         path = public_vocabulary(vocabulary) if "/" not in vocabulary else vocabulary
         self.tokenizer = Tokenizer.from_file(path)
@@ -70,105 +82,189 @@ class Encoder:
         self.added = [t["content"] for t in told.get("added_tokens", [])]
         self.size = self.tokenizer.get_vocab_size()
         self.limit, self.longest, self.probes = memo, longest, probes
-        self.spaced: dict[str | None, bytes] = {None: b""}  # chunks and words that a space leads, without it; None: a head's place
-        self.plain: dict[str, bytes] = {"": b""}  # others
-        self.find = regex.compile(WORD_PATTERN).findall
-        self.letters = byte_letters()
+        self.young: dict[str, bytes] = {}  # chunks that a space leads, without it
+        self.elder: dict[str, bytes] = {}
+        #: whether a token starts with a space, which the byte-level alphabet shows as the letter U+0120
+        self.spaced = np.zeros(self.size, bool)
+        for token, i in self.tokenizer.get_vocab().items():
+            self.spaced[i] = token.startswith("\u0120")
+        self.tails: dict[str, bytes] = {"": b""}
+        self.alphabet = np.arange(256, dtype="<u4")
+        for b, c in byte_letters().items():
+            self.alphabet[b] = c
+        self.alphabet[10] = 10  # between words
+        self.merges = Tokenizer(self.tokenizer.model)
+        self.merges.pre_tokenizer = CharDelimiterSplit("\n")
 
     def whole(self, texts: list[str]) -> list[bytes]:
         return [np.array(e.ids, "<u4").tobytes() for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
 
-    def _merge(self, words: list[str]) -> list[bytes]:
-        """Ids of words by the library's merge model."""
-        tokenize, letters = self.tokenizer.model.tokenize, self.letters
-        shown = (w.encode("utf-8").decode("latin-1").translate(letters) for w in words)
-        return [array("I", [t.id for t in tokenize(w)]).tobytes() for w in shown]
-
-    def _learn(self, spaced: set[str], plain: set[str]) -> list[tuple[dict, str]]:
-        """Put new chunks into the memos; returns those too long to stay."""
-        parts = []
-        words, led = set(), set()
-        for memo, fresh, lead in ((self.spaced, spaced, True), (self.plain, plain, False)):
-            for c in fresh:
-                if c.isalpha():
-                    (led if lead else words).add(c)
-                    continue
-                if lead and c[-1] in ".,;:!?" and c[:-1].isalpha():
-                    rest, first = c[-1], c[:-1]
-                else:
-                    rest, first = self.find(" " + c if lead else c), None
-                    if lead and len(rest[0]) > 1:
-                        first, rest = rest[0][1:], rest[1:]
-                parts.append((memo, c, first, rest))
-                words.update(rest)
-                if first is not None:
-                    led.add(first)
-        done = []
-        for memo, names, lead in ((self.spaced, led, " "), (self.plain, words, "")):
-            new = list(filterfalse(memo.__contains__, names))
-            memo.update(zip(new, self._merge([lead + w for w in new] if lead else new), strict=True))
-            done += [(memo, w) for w in new if len(w) > self.longest]
-        get, first_of = self.plain.__getitem__, self.spaced
-        for memo, c, first, rest in parts:
-            memo[c] = (first_of[first] if first is not None else b"") + b"".join(map(get, rest))
-            if len(c) > self.longest:
-                done.append((memo, c))
-        return done
+    def _learn(self, chunks: list[str]) -> list[bytes]:
+        """Ids of chunks that a space leads. Latin letters, and ASCII signs after them, need no pattern."""
+        stems = [c.rstrip(_SIGNS) for c in chunks]
+        words = {s for s in stems if s.isalpha() and (s.isascii() or max(s) < "\u0250")}
+        known = {s: x for s in words if (x := self.young.get(s)) is not None}
+        new = list(words.difference(known))
+        known.update(zip(new, self._merged(new), strict=True))
+        self.young.update((s, known[s]) for s in new if len(s) <= self.longest)
+        if len(self.tails) > 10_000:
+            self.tails.clear()
+        tails = {c[len(s) :] for c, s in zip(chunks, stems, strict=True) if s in known}.difference(self.tails)
+        if tails:
+            self.tails.update(zip(tails, self.whole(list(tails)), strict=True))
+        out = [known[s] + self.tails[c[len(s) :]] if s in known else None for c, s in zip(chunks, stems, strict=True)]
+        rest = [k for k, x in enumerate(out) if x is None]
+        for k, x in zip(rest, self._patterned([chunks[k] for k in rest]), strict=True):
+            out[k] = x
+        return out
 
-    def encode(self, texts: list[str]) -> list[bytes]:
+    def _merged(self, words: list[str], at_once: int = 20_000) -> list[bytes]:
+        """Ids of words that a space leads, by the merge model, in its byte-level alphabet."""
+        out: list[bytes] = []
+        for k in range(0, len(words), at_once):
+            part = words[k : k + at_once]
+            raw = np.frombuffer((" " + "\n ".join(part)).encode(), np.uint8)
+            shown = self.alphabet[raw].tobytes().decode("utf-32-le")
+            out += self._apart(self.merges.encode_batch_fast([shown], add_special_tokens=False)[0].ids, len(part))
+        return out
+
+    def _apart(self, ids: list[int], parts: int) -> list[bytes] | None:
+        """Ids cut where a token starts with a space; None if that gives another number of parts."""
+        ids = np.array(ids, "<u4")
+        first = np.flatnonzero(self.spaced[ids])
+        if len(first) != parts:
+            return None
+        raw, ends = ids.tobytes(), [*(4 * first[1:]).tolist(), 4 * len(ids)]
+        return [raw[a:b] for a, b in zip([0, *ends[:-1]], ends, strict=True)]
+
+    def _patterned(self, chunks: list[str], at_once: int = 20_000) -> list[bytes]:
+        """Ids of chunks that a space leads, by the whole tokenizer."""
+        out: list[bytes] = []
+        for k in range(0, len(chunks), at_once):
+            part = chunks[k : k + at_once]
+            told = self._apart(self.tokenizer.encode_batch_fast([" " + " ".join(part)], add_special_tokens=False)[0].ids, len(part))
+            out += self.whole([" " + c for c in part]) if told is None else told  # None: one holds another space
+        return out
+
+    def _ids(self, chunks: list[str]) -> list[bytes]:
+        """Ids of distinct chunks, through the memo."""
+        young, elder = self.young, self.elder
+        out = list(map(young.get, chunks))
+        missing = [k for k, x in enumerate(out) if x is None]
+        fresh = []
+        for k in missing:
+            x = elder.get(chunks[k])
+            if x is None:
+                fresh.append(k)
+            else:
+                young[chunks[k]] = out[k] = x
+        for k, x in zip(fresh, self._learn([chunks[k] for k in fresh]), strict=True):
+            out[k] = x
+            if len(chunks[k]) <= self.longest:
+                young[chunks[k]] = x
+        if len(young) > self.limit:
+            self.elder, self.young = young, {}
+        return out
+
+    def arrays(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of all texts in a row, and where each text's end."""
+        if not texts:
+            return np.zeros(0, "<u4"), np.zeros(0, np.int64)
         if not self.chunked:
-            return self.whole(texts)
-        plain = [k for k, t in enumerate(texts) if not any(a in t for a in self.added)]
-        cut = [texts[k].split(" ") for k in plain]
-        if len(self.spaced) > self.limit:
-            self.spaced = {None: b""}
-        if len(self.plain) > self.limit // 4:
-            self.plain = {"": b""}
-        heads, seen, has = [], set(), self.spaced.__contains__
-        for c in cut:
-            heads.append(c[0])
-            c[0] = None
-            seen.update(filterfalse(has, c))
-        wrong = {c for c in seen if not c or c[0].isspace()}  # a space that no non-space follows; never in the memo
-        if wrong:
-            seen -= wrong
-            for j, k in enumerate(plain):
-                if not wrong.isdisjoint(cut[j]):
-                    cut[j] = _CUT.split(texts[k])
-                    heads[j], cut[j][0] = cut[j][0], None
-                    seen.update(filterfalse(has, cut[j]))
-        long = self._learn(seen, set(filterfalse(self.plain.__contains__, heads)))
-        out: list[bytes] = [b""] * len(texts)
-        get, first = self.spaced.__getitem__, self.plain
-        for k, head, c in zip(plain, heads, cut, strict=True):
-            out[k] = first[head] + b"".join(map(get, c))
-        for memo, c in long:
-            memo.pop(c, None)
-        if len(plain) < len(texts):
-            rest = sorted(set(range(len(texts))).difference(plain))
-            for k, ids in zip(rest, self.whole([texts[k] for k in rest]), strict=True):
-                out[k] = ids
-        if self.probes and texts:
+            return self._joined(self.whole(texts))
+        special = [any(a in t for a in self.added) for t in texts]
+        plain = [t for t, s in zip(texts, special, strict=True) if not s]
+        ids, ends = self._plain(plain)
+        if any(special):
+            rest = iter(self.whole([t for t, s in zip(texts, special, strict=True) if s]))
+            own = iter(np.split(ids, ends[:-1]) if len(ends) else [])
+            ids, ends = self._joined([next(rest) if s else next(own).tobytes() for s in special])
+        if self.probes:
             n = min(self.probes, len(texts))
             self.probes -= n
-            if self.whole(texts[:n]) != out[:n]:
+            if b"".join(self.whole(texts[:n])) != ids[: ends[n - 1]].tobytes():
                 self.chunked = False
-                return self.whole(texts)
-        return out
+                return self.arrays(texts)
+        return ids, ends
+
+    def _joined(self, parts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+        return np.frombuffer(b"".join(parts), "<u4"), np.cumsum([len(p) // 4 for p in parts])
 
-    def stream(self, texts, at_once: int = 32, chars: int = 1_000_000):
-        """Ids of each text of an iterable, in order, encoding bounded batches; null is the empty text."""
+    def _plain(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        if not texts:
+            return np.zeros(0, "<u4"), np.zeros(0, np.int64)
+        parts = pc.split_pattern(pa.array(texts, pa.large_string()), " ")
+        cut = parts.values.dictionary_encode()
+        chunks, codes, number = cut.dictionary.to_numpy(zero_copy_only=False).tolist(), cut.indices.to_numpy(), np.diff(parts.offsets.to_numpy())
+        last = np.cumsum(number)
+        first = last - number
+        # a space that no non-space follows is no cut: texts with one are cut anew
+        doubtful = np.flatnonzero(~pc.match_substring_regex(cut.dictionary, _SURE).to_numpy(zero_copy_only=False))
+        wrong = np.zeros(len(chunks), bool)
+        wrong[[k for k in doubtful.tolist() if not chunks[k] or chunks[k][0].isspace()]] = True
+        torn = wrong[codes]
+        torn[first] = False
+        if torn.any():
+            return self._torn(texts, set(np.repeat(np.arange(len(texts)), number)[torn].tolist()))
+        told = self._ids([c for c, w in zip(chunks, wrong.tolist(), strict=True) if not w] if wrong.any() else chunks)
+        at = np.cumsum(~wrong) - 1  # a wrong chunk can only be the first of its text here
+        codes, heads = at[codes], [chunks[c] for c in codes[first].tolist()]
+        codes[first] = np.arange(len(told), len(told) + len(heads))
+        told += self.whole(heads)
+        ids, ends = gathered(np.frombuffer(b"".join(told), "<u4"), np.fromiter(map(len, told), np.int64, len(told)) // 4, codes)
+        return ids, ends[last - 1]
+
+    def _torn(self, texts: list[str], torn: set[int]) -> tuple[np.ndarray, np.ndarray]:
+        """Texts of which some hold spaces in a row, or before a line's end."""
+        ids, ends = self._plain([t for k, t in enumerate(texts) if k not in torn])
+        own = iter(np.split(ids, ends[:-1]) if len(ends) else [])
+        names: dict[str, int] = {}
+        cuts = []
+        for k in sorted(torn):
+            head, *rest = _CUT.split(texts[k])
+            cuts.append((head, [names.setdefault(c, len(names)) for c in rest]))
+        told = self._ids(list(names))
+        heads = iter(self.whole([h for h, _ in cuts]))
+        again = iter(cuts)
+        return self._joined([next(heads) + b"".join([told[c] for c in next(again)[1]]) if k in torn else next(own).tobytes() for k in range(len(texts))])
+
+    def encode(self, texts: list[str]) -> list[bytes]:
+        ids, ends = self.arrays(texts)
+        raw, ends = ids.tobytes(), (4 * ends).tolist()
+        return [raw[a:b] for a, b in zip([0, *ends[:-1]] if ends else [], ends, strict=True)]
+
+    def stream(self, texts, at_once: int = 2000, chars: int = 3_000_000):
+        """Ids of each text of an iterable, in order, as bytes, encoding bounded batches; null is the empty text."""
         part: list[str] = []
         size, collecting = 0, gc.isenabled()
-        gc.disable()  # nothing here is cyclic, and the many short lists would set the collector off again and again
+        gc.disable()  # nothing here is cyclic, and the many small objects would set the collector off again and again
         try:
             for t in texts:
-                part.append(t or "")
-                size += len(part[-1])
+                t = t or ""
+                if len(t) > chars:  # in segments, of which all but the first start with a space
+                    yield from self.encode(part)
+                    part, size = [], 0
+                    yield b"".join(b for s in self._segments(t, chars) for b in self.encode([s]))
+                    continue
+                part.append(t)
+                size += len(t)
                 if len(part) == at_once or size > chars:
                     yield from self.encode(part)
                     part, size = [], 0
-            yield from self.encode(part) if part else ()
+            yield from self.encode(part)
         finally:
             if collecting:
                 gc.enable()
+
+    def _segments(self, text: str, chars: int):
+        if not self.chunked or any(a in text for a in self.added):
+            yield text
+            return
+        at = 0
+        while len(text) - at > chars:
+            cut = _CUT.search(text, at + chars)
+            if cut is None:
+                break
+            yield text[at : cut.start()]
+            at = cut.start()
+        yield text[at:]
