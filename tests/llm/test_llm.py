@@ -254,11 +254,66 @@ def test_main_text_of_pages(spark):
         assert html_extract.main_text(r.html) == "\n\n".join(b for b in blocks if b)
 
 
+def page_of_blocks(chance, marked):
+    """A page without article elements: short link lines, a story of some long and short blocks, short lines after it."""
+    words = lambda n: " ".join(chance.choices(["stone", "river", "of", "and", "light", "under"], k=n))
+    story = [words(chance.choice([3, 40, 60])) for _ in range(chance.randint(4, 9))] + [words(50)]
+    around = [f'<div{" class=menu" if marked else ""}><a href=x>{words(2)}</a></div>' for _ in range(12)]
+    return f"<body><div>{''.join(around)}</div><div>{''.join(f'<p>{x}</p>' for x in story)}</div><div>{''.join(around)}</div></body>", "\n\n".join(story)
+
+
+def test_ratios_decide_where_elements_do_not(monkeypatch):
+    chance = random.Random(3)
+    made = [page_of_blocks(chance, marked) for marked in (False, True) for _ in range(40)]
+    assert all(html_extract.main_text(page) == story for page, story in made)
+    monkeypatch.setattr(html_extract, "line_ratios", lambda page: np.ones(len(page.lines)))
+    assert sum(html_extract.main_text(page) != story for page, story in made[:40]) > 30
+
+
+def test_ratios_smoothing_and_threshold_equal_plain_loops():
+    chance = random.Random(8)
+    page = html_extract.read_page(page_of_blocks(chance, False)[0])
+    ratio = html_extract.line_ratios(page)
+    assert ratio.tolist() == [(len(x.text) - x.linked + 1) / max(1, x.tags) for x in page.lines]
+    n, near = len(ratio), lambda k: [j for j in range(k - 2, k + 3) if 0 <= j < len(ratio)]
+    want = [sum(ratio[j] * np.exp(-((j - k) ** 2) / 2) for j in near(k)) / sum(np.exp(-((j - k) ** 2) / 2) for j in near(k)) for k in range(n)]
+    smooth = html_extract.smoothed(ratio)
+    assert np.allclose(smooth, want)
+    cut = html_extract.threshold(smooth)
+    low, high = smooth[smooth <= cut], smooth[smooth > cut]
+    assert len(low) and len(high) and abs(cut - (low.mean() + high.mean()) / 2) < 1e-9
+
+
+def test_no_block_is_lost_for_a_word_of_its_class():
+    prose = "long text " * 30
+    for page in (
+        f'<div class="story social-policy"><article><h1>T</h1><p>{prose}<p>Short.<p>{prose}</article></div>',
+        f'<article><div class="reader comment"><h1>T</h1><p>{prose}</p><p>Short.</p><p>{prose}</p></div></article>',
+        f"<form><nav><a>m</a></nav><div><h1>T</h1><p>{prose}</p><p>Short.</p><p>{prose}</p></div></form>",
+    ):
+        assert html_extract.main_text(page) == f"T\n\n{prose.strip()}\n\nShort.\n\n{prose.strip()}"
+
+
+def test_main_text_of_broken_markup_in_linear_time():
+    import time
+
+    def seconds(n):
+        began = time.process_time()
+        for page in ("<b><div>" + "<span>" * n + "x" + "</b>" * n, "<div>a" * n + "</p>" * n, "<li>a" * n):
+            html_extract.main_text(page)
+        return time.process_time() - began
+
+    seconds(1000)
+    assert seconds(40_000) < 30 * max(seconds(4_000), 0.05)
+    assert html_extract.main_text("<div>" * 5000 + "word " * 40) == ("word " * 40).strip()
+
+
 def test_main_text_edges(spark):
     pages = spark.createDataFrame([(1, None, None), (2, "u", ""), (2, "u", "<p>a</p>"), (None, "u", "< <p <b>x"), (3, "u", "<nav>only</nav>")], "page_id bigint, url string, html string")
     rows = html_extract.extract(pages.withColumn("text", F.lit("clash"))).collect()
     assert [r.text for r in rows][:3] == ["", "", "a"] and rows[4].text == ""
     assert all(r.n_chars == len(r.text) for r in rows)
+    assert html_extract.extract(pages.limit(0)).count() == 0
 
 
 # 4 -------------------------------------------------------------------------------------------------------------------
