@@ -1,8 +1,9 @@
 """Exact deduplication over a log-structured merge index of text digests.
 
-Tasks fill bounded memtables of SHA-256 digests and flush them as sorted runs; runs meet by digest and are
-compacted, so that a digest ends with one entry (the row that stays, the number of rows). Hot digests shrink to
-one entry a memtable before anything is shuffled. Digests with several rows are hits: their texts are compared
+Tasks fill bounded memtables of SHA-256 digests and flush them as sorted runs; runs meet by digest in an index of
+levels of sorted runs, each with a filter. Hot digests shrink to one entry a memtable before anything is shuffled.
+Compaction leaves a digest one entry (the row that stays, the number of rows); digests that the filters of all other
+runs deny have one row and skip it. Digests with several rows are hits: their texts are compared
 byte by byte, by grouping on the text itself, which collapses equal copies within a task before the shuffle. A
 bitmap of bounded size of the hit digests keeps the texts of all other rows out of that shuffle. Should a digest ever hold
 different texts, its rows are grouped by text instead.
@@ -18,34 +19,41 @@ import heapq
 from bisect import bisect_left
 from collections.abc import Iterator
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ruleworld.llm.tokens import forget
-from ruleworld.llm.sift import bitmap, maybe_in, without
+from ruleworld.llm.sift import bitmap, maybe_in, numbered, without
 from ruleworld.sources.scratch import settle
 
 ENTRY = "digest binary, has_id boolean, id bigint, rid bigint, n bigint"
 
 
 class DigestFilter:
-    """Bloom filter whose positions are words of the digest, which is uniform already."""
-
-    def __init__(self, expected: int, bits_each: int = 10, hashes: int = 4):
-        self.size, self.hashes = max(64, expected * bits_each), hashes
-        self.bits = bytearray((self.size + 7) // 8)
-
-    def _places(self, digest: bytes) -> Iterator[int]:
-        low, step = int.from_bytes(digest[:8], "little"), int.from_bytes(digest[-8:], "little") | 1
-        return ((low + k * step) % self.size for k in range(self.hashes))
-
-    def add(self, digest: bytes) -> None:
-        for x in self._places(digest):
-            self.bits[x >> 3] |= 1 << (x & 7)
-
-    def __contains__(self, digest: bytes) -> bool:
-        return all(self.bits[x >> 3] >> (x & 7) & 1 for x in self._places(digest))
+    """Bloom filter whose positions are words of the digests, which are uniform already."""
+
+    def __init__(self, digests: list[bytes], bits_each: int = 12, hashes: int = 4):
+        self.size, self.hashes = max(64, len(digests) * bits_each), hashes
+        self.bits = np.zeros(self.size, bool)
+        for places in self._places(digests):
+            self.bits[places] = True
+
+    def _places(self, digests: list[bytes]) -> Iterator[np.ndarray]:
+        if not digests:
+            return
+        words = np.frombuffer(b"".join(d.ljust(32, b"\0") for d in digests), "<u8").reshape(-1, 4)
+        low, step = words[:, 0], words[:, 1] ^ words[:, 3] | np.uint64(1)
+        for k in range(self.hashes):
+            yield ((low + np.uint64(k) * step) % np.uint64(self.size)).astype(np.int64)
+
+    def holds(self, digests: list[bytes]) -> np.ndarray:
+        """False for digests that are surely not in it."""
+        out = np.ones(len(digests), bool)
+        for places in self._places(digests):
+            out &= self.bits[places]
+        return out
 
 
 class SortedRun:
@@ -54,12 +62,10 @@ class SortedRun:
     def __init__(self, items: list[tuple[bytes, tuple]]):
         self.digests = [k for k, _ in items]
         self.entries = [v for _, v in items]
-        self.filter = DigestFilter(len(items))
-        for k in self.digests:
-            self.filter.add(k)
+        self.filter = DigestFilter(self.digests)
 
     def get(self, digest: bytes) -> tuple | None:
-        if digest not in self.filter:
+        if not self.filter.holds([digest])[0]:
             return None
         at = bisect_left(self.digests, digest)
         return self.entries[at] if at < len(self.digests) and self.digests[at] == digest else None
@@ -106,8 +112,11 @@ class DigestIndex:
             self._push(level + 1, SortedRun(list(self._compact(runs))))
 
     def _compact(self, runs: list[SortedRun]) -> Iterator[tuple[bytes, tuple]]:
+        return self._merged([zip(r.digests, r.entries, strict=True) for r in runs])
+
+    def _merged(self, parts: list) -> Iterator[tuple[bytes, tuple]]:
         last, entry = None, None
-        for digest, e in heapq.merge(*(zip(r.digests, r.entries, strict=True) for r in runs), key=lambda x: x[0]):
+        for digest, e in heapq.merge(*parts, key=lambda x: x[0]):
             if digest == last:
                 entry = self.merge(entry, e)
                 continue
@@ -128,6 +137,24 @@ class DigestIndex:
         self.flush()
         return self._compact([r for level in self.levels for r in level])
 
+    def hits(self) -> Iterator[tuple[bytes, tuple]]:
+        """Entries of digests with several rows, in digest order.
+
+        An entry of one row whose digest no other run's filter holds is alone; it is left out before runs are merged.
+        """
+        self.flush()
+        runs = [r for level in self.levels for r in level]
+        left = []
+        for r in runs:
+            stays = np.fromiter((n > 1 for _, n in r.entries), bool, len(r.entries))
+            for other in runs:
+                if other is not r:
+                    at = np.flatnonzero(~stays)
+                    stays[at] = other.filter.holds([r.digests[k] for k in at.tolist()])
+            at = np.flatnonzero(stays).tolist()
+            left.append(zip([r.digests[k] for k in at], [r.entries[k] for k in at], strict=True))
+        return ((d, e) for d, e in self._merged(left) if e[1] > 1)
+
 
 def _batches(items, size: int = 20_000) -> Iterator[pa.RecordBatch]:
     part: list = []
@@ -176,25 +203,25 @@ def _compacting(keep: str, memtable: int):
         index = DigestIndex(keep, memtable)
         for digest, has_id, i, rid, n in _rows(batches):
             index.put(digest, ((has_id, i, rid), n))
-        yield from _batches(index.scan())
+        yield from _batches(index.hits())
 
     return compact
 
 
-def exact_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", keep: str = "smallest", digest_bytes: int = 32, memtable: int = 200_000) -> DataFrame:
+def exact_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", keep: str = "smallest", digest_bytes: int = 32, memtable: int = 200_000, row_col: str | None = None) -> DataFrame:
     """One row per row of ``docs``: ``rid, doc_id, keep_id, keep_rid, group_size, kept, text_sha256``.
 
-    ``rid`` is the row's place (``monotonically_increasing_id``), stable while ``docs`` is a plain scan of files.
+    ``rid`` is the row's number: the column ``row_col``, or its place in the files (see ``sift.numbered``).
     ``digest_bytes`` below 32 shortens the index key only, to let tests meet collisions.
     """
     text = F.coalesce(F.col(text_col), F.lit(""))
-    source = docs.select(F.col(id_col).cast("long").alias("doc_id"), text.alias("body"), F.monotonically_increasing_id().alias("rid")).withColumn("text_sha256", F.sha2("body", 256))
+    placed = numbered(docs, "__rw_row") if row_col is None else docs.withColumn("__rw_row", F.col(row_col))
+    source = placed.select(F.col(id_col).cast("long").alias("doc_id"), text.alias("body"), F.col("__rw_row").alias("rid")).withColumn("text_sha256", F.sha2("body", 256))
     key = F.substring(F.unhex("text_sha256"), 1, digest_bytes)
     rows = settle(source.select("rid", "doc_id", "text_sha256", key.alias("digest")))
     seeds = rows.select("digest", F.col("doc_id").isNotNull().alias("has_id"), F.col("doc_id").alias("id"), "rid", F.lit(1).cast("long").alias("n"))
     runs = seeds.mapInArrow(_flushing(keep, memtable), ENTRY)
-    index = runs.repartition("digest").mapInArrow(_compacting(keep, memtable), ENTRY)
-    hits = settle(index.filter("n > 1"))
+    hits = settle(runs.repartition("digest").mapInArrow(_compacting(keep, memtable), ENTRY))
     # verification: equal digests must mean equal bytes
     bits, words = bitmap(hits, "digest", hits.count())
     keyed = source.withColumn("digest", key)
@@ -228,5 +255,6 @@ def exact_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
 def drop_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", keep: str = "largest") -> DataFrame:
     """The rows of ``docs`` that stay, with its columns only."""
     mark = "__rw_rid"
-    gone = settle(exact_groups(docs, id_col, text_col, keep).filter("NOT kept").select(F.col("rid").alias(mark)))
-    return without(docs.withColumn(mark, F.monotonically_increasing_id()), mark, gone).select(*[F.col(f"`{c}`") for c in docs.columns])
+    placed = numbered(docs, mark)
+    gone = settle(exact_groups(placed, id_col, text_col, keep, row_col=mark).filter("NOT kept").select(F.col("rid").alias(mark)))
+    return without(placed, mark, gone).select(*[F.col(f"`{c}`") for c in docs.columns])

@@ -1,14 +1,16 @@
-"""Near-duplicate texts by exact Jaccard similarity of their word runs.
+"""Near-duplicate texts: SimHash balls propose, a prefix join completes, exact Jaccard similarity of word runs decides.
 
 A text is the set of its runs of ``words`` words (64-bit hashes). Under one order of all runs, two sets of similarity
 ``least`` or more share a run among the first n - ceil(least n) + 1 of each, so only those prefixes travel, to the task
 of each run. The order puts runs that are frequent in a bounded sample last; any order gives the same result. Pairs that
 meet are dropped only if they cannot be similar, by their sizes, by the places of the shared run, or by parity bitmaps
-(as many unlike bits as the sets have unlike runs at most), first short ones and then ones of two to four bits a run; the
-others are verified on the whole sets.
+of one to two bits a run (as many unlike bits as the sets have unlike runs at most, where unlike sets of any size
+show more); the others are verified on the whole sets.
 
-Groups are found in two rounds: first every text of a run with the run's least row number, then all pairs that are not
-in one group by then. So a large group takes a number of pairs in proportion to it, and no link between groups is lost.
+Groups are found in two rounds: first the links of fingerprints by meet-in-the-middle ball hashing (``simhash.py``) and
+every text of a run with the run's least row number, then all pairs that are not in one group by then. So a large group
+takes a number of pairs in proportion to it, and no link between groups is lost. A ball of 4 of 64 bits alone would miss
+most pairs of a similarity near 0.8.
 
 Edge cases: texts without words are equal; texts of fewer words are one run; ASCII case and white space do not count.
 """
@@ -24,13 +26,14 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ruleworld.llm.ship import landed, ship
-from ruleworld.llm.sift import bitmap, maybe_in, without
+from ruleworld.llm.sift import bitmap, maybe_in, numbered, without
+from ruleworld.llm.simhash import ball_links, majority
 from ruleworld.llm.tokens import forget
 from ruleworld.operators.connect import connect
 from ruleworld.sources.scratch import settle
 
 SEED = 42
-#: 64-bit words of a parity bitmap; documents of the sample that tells frequent runs; times a frequent run is seen there.
+#: 64-bit words of a parity bitmap at least; documents of the sample that tells frequent runs; times a frequent run is seen there.
 PARITY, SAMPLE, OFTEN = 8, 4000, 3
 MIX = np.uint64(0x9E3779B97F4A7C15)
 
@@ -50,15 +53,42 @@ def word_runs(text: str | None, words: int = 5) -> np.ndarray:
 
 
 def parity(runs: np.ndarray) -> np.ndarray:
-    """A bitmap of 2 to 4 bits a run, 64 ``PARITY`` at least, in which each run turns one bit."""
-    size = max(64 * PARITY, 2 << (len(runs) - 1).bit_length())
+    """A bitmap of 1 to 2 bits a run, 64 ``PARITY`` at least, in which each run turns one bit."""
+    size = max(64 * PARITY, 1 << (len(runs) - 1).bit_length())
     odd = np.bincount((runs >> np.uint64(7)).astype(np.int64) & (size - 1), minlength=size) & 1
     return np.packbits(odd.astype(np.uint8), bitorder="little").view(np.uint64)
 
 
-def folded(bits: np.ndarray, words: int) -> np.ndarray:
-    """The bitmap that the same runs make in fewer words."""
-    return np.bitwise_xor.reduce(bits.reshape(-1, words), axis=0)
+class Bitmaps:
+    """Bitmaps of several sizes, and the number of unlike bits of pairs: of different sizes, the larger is folded to the smaller.
+
+    Sets that are similar enough are of like sizes, so that a bitmap is folded once at most; other pairs are not asked for.
+    """
+
+    def __init__(self, packed: list[bytes]):
+        self.words = np.fromiter(map(len, packed), np.int64, len(packed)) // 8
+        self.place: dict[int, np.ndarray] = {}
+        self.bits: dict[int, np.ndarray] = {}
+        for w in np.unique(self.words).tolist():
+            own, above = np.flatnonzero(self.words == w), np.flatnonzero(self.words == 2 * w)
+            parts = [np.frombuffer(b"".join(packed[k] for k in own), np.uint64).reshape(-1, w)]
+            if len(above):
+                whole = np.frombuffer(b"".join(packed[k] for k in above), np.uint64).reshape(-1, 2 * w)
+                parts.append(whole[:, :w] ^ whole[:, w:])
+            self.place[w] = np.full(len(packed), -1)
+            self.place[w][np.concatenate([own, above])] = np.arange(len(own) + len(above))
+            self.bits[w] = np.concatenate(parts)
+
+    def unlike(self, i: np.ndarray, j: np.ndarray) -> np.ndarray:
+        out = np.zeros(len(i), np.int64)
+        least = np.minimum(self.words[i], self.words[j])
+        for w in np.unique(least).tolist():
+            at, step = np.flatnonzero(least == w), max(1, (1 << 20) // w)
+            for k in range(0, len(at), step):
+                some = at[k : k + step]
+                x, y = self.place[w][i[some]], self.place[w][j[some]]
+                out[some] = np.bitwise_count(self.bits[w][x] ^ self.bits[w][y]).sum(axis=1, dtype=np.int64)
+        return out
 
 
 def _lists(arrays: list[np.ndarray]) -> pa.Array:
@@ -79,23 +109,24 @@ def _telling(words: int):
 
 
 def _prefixes(shared, words: int, num: int, den: int):
-    """``rid, doc_id, text`` become ``rid, doc_id, n, parity, sign, prefix``; ``parity`` is ``sign`` folded to a fixed size."""
+    """``rid, doc_id, text`` become ``rid, doc_id, n, fp, parity, prefix``."""
 
     def run(batches):
         forget()
         often, level = landed(shared)
         for b in batches:
-            n, bits, short, heads = [], [], [], []
+            n, bits, fps, heads = [], [], [], []
             for t in b.column(2).to_pylist():
                 runs = word_runs(t, words)
                 n.append(len(runs))
-                bits.append((own := parity(runs)).tobytes())
-                short.append(folded(own, PARITY).tobytes())
+                bits.append(parity(runs).tobytes())
+                fps.append(majority(runs))
                 if len(often):
                     at = np.minimum(np.searchsorted(often, runs), len(often) - 1)
                     runs = runs[np.lexsort((runs, np.where(often[at] == runs, level[at], 0)))]
                 heads.append(runs[: len(runs) + 1 + (-len(runs) * num) // den])
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(n, pa.int64()), pa.array(short, pa.binary()), pa.array(bits, pa.binary()), _lists(heads)], names=["rid", "doc_id", "n", "parity", "sign", "prefix"])
+            told = [pa.array(n, pa.int64()), pa.array(np.array(fps, np.uint64).view(np.int64)), pa.array(bits, pa.binary()), _lists(heads)]
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), *told], names=["rid", "doc_id", "n", "fp", "parity", "prefix"])
 
     return run
 
@@ -111,13 +142,13 @@ def _meeting(batches):
             yield pa.RecordBatch.from_arrays([pa.array(x[keep]) for x in (s, rid, pos)], names=["s", "rid", "pos"])
 
 
-def possible(n1, n2, p1, p2, bits1, bits2, num: int, den: int) -> np.ndarray:
-    """False for pairs that cannot be similar."""
+def possible(n, pos, bits: Bitmaps, i: np.ndarray, j: np.ndarray, num: int, den: int) -> np.ndarray:
+    """False for pairs ``i, j`` that cannot be similar."""
+    n1, n2, p1, p2 = n[i], n[j], pos[i], pos[j]
     both = n1 + n2
     ok = (np.minimum(n1, n2) * den >= num * np.maximum(n1, n2)) & ((1 + np.minimum(p1, p2) + np.minimum(n1 - p1, n2 - p2) - 1) * (num + den) >= num * both)
     at = np.flatnonzero(ok)
-    unlike = np.bitwise_count(bits1[at] ^ bits2[at]).sum(axis=1, dtype=np.int64)
-    ok[at] = unlike * (num + den) <= both[at] * (den - num)
+    ok[at] = bits.unlike(i[at], j[at]) * (num + den) <= both[at] * (den - num)
     return ok
 
 
@@ -125,19 +156,23 @@ def _pairing(num: int, den: int, star: bool):
     """Pairs of texts that share a run: with the run's least row number, or all that are not in one group."""
 
     def run(batches):
-        got = [(*(b.column(k).to_numpy() for k in range(5)), np.frombuffer(b"".join(b.column(5).to_pylist()), np.uint64).reshape(-1, PARITY)) for b in batches if b.num_rows]
-        if not got:
+        got, packed = [], []
+        for b in batches:
+            got.append([b.column(k).to_numpy() for k in range(5)])
+            packed += b.column(5).to_pylist()
+        if not packed:
             return
-        s, rid, pos, n, root, bits = (np.concatenate(x) for x in zip(*got, strict=True))
+        s, rid, pos, n, root = (np.concatenate(x) for x in zip(*got, strict=True))
         order = np.lexsort((rid, s) if star else (rid, n, s))
-        s, rid, pos, n, root, bits = (x[order] for x in (s, rid, pos, n, root, bits))
+        s, rid, pos, n, root = (x[order] for x in (s, rid, pos, n, root))
+        bits = Bitmaps([packed[k] for k in order.tolist()])
         found = []
 
         def take(i, j):
             if not star:
                 apart = root[i] != root[j]
                 i, j = i[apart], j[apart]
-            ok = possible(n[i], n[j], pos[i], pos[j], bits[i], bits[j], num, den)
+            ok = possible(n, pos, bits, i, j, num, den)
             a, b = rid[i[ok]], rid[j[ok]]
             found.append(np.unique(np.stack([np.minimum(a, b), np.maximum(a, b)], axis=1), axis=0))
 
@@ -158,22 +193,6 @@ def _pairing(num: int, den: int, star: bool):
     return run
 
 
-def _likely(num: int, den: int):
-    """Pairs whose long bitmaps do not rule similarity out."""
-
-    def run(batches):
-        for b in batches:
-            n = b.column(2).to_numpy() + b.column(3).to_numpy()
-            unlike = np.zeros(b.num_rows, np.int64)
-            for k, (x, y) in enumerate(zip(b.column(4).to_pylist(), b.column(5).to_pylist(), strict=True)):
-                x, y = np.frombuffer(x, np.uint64), np.frombuffer(y, np.uint64)
-                words = min(len(x), len(y))
-                unlike[k] = np.bitwise_count(folded(x, words) ^ folded(y, words)).sum(dtype=np.int64)
-            yield b.select(["u", "v"]).filter(pa.array(unlike * (num + den) <= n * (den - num)))
-
-    return run
-
-
 def _verified(num: int, den: int):
     def run(batches):
         for b in batches:
@@ -190,10 +209,8 @@ def _verified(num: int, den: int):
     return run
 
 
-def _verify(docs: DataFrame, told: DataFrame, pairs: DataFrame, words: int, num: int, den: int) -> DataFrame:
+def _verify(docs: DataFrame, pairs: DataFrame, words: int, num: int, den: int) -> DataFrame:
     """``u, v, sim`` of the pairs that are similar; only the texts that they name leave the scan of ``rid, text``."""
-    one, two = told.select(F.col("rid").alias("u"), F.col("n").alias("n1"), F.col("sign").alias("s1")), told.select(F.col("rid").alias("v"), F.col("n").alias("n2"), F.col("sign").alias("s2"))
-    pairs = settle(pairs.join(one, "u").join(two, "v").select("u", "v", "n1", "n2", "s1", "s2").mapInArrow(_likely(num, den), "u bigint, v bigint"))
     ids = settle(pairs.select(F.explode(F.array("u", "v")).alias("rid")).distinct())
     bits, size = bitmap(ids, "rid", ids.count())
     sets = settle(docs.filter(maybe_in(bits, size, F.col("rid"))).mapInArrow(_telling(words), "rid bigint, runs array<bigint>").join(ids, "rid", "left_semi"))
@@ -208,7 +225,7 @@ def _met(docs: DataFrame, words: int, num: int, den: int) -> tuple[DataFrame, Da
     seen = sample.mapInArrow(_telling(words), "rid bigint, runs array<bigint>").select(F.explode("runs").alias("s")).groupBy("s").count().filter(F.col("count") >= OFTEN).collect()
     seen = sorted((r[0] % 2**64, r[1]) for r in seen)
     shared = ship(spark, (np.array([r[0] for r in seen], np.uint64), np.array([r[1] for r in seen], np.int64)))
-    told = settle(docs.select("rid", "doc_id", "text").mapInArrow(_prefixes(shared, words, num, den), "rid bigint, doc_id bigint, n bigint, parity binary, sign binary, prefix array<bigint>"))
+    told = settle(docs.select("rid", "doc_id", "text").mapInArrow(_prefixes(shared, words, num, den), "rid bigint, doc_id bigint, n bigint, fp bigint, parity binary, prefix array<bigint>"))
     rows = told.select("rid", F.posexplode("prefix").alias("pos", "s")).select("s", "rid", F.col("pos").cast("long").alias("pos"))
     met = rows.repartition("s").mapInArrow(_meeting, "s bigint, rid bigint, pos bigint")
     return told.drop("prefix"), settle(met.join(told.select("rid", "n", "parity"), "rid"))
@@ -219,12 +236,22 @@ def _candidates(met: DataFrame, num: int, den: int, star: bool) -> DataFrame:
     return settle(rows.mapInArrow(_pairing(num, den, star), "u bigint, v bigint").distinct())
 
 
+def _balls(told: DataFrame, radius: int = 4) -> DataFrame:
+    """``u, v``: pairs of rows that span each group of fingerprints linked within the radius."""
+    nodes = settle(told.groupBy("fp").agg(F.min("rid").alias("first")))
+    links = ball_links(nodes.select("fp"), radius)
+    ends = [nodes.select(F.col("fp").alias(a), F.col("first").alias(f"{a}_first")) for a in ("u", "v")]
+    between = links.join(ends[0], "u").join(ends[1], "v").select(F.col("u_first").alias("u"), F.col("v_first").alias("v"))
+    equal = told.join(nodes, "fp").filter("rid <> first").select(F.col("first").alias("u"), F.col("rid").alias("v"))
+    return between.unionByName(equal).select(F.least("u", "v").alias("u"), F.greatest("u", "v").alias("v"))
+
+
 def similar_pairs(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 5, least: float = 0.8) -> DataFrame:
     """``u, v, sim``: all pairs of ids, ``u < v``, whose texts have a Jaccard similarity of ``least`` or more. Ids are distinct."""
     num, den = Fraction(str(least)).as_integer_ratio()
     rows = docs.select(F.col(id_col).cast("long").alias("rid"), F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
     told, met = _met(rows, words, num, den)
-    return _verify(rows.select("rid", "text"), told, _candidates(met.withColumn("root", F.col("rid")), num, den, False), words, num, den)
+    return _verify(rows.select("rid", "text"), _candidates(met.withColumn("root", F.col("rid")), num, den, False), words, num, den)
 
 
 def drop_near(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 5, least: float = 0.8) -> DataFrame:
@@ -234,13 +261,15 @@ def drop_near(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", w
     """
     num, den = Fraction(str(least)).as_integer_ratio()
     mark = "__rw_rid"
-    placed = docs.withColumn(mark, F.monotonically_increasing_id())
+    placed = numbered(docs, mark)
     rows = placed.select(F.col(mark).alias("rid"), F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
     told, met = _met(rows, words, num, den)
-    links = settle(_verify(rows.select("rid", "text"), told, _candidates(met.withColumn("root", F.col("rid")), num, den, True), words, num, den).select("u", "v"))
+    stars = _candidates(met.withColumn("root", F.col("rid")), num, den, True)
+    first = settle(_balls(told).unionByName(stars).distinct())
+    links = settle(_verify(rows.select("rid", "text"), first, words, num, den).select("u", "v"))
     roots = settle(connect(links).select(F.col("node").alias("rid"), "root"))
     grouped = met.join(roots, "rid", "left").withColumn("root", F.coalesce("root", "rid"))
-    more = _verify(rows.select("rid", "text"), told, _candidates(grouped, num, den, False), words, num, den).select("u", "v")
+    more = _verify(rows.select("rid", "text"), _candidates(grouped, num, den, False), words, num, den).select("u", "v")
     roots = connect(links.unionByName(more)).select(F.col("node").alias("rid"), "root")
     order = F.struct(F.col("doc_id").isNull().alias("a"), F.col("doc_id").alias("b"), F.col("rid").alias("c"))
     known = settle(told.select("rid", "doc_id").join(roots, "rid"))

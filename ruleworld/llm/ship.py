@@ -12,4 +12,8 @@ def ship(spark, thing):
 
 
 def landed(shared):
-    return pickle.loads(shared.value)
+    """The object; a worker unpacks it once and keeps it from task to task, until Spark takes the broadcast away."""
+    if not hasattr(shared, "_unpacked"):
+        shared._unpacked = pickle.loads(shared.value)
+        shared.__dict__.pop("_value", None)  # the packed bytes
+    return shared._unpacked

@@ -10,6 +10,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ruleworld.sources.scratch import settle
+
 #: 64-bit words of a bitmap at most (2 MB).
 MOST_WORDS = 1 << 18
 
@@ -37,6 +39,20 @@ def maybe_in(bits: Column, words: int, key: Column) -> Column:
     return out
 
 
+def numbered(docs: DataFrame, name: str) -> DataFrame:
+    """``docs`` with a number for every row that any second evaluation gives again.
+
+    Over a plain scan of files that is the row's place; anything else is written to the shared folder first, for a
+    shuffle may deal rows otherwise when a lost executor's part of it is made again.
+    """
+    todo, plain = [docs._jdf.queryExecution().optimizedPlan()], True
+    while todo:
+        node = todo.pop()
+        plain = plain and node.nodeName().split("(")[0].strip() in ("Project", "Filter", "LogicalRelation", "Relation", "RelationV2", "DataSourceV2Relation", "DataSourceV2ScanRelation", "LocalRelation", "Union")
+        todo += [node.children().apply(k) for k in range(node.children().size())]
+    return (docs if plain else settle(docs)).withColumn(name, F.monotonically_increasing_id())
+
+
 def without(rows: DataFrame, key: str, marked: DataFrame) -> DataFrame:
     """``rows`` whose ``key`` is not in ``marked``, a settled one-column table of the same name."""
     bits, words = bitmap(marked, key, marked.count())

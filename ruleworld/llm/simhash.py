@@ -6,8 +6,9 @@ meet, and the pairs found there are the links. The shuffle is by the leading bit
 sent once to each cell that holds any of its variants, and the cell's task emits the variants of that cell only, so
 that 2081 variants travel as a few dozen rows. In a cell, equal variants are found by sorting, each group of m
 fingerprints is chained by m - 1 pairs instead of m (m - 1) / 2 (all of them are linked anyway), pairs are
-deduplicated and verified, and only a spanning forest leaves the task. Cells with more variants than a fixed
-number are worked off in sub-cells of one more bit each, so memory is bounded. The forests' components give groups.
+deduplicated and verified, and only a spanning forest leaves the task. A task sorts its rows by cell and works off a few
+cells at a time; cells with more variants than a fixed number are worked off in sub-cells of one more bit each, so memory
+is bounded. The forests' components give groups.
 
 Edge cases: null and empty texts, and texts without words, have fingerprint zero and are linked like any other;
 texts below the shingle length are one shingle; a null id never names a group unless all ids of the group are
@@ -26,12 +27,12 @@ from pyspark.sql import functions as F
 
 from ruleworld.llm.tokens import forget
 from ruleworld.operators.connect import connect
-from ruleworld.llm.sift import without
+from ruleworld.llm.sift import numbered, without
 from ruleworld.sources.scratch import settle
 
 SEED = 42
-#: Variants that a cell should hold, and that a task sorts at once.
-CELL_VARIANTS, TASK_VARIANTS = 2_000_000, 3_000_000
+#: Variants that a cell should hold, and that a task sorts at once; rows of cells that a task holds at once, whole cells beyond.
+CELL_VARIANTS, TASK_VARIANTS, TASK_ROWS = 2_000_000, 3_000_000, 1_000_000
 
 
 def fingerprint(text: str | None, words: int = 4) -> int:
@@ -50,8 +51,13 @@ def fingerprint(text: str | None, words: int = 4) -> int:
     spans = zip(starts[: n - words + 1].tolist(), ends[words - 1 :].tolist(), strict=True)
     hash_of, count = xxhash.xxh64_intdigest, n - words + 1
     h = np.fromiter((hash_of(line[a:b], SEED) for a, b in spans), np.uint64, count)
+    return majority(h)
+
+
+def majority(h: np.ndarray) -> int:
+    """The bits that are set in over half of the hashes."""
     ones = np.concatenate([np.bincount(h8, minlength=256) @ _BITS for h8 in h.view(np.uint8).reshape(-1, 8).T])
-    return int.from_bytes(np.packbits(2 * ones > count, bitorder="little").tobytes(), "little")
+    return int.from_bytes(np.packbits(2 * ones > len(h), bitorder="little").tobytes(), "little")
 
 
 _BITS = np.unpackbits(np.arange(256, dtype=np.uint8)[:, None], axis=1, bitorder="little").astype(np.int64)
@@ -137,22 +143,37 @@ def cell_links(fps: np.ndarray, cell: int, bits: int, half: int, forest: Forest,
     forest.union(at[a], at[b])
 
 
-def _linking(bits: int, half: int):
+def _cells(batches, rows: int):
+    """Cells and fingerprints of sorted batches, in runs of whole cells that hold about so many ``rows``."""
+    held: list[tuple[np.ndarray, np.ndarray]] = []
+    size = 0
+    for b in batches:
+        cells, fps = b.column(0).to_numpy(), b.column(1).to_numpy().view(np.uint64)
+        if size >= rows and len(cells):
+            cut = int(np.searchsorted(cells, held[-1][0][-1], side="right"))  # what follows the last cell held
+            held.append((cells[:cut], fps[:cut]))
+            if cut < len(cells):
+                yield tuple(np.concatenate(x) for x in zip(*held, strict=True))
+                held, size = [], 0
+            cells, fps = cells[cut:], fps[cut:]
+        if len(cells):
+            held.append((cells, fps))
+            size += len(cells)
+    if held:
+        yield tuple(np.concatenate(x) for x in zip(*held, strict=True))
+
+
+def _linking(bits: int, half: int, rows: int):
     def run(batches):
-        got = [(b.column(0).to_numpy(), b.column(1).to_numpy()) for b in batches]
-        if not got:
-            return
-        cells, fps = (np.concatenate(x) for x in zip(*got, strict=True))
-        order = np.argsort(cells, kind="stable")
-        cells, fps = cells[order], fps[order].view(np.uint64)
-        nodes, at = np.unique(fps, return_inverse=True)
-        forest = Forest(len(nodes))
-        edges = np.flatnonzero(np.concatenate(([True], cells[1:] != cells[:-1], [True])))
-        for i, j in zip(edges[:-1], edges[1:], strict=True):
-            cell_links(fps[i:j], int(cells[i]), bits, half, forest, at[i:j])
-        a, b = forest.pairs()
-        if len(a):
-            yield pa.RecordBatch.from_arrays([pa.array(nodes[a].view(np.int64)), pa.array(nodes[b].view(np.int64))], names=["u", "v"])
+        for cells, fps in _cells(batches, rows):
+            nodes, at = np.unique(fps, return_inverse=True)
+            forest = Forest(len(nodes))
+            edges = np.flatnonzero(np.concatenate(([True], cells[1:] != cells[:-1], [True])))
+            for i, j in zip(edges[:-1], edges[1:], strict=True):
+                cell_links(fps[i:j], int(cells[i]), bits, half, forest, at[i:j])
+            a, b = forest.pairs()
+            if len(a):
+                yield pa.RecordBatch.from_arrays([pa.array(nodes[a].view(np.int64)), pa.array(nodes[b].view(np.int64))], names=["u", "v"])
 
     return run
 
@@ -167,7 +188,7 @@ def ball_links(nodes: DataFrame, radius: int = 4, rows: int | None = None) -> Da
     masks = F.array(*[F.lit(int(m)) for m in flips(0, bits, half)])
     lead = F.shiftrightunsigned("fp", 64 - bits)
     cells = nodes.select(F.explode(F.transform(masks, lambda m: lead.bitwiseXOR(m.cast("long")))).alias("cell"), "fp")
-    return cells.repartition("cell").mapInArrow(_linking(bits, half), "u bigint, v bigint")
+    return cells.repartition("cell").sortWithinPartitions("cell").mapInArrow(_linking(bits, half, TASK_ROWS), "u bigint, v bigint")
 
 
 def near_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 4, radius: int = 4) -> DataFrame:
@@ -187,7 +208,7 @@ def drop_near(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", w
     Rows with a null id stay only where no row of their group has an id.
     """
     mark = "__rw_rid"
-    placed = docs.withColumn(mark, F.monotonically_increasing_id())
+    placed = numbered(docs, mark)
     marked = placed.select(F.col(mark).alias("rid"), F.col(id_col).cast("long").alias("doc_id"), F.col(text_col))
     prints = settle(marked.mapInArrow(_fingerprints(words), "rid bigint, doc_id bigint, fp bigint"))
     order = F.struct(F.col("doc_id").isNull().alias("a"), F.col("doc_id").alias("b"), F.col("rid").alias("c"))

@@ -330,6 +330,17 @@ def test_digest_index_equals_dictionary():
         assert {d: e for d, e in index.scan()} == {d: (best(v), len(v)) for d, v in plain.items()}
         assert all(index.get(d) == (best(v), len(v)) for d, v in plain.items())
         assert index.get(b"x" * 32) is None
+        assert dict(index.hits()) == {d: (best(v), len(v)) for d, v in plain.items() if len(v) > 1}
+
+
+def test_filters_keep_single_digests_out_of_compaction(monkeypatch):
+    index, merged = exact_dedup.DigestIndex(memtable=100, fanout=9), []
+    for k in range(700):
+        index.put(hashlib.sha256(str(k % 690).encode()).digest(), ((True, k, k), 1))
+    plain = exact_dedup.heapq.merge
+    monkeypatch.setattr(exact_dedup.heapq, "merge", lambda *parts, key: (merged.append(x) or x for x in plain(*parts, key=key)))
+    assert sorted(n for _, (_, n) in index.hits()) == [2] * 10
+    assert 20 <= len(merged) < 120  # of 700 entries
 
 
 @pytest.mark.parametrize("digest_bytes", [32, 1])
