@@ -1,12 +1,13 @@
 """Packing of token sequences: first-fit decreasing over a tournament tree, in randomised groups.
 
-Documents are tokenized at the scan and cut into pieces of a sequence's length and a rest. Pieces go to groups by a
-hash of document and place, and each group is packed on its own: pieces by falling length, each into the first
+Documents are tokenized at the scan and cut into pieces of a sequence's length and a rest. Documents go to groups by a
+hash of their row's place, and each group is packed on its own: pieces by falling length, each into the first
 sequence with room, found in a tree that holds the largest room of every subtree. Groups have a few thousand
-pieces at any corpus size. Only piece records are shuffled, never texts or ids.
+documents at any corpus size, whatever ids are null or repeated. Only piece records are shuffled, never texts or ids.
 
 Edge cases: a null or empty text is the end id alone; a null id is kept; repeated rows are packed each for itself;
-ties in length go by id, start and checksum, so a retry packs alike; an empty table gives an empty result.
+ties in length go by id, start and checksum, so a retry packs alike; the same rows in other files are dealt to other
+groups; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -18,6 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ruleworld.llm.sift import numbered
 from ruleworld.llm.tokens import encoder as shared_encoder
 
 PIECE = "doc_id bigint, start bigint, length bigint, ids_crc32 bigint, doc_tokens bigint"
@@ -61,24 +63,28 @@ def first_fit_decreasing(lengths, capacity: int) -> list[tuple[int, int]]:
 
 
 def _cutting(vocabulary: str, end_id: int, capacity: int):
+    """``doc_id, pack_group, text`` become ``PIECE, pack_group``."""
+
     def cut(batches):
         encoder, end = shared_encoder(vocabulary), np.array([end_id], "<u4").tobytes()
         for b in batches:
             rows = []
-            for doc, ids in zip(b.column(0).to_pylist(), encoder.stream(b.column(1).to_pylist()), strict=True):
+            for doc, group, ids in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), encoder.stream(b.column(2).to_pylist()), strict=True):
                 ids += end
                 total = len(ids) // 4
                 for start in range(0, total, capacity):
                     part = memoryview(ids)[4 * start : 4 * (start + capacity)]
-                    rows.append((doc, start, len(part) // 4, zlib.crc32(part), total))
-            yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*rows, strict=True)], names=_NAMES)
+                    rows.append((doc, start, len(part) // 4, zlib.crc32(part), total, group))
+            yield pa.RecordBatch.from_arrays([pa.array([r[k] for r in rows], pa.int64()) for k in range(6)], names=[*_NAMES, "pack_group"])
 
     return cut
 
 
-def pieces(docs: DataFrame, vocabulary: str, end_id: int, capacity: int, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """Pieces of at most ``capacity`` ids; every id, the end id included, lies in exactly one."""
-    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col)).mapInArrow(_cutting(vocabulary, end_id, capacity), PIECE)
+def pieces(docs: DataFrame, vocabulary: str, end_id: int, capacity: int, groups: int = 1, seed: int = 7, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """Pieces of at most ``capacity`` ids, and a random group of their row; every id, the end id included, lies in exactly one."""
+    rows = numbered(docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("body")), "place")
+    group = F.pmod(F.xxhash64("place", F.lit(seed)), F.lit(groups).cast("long"))
+    return rows.select("doc_id", group.alias("pack_group"), "body").mapInArrow(_cutting(vocabulary, end_id, capacity), PIECE + ", pack_group bigint")
 
 
 def _packing(capacity: int):
@@ -99,9 +105,8 @@ def pack(docs: DataFrame, vocabulary: str = "byte_bpe_50k.json", end_id: int = 1
     itself where that is a power of two.
     """
     groups = max(1, -(-docs.count() // group_docs))
-    dealt = pieces(docs, vocabulary, end_id, capacity, id_col, text_col).withColumn("pack_group", F.pmod(F.xxhash64("doc_id", "start", F.lit(seed)), F.lit(groups).cast("long")))
-    packed = dealt.groupBy("pack_group").applyInArrow(_padding(_packing(capacity), capacity), PIECE + ", sequence_id bigint, offset bigint, sequence_tokens bigint, padded_to bigint")
-    return packed
+    dealt = pieces(docs, vocabulary, end_id, capacity, groups, seed, id_col, text_col)
+    return dealt.groupBy("pack_group").applyInArrow(_padding(_packing(capacity), capacity), PIECE + ", sequence_id bigint, offset bigint, sequence_tokens bigint, padded_to bigint")
 
 
 def _padding(inner, capacity: int):
