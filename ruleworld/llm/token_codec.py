@@ -10,8 +10,12 @@ goes to the candidates, the rest to order 0. Every operation runs over all lanes
 File: blocks one after another. Block: header (see ``HEADER``), lane lengths, lane words, document runs
 (compressed); both checksums are verified on reading.
 
-Edge cases: null and empty texts are the end id alone; a null id sorts first; ties of ids go by text; an empty table
-gives no files and an empty result; a document may span blocks, never files.
+Documents are range-sorted by id, and by the start of the text and the row's place among equal ids, so that one id on
+many rows makes several files; a task starts the next file when the written size passes a limit.
+
+Edge cases: null and empty texts are the end id alone; a null id sorts first; ties of ids go by the text's first
+characters; an empty table gives no files and an empty result; a document may span blocks, never files; a vocabulary
+that leaves the frequencies no room is refused.
 """
 
 from __future__ import annotations
@@ -24,6 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ruleworld.llm.sift import numbered
 from ruleworld.llm.store import Store
 from ruleworld.llm.tokens import encoder as shared_encoder
 from ruleworld.sources.scratch import shared_dir
@@ -44,6 +49,8 @@ class Mixer:
     """The shared adaptive model of a block. A slot holds ``candidate * 16 + confidence``; -16 is an empty one."""
 
     def __init__(self, vocabulary: int):
+        if 2 * FLOOR * vocabulary > 1 << TOTAL_BITS:
+            raise ValueError(f"a vocabulary of {vocabulary} ids is too large for {TOTAL_BITS} bits")
         self.size = vocabulary
         self.count = np.ones(vocabulary, np.int64)
         self.slots = [np.full(1 << 16, -16, np.int32), np.full(1 << 20, -16, np.int32)]
@@ -206,14 +213,13 @@ def read_block(f):
     return ids, runs
 
 
-def _writing(where: str, vocabulary: str, end_id: int, block_ids: int):
+def _writing(where: str, vocabulary: str, end_id: int, block_ids: int, roll: int):
     def write(batches):
         from pyspark import TaskContext
 
-        part, docs, total, size = TaskContext.get().partitionId(), 0, 0, 0
+        part, turn, docs, total, size = TaskContext.get().partitionId(), 0, 0, 0, 0
         encoder, end = shared_encoder(vocabulary), np.array([end_id], "<u4").tobytes()
-        store, name = Store(where), f"part-{part:06d}.rwb"
-        out, held, filled, runs = None, [], 0, []
+        store, out, held, filled, runs = Store(where), None, [], 0, []
 
         def put():
             nonlocal held, filled, runs, size
@@ -222,9 +228,20 @@ def _writing(where: str, vocabulary: str, end_id: int, block_ids: int):
             size += len(block)
             held, filled, runs = [], 0, []
 
+        def told():
+            return pa.RecordBatch.from_pydict({"part": [part], "turn": [turn], "file": [name], "docs": [docs], "ids": [total], "bytes": [size]})
+
         for b in batches:
             for doc, ids in zip(b.column(0).to_pylist(), encoder.stream(b.column(1).to_pylist()), strict=True):
-                out = out or store.create(name)
+                if out is not None and size >= roll:
+                    if runs:
+                        put()
+                    store.commit(out)
+                    yield told()
+                    out, turn, docs, total, size = None, turn + 1, 0, 0, 0
+                if out is None:
+                    name = f"part-{part:06d}-{turn:05d}.rwb"
+                    out = store.create(name)
                 ids += end
                 n, at = len(ids) // 4, 0
                 docs, total = docs + 1, total + n
@@ -240,16 +257,18 @@ def _writing(where: str, vocabulary: str, end_id: int, block_ids: int):
         if runs:
             put()
         store.commit(out)
-        yield pa.RecordBatch.from_pydict({"part": [part], "file": [name], "docs": [docs], "ids": [total], "bytes": [size]})
+        yield told()
 
     return write
 
 
-def write_ids(docs: DataFrame, vocabulary: str, end_id: int, id_col: str = "doc_id", text_col: str = "text", block_ids: int = BLOCK_IDS) -> tuple[str, list]:
-    """Write all documents in id order; the folder, and a record a file (part, file, docs, ids, bytes) in that order."""
+def write_ids(docs: DataFrame, vocabulary: str, end_id: int, id_col: str = "doc_id", text_col: str = "text", block_ids: int = BLOCK_IDS, roll: int = 256 << 20) -> tuple[str, list]:
+    """Write all documents in id order; the folder, and a record a file (part, turn, file, docs, ids, bytes) in that order."""
     where = shared_dir(docs.sparkSession)
-    ordered = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("body")).repartitionByRange("doc_id").sortWithinPartitions("doc_id", "body")
-    made = ordered.mapInArrow(_writing(where, vocabulary, end_id, block_ids), "part bigint, file string, docs bigint, ids bigint, bytes bigint")
+    rows = numbered(docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("body")), "place")
+    order = ["doc_id", F.substring("body", 1, 64), "place"]
+    ordered = rows.repartitionByRange(*order).sortWithinPartitions(*order).select("doc_id", "body")
+    made = ordered.mapInArrow(_writing(where, vocabulary, end_id, block_ids, roll), "part bigint, turn bigint, file string, docs bigint, ids bigint, bytes bigint")
     return where, sorted(made.collect())  # a few numbers a file
 
 
@@ -267,11 +286,17 @@ def _reading(where: str):
                             if ends:
                                 rows.append((doc, at, n, crc))
                                 crc, n, at = 0, 0, at + n
-                yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*rows, strict=True)], names=["doc_id", "start", "n_tokens", "ids_crc32"])
+                        if rows:
+                            yield _told(rows)
+                            rows = []
 
     return read
 
 
+def _told(rows: list) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*rows, strict=True)], names=["doc_id", "start", "n_tokens", "ids_crc32"])
+
+
 def read_ids(spark, where: str, files: list) -> DataFrame:
     """``doc_id, start, n_tokens, ids_crc32`` of every document, from the files."""
     base, rows = 0, []
