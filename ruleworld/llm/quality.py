@@ -5,7 +5,8 @@ each document a chance of being good and one of being toxic. The chances are sum
 language and source), and each level's mean is shrunk toward the level above: a path toward its host, a host toward
 the whole. How strongly is estimated from the data: the variance between sites beyond what chance gives sets the
 weight of the prior in documents. A document's posterior odds are its own odds times the odds of its path's posterior
-over the odds of the whole. Sums are partial aggregates, so a host with a third of all rows is one row a task.
+over the odds of the whole. Sums are partial aggregates, so a host with a third of all rows is one row a task, and
+sites' posteriors come back to the documents by broadcast, or beyond a number of sites over salted keys.
 
 The classifier is fitted on a bounded sample of labelled rows (``fit_rows``, ``fit_chars`` characters each). Everything
 else reads whole texts of all rows.
@@ -205,6 +206,21 @@ def site_posteriors(scored: DataFrame, target: str, host: str = "host", path: st
     return joined.select(host, path, "host_mean", ((F.col("s") + k_path * F.col("host_mean")) / (F.col("n") + k_path)).alias("path_mean")), mean
 
 
+#: Sites up to which their posteriors are broadcast (some 10 MB); tasks that a site's documents are dealt to beyond.
+BROADCAST_SITES, SALTS = 100_000, 32
+
+
+def _beside(docs: DataFrame, sites: DataFrame, most: int | None = None) -> DataFrame:
+    """Documents with their sites' columns. Many sites are copied once for each salt, so no site's documents meet in one task."""
+    met = docs["host"].eqNullSafe(sites["h"]) & docs["path"].eqNullSafe(sites["p"])
+    if sites.count() <= (BROADCAST_SITES if most is None else most):
+        return docs.join(F.broadcast(sites), met).drop("h", "p")
+    salted = docs.withColumn("__rw_salt", F.pmod(F.xxhash64("doc_id", "p_quality", "p_toxic"), F.lit(SALTS).cast("long")))
+    copies = sites.withColumn("s", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(SALTS - 1).cast("long"))))
+    met = salted["host"].eqNullSafe(copies["h"]) & salted["path"].eqNullSafe(copies["p"]) & (salted["__rw_salt"] == copies["s"])
+    return salted.join(copies, met).drop("h", "p", "s", "__rw_salt")
+
+
 def url_site(url: Column) -> tuple[Column, Column]:
     """Host and first path step of a URL."""
     host = F.lower(F.regexp_extract(url, r"^[a-zA-Z][a-zA-Z0-9+.-]*://([^/?#:]*)", 1))
@@ -225,7 +241,7 @@ def judge(docs: DataFrame, labels: DataFrame, host: Column | None = None, path:
     for target, name in (("quality", "quality"), ("toxic", "toxicity")):
         sites, mean = site_posteriors(scored, target)
         sites = sites.select(F.col("host").alias("h"), F.col("path").alias("p"), F.col("host_mean").alias(f"host_{name}"), F.col("path_mean").alias(f"path_{name}"))
-        out = out.join(sites, out["host"].eqNullSafe(sites["h"]) & out["path"].eqNullSafe(sites["p"])).drop("h", "p")
+        out = _beside(out, settle(sites))
         known = target in model.weights
         own = _logit(F.coalesce(F.col(f"p_{target}"), F.lit(mean)))
         site = _logit(F.col(f"path_{name}")) - _logit(F.lit(mean))
