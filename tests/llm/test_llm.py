@@ -396,11 +396,35 @@ def test_warc_round_trip(spark):
     files = {r.file: r.sha256 for r in manifest.collect()}
     again = {r.file: r.sha256 for r in warc.write_archives(more, roll=20_000)[1].collect()}
     assert files == again  # any attempt writes the same bytes
+    spread = more.repartition(7, F.hash("url")).withColumns({"digest": F.lit("clash"), "place": F.lit(1), "to": F.lit("x")})
+    other = [warc.write_archives(rows, roll=1 << 30)[1].agg(F.sum("records"), F.sum("bytes")).first() for rows in (more.coalesce(1), spread)]
+    assert other[0][0] == other[1][0] == len(want) and records_of(*warc.write_archives(spread)) == records_of(where, manifest)
     assert warc.read_archives(*warc.write_archives(pages.limit(0))).count() == 0
 
 
+def records_of(where, manifest):
+    """All records of archives, as they stand in the files."""
+    store = warc.Store(where)
+    out = []
+    for r in manifest.collect():
+        with store.open(r.file) as f:
+            out += warc.members(f)
+    return sorted(out)
+
+
+def test_warc_of_a_hot_payload_and_long_pages(spark):
+    rows = [(k % 40, f"u{k % 2}", "hot " * 60) for k in range(400)] + [(1000, "u", "y" * 3_000_000), (None, None, None)]
+    pages = spark.createDataFrame(rows, "page_id bigint, url string, html string")
+    where, manifest = warc.write_archives(pages)
+    got = warc.read_archives(where, manifest).collect()
+    assert len(got) == 402 and sum(r.record_type == "revisit" for r in got) == 399
+    assert {r.refers_to for r in got if r.record_type == "revisit"} == {0}
+    ids = [x.split(b"WARC-Record-ID: ")[1].split(b"\r\n")[0] for x in records_of(where, manifest)]
+    assert len(set(ids)) == 402
+
+
 def test_warc_damage_is_found():
-    raw = warc.build_record(7, 0, "u", b"payload" * 30, hashlib.sha256(b"payload" * 30).hexdigest(), None)
+    raw = warc.build_record(7, "a", 0, "u", b"payload" * 30, hashlib.sha256(b"payload" * 30).hexdigest(), None)
     assert warc.parse_record(raw)[1] == b"payload" * 30
     with pytest.raises(ValueError):
         warc.parse_record(raw.replace(b"payloadpay", b"payl0adpay", 1))
@@ -490,6 +514,38 @@ def test_decontamination(spark, odd, none):
     assert decontaminate.clean_text("Ab, cd! EF gh.", [(1, 3)]) == "Ab,  gh."
 
 
+def test_decontaminate_in_blocks_and_at_edges(spark, odd, none):
+    docs, bench = spark.read.parquet("/root/testdata/sf0.01/documents.parquet"), spark.read.parquet("/root/testdata/sf0.01/benchmark.parquet")
+    one, many = sorted(decontaminate.decontaminate(docs, bench).collect()), sorted(decontaminate.decontaminate(docs, bench, block_words=300).collect())
+    assert one == many and 0 < len(one) < docs.count() + 1
+    items = spark.createDataFrame([(1, "a b c d e f g h i j"), (2, "x1 x2 x3 x4 x5 x6 x7 x8 x9 x10"), (3, None), (4, "")], "item_id bigint, text string")
+    fill = " ".join(f"w{k}" for k in range(30))
+    text = f"{fill} a b c d e x1 x2 x3 x4 x5 x6 x7 x8 x9 x10 f g h i j {fill}"  # the first item appears when the second goes
+    rows = [(1, text, 5), (1, text, 5), (2, None, None), (3, "", 0), (None, "a b c d e f g h i j", 19), (4, fill, 7)]
+    made = spark.createDataFrame([(*r, "k", True) for r in rows], "doc_id bigint, text string, n_chars bigint, key string, spans boolean")
+    for words in (500_000, 5):
+        out = decontaminate.decontaminate(made, items, block_words=words)
+        got = sorted(out.collect(), key=lambda r: (r.doc_id, r.text or ""))
+        assert out.columns == made.columns and [r.doc_id for r in got] == [1, 1, 2, 3, 4]
+        assert got[0] == got[1] and got[0].text.split() == (fill + " " + fill).split() and got[0].n_chars == len(got[0].text)
+        assert (got[2].text, got[2].n_chars, got[3].text, got[4].n_chars) == (None, None, "", 7)
+    assert decontaminate.decontaminate(none, items).count() == 0 and decontaminate.decontaminate(none, items, block_words=5).count() == 0
+    assert decontaminate.decontaminate(odd, items.limit(0)).count() == 10
+
+
+def test_automaton_of_repeated_words_in_linear_time():
+    import time
+
+    def seconds(n):
+        began = time.process_time()
+        machine = decontaminate.ItemAutomaton([(1, [b"a"] * n)])
+        assert machine.match([b"a"] * n) == ([(0, n)], {1})
+        return time.process_time() - began
+
+    seconds(1000)
+    assert seconds(40_000) < 40 * max(0.02, seconds(4_000))
+
+
 # 8, 10 ---------------------------------------------------------------------------------------------------------------
 
 
@@ -534,6 +590,15 @@ def test_packing_holds_every_id_once(spark, docs, odd, none):
     assert packing.pack(none).count() == 0
 
 
+def test_packing_deals_rows_not_ids(spark):
+    rows = [(None, f"text {k}") for k in range(500)] + [(7, "same")] * 500
+    rows = packing.pack(spark.createDataFrame(rows, "doc_id bigint, text string"), group_docs=100).collect()
+    groups = {}
+    for r in rows:
+        groups[r.sequence_id >> 32] = groups.get(r.sequence_id >> 32, 0) + 1
+    assert len(rows) == 1000 and len(groups) == 10 and max(groups.values()) < 180
+
+
 @pytest.mark.parametrize("n", [0, 1, 2, 300, 9000])
 def test_codec_round_trip(n):
     import io
@@ -561,6 +626,20 @@ def test_token_files(spark, docs, odd, none):
     assert token_codec.round_trip(none).count() == 0
 
 
+def test_token_files_roll_and_split_a_hot_id(spark, docs):
+    hot = docs.select(F.lit(5).cast("long").alias("doc_id"), "text")
+    spark.conf.set("spark.sql.adaptive.coalescePartitions.enabled", "false")
+    where, files = token_codec.write_ids(hot, "byte_bpe_50k.json", 2, block_ids=2000, roll=10_000)
+    spark.conf.unset("spark.sql.adaptive.coalescePartitions.enabled")
+    assert len(files) > 8 and len({f.part for f in files}) > 1 and any(f.turn for f in files) and sum(f.docs for f in files) == 200
+    rows = sorted(token_codec.read_ids(spark, where, files).collect(), key=lambda r: r.start)
+    assert len(rows) == 200 and all(b.start == a.start + a.n_tokens for a, b in zip(rows, rows[1:]))
+    e = tokens.encoder("byte_bpe_50k.json")
+    assert sorted(r.ids_crc32 for r in rows) == sorted(zlib.crc32(x + b"\2\0\0\0") for x in e.whole([r.text or "" for r in docs.collect()]))
+    with pytest.raises(ValueError):
+        token_codec.Mixer(1 << 20)
+
+
 # 9 -------------------------------------------------------------------------------------------------------------------
 
 
@@ -586,6 +665,39 @@ def test_site_posteriors_shrink(spark):
     assert 0.1 <= got["c", "z"] <= mean
 
 
+def test_site_posteriors_equal_plain_loops(spark):
+    chance = random.Random(6)
+    rows = [(chance.choice(["a", "b", "c", None]), chance.choice(["x", "y", None]), round(chance.random() ** 2, 6)) for _ in range(300)] + [("a", "z", None)]
+    sites, mean = quality.site_posteriors(spark.createDataFrame(rows, "host string, path string, p_quality double"), "quality")
+
+    def strength(groups):
+        kept = [g for g in groups.values() if g]
+        n, k, all_ = sum(map(len, kept)), len(kept), [p for g in kept for p in g]
+        within = sum(sum((p - sum(g) / len(g)) ** 2 for p in g) for g in kept) / (n - k)
+        between = sum(len(g) * (sum(g) / len(g) - sum(all_) / n) ** 2 for g in kept)
+        spread = (between - (k - 1) * within) / (n - sum(len(g) ** 2 for g in kept) / n)
+        return min(1e6, within / spread) if spread > 1e-9 else 1e6
+
+    hosts, paths = {}, {}
+    for h, p, q in rows:
+        hosts.setdefault(h, []).extend([q] if q is not None else [])
+        paths.setdefault((h, p), []).extend([q] if q is not None else [])
+    whole = sum(map(sum, hosts.values())) / sum(map(len, hosts.values()))
+    kh, kp = strength(hosts), strength(paths)
+    assert abs(mean - whole) < 1e-9
+    for r in sites.collect():
+        host = (sum(hosts[r.host]) + kh * whole) / (len(hosts[r.host]) + kh)
+        path = (sum(paths[r.host, r.path]) + kp * host) / (len(paths[r.host, r.path]) + kp)
+        assert abs(r.host_mean - host) < 1e-5 and abs(r.path_mean - path) < 1e-5
+
+
+def test_quality_is_the_same_over_salted_sites(spark, monkeypatch):
+    docs, labels = spark.read.parquet(f"{D}/documents.parquet"), spark.read.parquet(f"{D}/labels.parquet")
+    plain = sorted(quality.judge(docs, labels).collect())
+    monkeypatch.setattr(quality, "BROADCAST_SITES", 0)
+    assert sorted(quality.judge(docs, labels).collect()) == plain and len(plain) == 200
+
+
 # Pipeline ------------------------------------------------------------------------------------------------------------
 
 
