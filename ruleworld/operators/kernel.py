@@ -64,18 +64,52 @@ class Walk:
 
 
 def walk(cl: Clauses, flips: int, tries: int = 1, noise: float = 0.5, policy: str = "listed", seed: int = 0, start=None, seconds: float | None = None, parts: list[int] | None = None) -> Walk:
+    """The result of ``walking`` without a pause."""
+    return _end(walking(cl, flips, tries, noise, policy, seed, start, seconds, parts))
+
+
+def _end(turns) -> Walk:
+    while True:
+        try:
+            next(turns)
+        except StopIteration as e:
+            return e.value
+
+
+def take_turns(walks: list, seconds: float | None = None) -> list[Walk]:
+    """Results of several ``walking`` generators that go on in turns, a quantum each.
+
+    After ``seconds`` for all of them together, each ends at its next turn with the best it has seen.
+    """
+    out: list[Walk | None] = [None] * len(walks)
+    left, began, late = dict(enumerate(walks)), time.perf_counter(), None
+    while left:
+        for k, w in list(left.items()):
+            try:
+                w.send(late)
+            except StopIteration as e:
+                out[k] = e.value
+                del left[k]
+        late = True if seconds is not None and time.perf_counter() - began > seconds else None
+    return out
+
+
+def walking(cl: Clauses, flips: int, tries: int = 1, noise: float = 0.5, policy: str = "listed", seed: int = 0, start=None, seconds: float | None = None, parts: list[int] | None = None, quantum: int = 0):
     """Restarted random walk with greedy moves; the start counts as a candidate, zero cost ends it.
 
     A violated clause is picked evenly; with chance ``noise`` one of its atoms at random flips, else the one whose flip
     costs least (ties: the first atom). ``policy`` ``repairing`` looks only at flips that mend the picked clause, where
     there are any. With ``parts`` (component of each atom) the best state is kept for each part on its own.
+
+    A generator that returns a ``Walk``. With a ``quantum`` it pauses after so many flips, each time; what is sent to it
+    tells whether to end there.
     """
     if policy not in ("listed", "repairing"):
         raise ValueError(f"unknown policy {policy!r}")
     chance, began = np.random.default_rng(seed), time.perf_counter()
     touch, n = cl.touching(), len(cl.ids)
     lits, weight, hard = cl.lits, cl.weight, cl.hard
-    best, best_world, trace, done, stop = (math.inf, math.inf), [0] * n, [], 0, False
+    best, best_world, trace, done, stop, ended = (math.inf, math.inf), [0] * n, [], 0, False, False
     part_of = [parts[x[0] >> 1] for x in lits] if parts else None
     n_parts = max(parts) + 1 if parts else 0
     part_best = [(math.inf, math.inf)] * n_parts
@@ -186,7 +220,10 @@ def walk(cl: Clauses, flips: int, tries: int = 1, noise: float = 0.5, policy: st
                         mark(c, weight[c] < 0)
             done += 1
             keep((parts[a],) if parts else ())
-        if stop and best == (0, 0.0):
+            if quantum and done % quantum == 0 and (yield):
+                stop = ended = True
+                break
+        if ended or stop and best == (0, 0.0):
             break
         if seconds is not None and time.perf_counter() - began > seconds:
             break
@@ -290,8 +327,20 @@ def step_profile(cl: Clauses, policy: str = "listed", noise: float = 0.5) -> tup
     return fall, rise, float(best[1])
 
 
-def hitting_time(cl: Clauses, policy: str = "listed", noise: float = 0.5) -> tuple[float, float]:
-    """Expected steps to the first optimum from an even start, and from the worst one, by a linear system."""
+def hitting_time(cl: Clauses, policy: str = "listed", noise: float = 0.5, exact: bool = True, runs: int = 400, flips: int = 10**5, seed: int = 0) -> tuple[float, float]:
+    """Expected steps to the first optimum from an even start, and from the worst one, by a linear system.
+
+    Not ``exact``: the mean and the largest number of steps of ``runs`` walks; a walk that has not got there within
+    ``flips`` counts as that many. The optimum is known by enumeration (at most 20 atoms) in both.
+    """
+    if not exact:
+        hard, soft, _ = optimum(cl)
+        steps = []
+        for k in range(runs):
+            w = walk(cl, flips, 1, noise, policy, seed + k)
+            got = [t[1] for t in w.trace if (t[3], round(t[4], 9)) <= (hard, round(soft, 9))]
+            steps.append(got[0] if got else flips)
+        return float(np.mean(steps)), float(max(steps))
     hard, soft = all_costs(cl, 12)
     best = min(zip(hard, soft, strict=True))
     rest = [k for k in range(len(hard)) if hard[k] > best[0] or soft[k] > best[1] + 1e-9]

@@ -184,7 +184,7 @@ def whole_field_ex1(spark, sf_dir):
 def alternate_ex2(spark, sf_dir):
     f, c = field(spark, sf_dir, "ex2"), comps(spark, sf_dir, "ex2")
     pieces = settle(split.split_bounded(f.clauses, c, 24))
-    best = min(solve.alternate(f, pieces, sweeps=3, flips=2000, seed=s)[1][-1] for s in range(2))
+    best = min(solve.alternate(f, pieces, sweeps=3, flips=2000, seed=s).costs[-1] for s in range(2))
     return spark.createDataFrame([best], "hard long, soft double")
 
 

@@ -36,32 +36,32 @@ def partitioning(workloads: dict[str, Made], total: int = 10**5, seed: int = 0)
 
 
 def loading(made: Made, flips: int = 2000, capacity: int = 20_000) -> DataFrame:
-    """Seconds to search all components: each a load of its own, packed loads in one task, packed loads in parallel."""
+    """Seconds to search all components: a load each in one worker, packed loads in one worker, packed loads in parallel."""
     spark, fld = _spark(made), g.ground(*made)
     comps = settle(views.components(fld.clauses))
     out = []
-    for how, packing, cap in (("single", "single", capacity), ("one task", "one", capacity), ("packed", "ffd", capacity)):
+    for how, packing, parallel in (("one by one", "single", 1), ("packed, one worker", "ffd", 1), ("packed, parallel", "ffd", None)):
         began = time.perf_counter()
-        found = settle(solve.search_components(fld.clauses, comps, 1, budget="fixed", flips=flips, packing=packing, capacity=cap))
+        found = settle(solve.search_components(fld.clauses, comps, 1, budget="fixed", flips=flips, packing=packing, capacity=capacity, parallel=parallel))
         seconds = time.perf_counter() - began
         r = found.groupBy("comp").agg(F.max("soft").alias("soft"), F.max("flips").alias("flips")).agg(F.sum("soft").alias("soft"), F.sum("flips").alias("flips")).first()
         out.append((how, seconds, float(r.soft or 0), int(r.flips or 0), (r.flips or 0) / seconds))
     return spark.createDataFrame(out, "loading string, seconds double, soft double, flips long, flips_per_second double")
 
 
-def size_bounds(made: Made, betas: list[int], sweeps: int = 3, flips: int = 2000, seed: int = 0) -> DataFrame:
+def size_bounds(field_of: Made, betas: list[int], sweeps: int = 3, flips: int = 2000, seed: int = 0, total: int | None = None) -> DataFrame:
     """Costs of alternating search over size bounds, with the pieces and the cut that each bound makes; the last, no bound."""
-    spark, fld = _spark(made), g.ground(*made)
+    spark, fld = _spark(field_of), g.ground(*field_of)
     comps = settle(views.components(fld.clauses))
     out = []
     for beta in [*betas, None]:
         pieces = settle(split.split_bounded(fld.clauses, comps, beta))
         cut = views.cut_stats(fld.clauses, pieces).first()
-        world, costs = solve.alternate(fld, pieces, sweeps, flips, seed=seed)
+        world, costs, made = solve.alternate(fld, pieces, sweeps, flips, seed=seed, total=total)
         n = pieces.select("piece").distinct().count()
         gain, loss = split.partition_benefit(n, sweeps, cut.cut_clauses, cut.clauses)
-        out.append((beta, n, cut.cut_clauses, float(cut.cut_share or 0), gain, loss, costs[0][1], costs[-1][0], costs[-1][1]))
-    return spark.createDataFrame(out, "beta long, pieces long, cut_clauses long, cut_share double, log2_gain double, loss double, first_soft double, hard long, soft double")
+        out.append((beta, n, cut.cut_clauses, float(cut.cut_share or 0), gain, loss, costs[0][1], costs[-1][0], costs[-1][1], made))
+    return spark.createDataFrame(out, "beta long, pieces long, cut_clauses long, cut_share double, log2_gain double, loss double, first_soft double, hard long, soft double, flips long")
 
 
 def memory(workloads: dict[str, Made]) -> DataFrame:

@@ -9,6 +9,7 @@ from __future__ import annotations
 import time
 import zlib
 from dataclasses import dataclass, field
+from typing import NamedTuple
 
 import numpy as np
 import pyarrow as pa
@@ -17,6 +18,7 @@ from pyspark.sql import functions as F
 
 from ruleworld.operators import kernel, split
 from ruleworld.operators import field as views
+from ruleworld.operators.rank import running_total
 from ruleworld.plans.ground import Field, ground
 from ruleworld.plans.program import Program
 from ruleworld.sources.scratch import settle
@@ -52,32 +54,69 @@ def budgets(sizes: DataFrame, total: int) -> DataFrame:
 
 
 def binned(clauses: DataFrame, comps: DataFrame, packing: str = "ffd", capacity: int = 20_000, budget: str = "weighted", total: int = 10**6, flips: int = 10**4) -> DataFrame:
-    """Clauses with ``comp``, ``bin`` and the component's ``flips``."""
+    """Clauses with ``comp``, ``bin`` and the component's ``flips``. ``packing``: ``ffd`` loads, or ``single``, a load a component."""
+    if packing not in ("ffd", "single"):
+        raise ValueError(f"packing is 'ffd' or 'single', not {packing!r}")
     sizes = settle(views.component_sizes(clauses, comps).withColumn("size", F.col("atoms") + F.col("literals")))
     if packing == "ffd":
         bins = split.pack_components(sizes.select("comp", "size"), capacity).select("comp", "bin")
-    elif packing == "single":
-        bins = sizes.select("comp", F.col("comp").alias("bin"))
     else:
-        bins = sizes.select("comp", F.lit(0).cast("long").alias("bin"))
+        bins = sizes.select("comp", F.col("comp").alias("bin"))
     share = budgets(sizes, total).select("comp", "flips") if budget == "weighted" else sizes.select("comp", F.lit(flips).cast("long").alias("flips"))
     return views.with_component(clauses, comps).join(bins, "comp").join(share, "comp")
 
 
-def search_components(clauses: DataFrame, comps: DataFrame, tries: int = 3, noise: float = 0.5, policy: str = "listed", seed: int = 0, **loading) -> DataFrame:
-    """``FOUND``: the best world of every component, found on its own, with its costs on each row."""
+LOAD = ["bin", "comp", "flips", "cid", "lits", "weight", "is_hard", "multiplicity"]
+
+
+def by_load(rows: DataFrame, run, schema: str, parallel: int | None = None) -> DataFrame:
+    """``run`` on the clauses of each load. ``parallel`` workers take turns at the loads, one in memory at a time; None: as many as there are."""
+    rows = rows.select(*LOAD)
+    if parallel is None:
+        return rows.groupBy("bin").applyInArrow(run, schema)
+
+    def stream(batches):
+        held: list[pa.RecordBatch] = []
+        for b in batches:
+            bins = b.column(0).to_numpy()
+            edges = [0, *(np.flatnonzero(bins[1:] != bins[:-1]) + 1).tolist(), len(bins)]
+            for i, j in zip(edges[:-1], edges[1:], strict=True):
+                if i == j:
+                    continue
+                if held and held[-1].column(0)[0].as_py() != bins[i]:
+                    yield from run(pa.Table.from_batches(held)).to_batches()
+                    held = []
+                held.append(b.slice(i, j - i))
+        if held:
+            yield from run(pa.Table.from_batches(held)).to_batches()
+
+    return rows.repartition(parallel, "bin").sortWithinPartitions("bin").mapInArrow(stream, schema)
+
+
+def search_components(clauses: DataFrame, comps: DataFrame, tries: int = 3, noise: float = 0.5, policy: str = "listed", seed: int = 0, schedule: str = "in_turn", quantum: int = 200, seconds: float | None = None, parallel: int | None = None, **loading) -> DataFrame:
+    """``FOUND``: the best world of every component, found on its own, with its costs on each row.
+
+    ``schedule`` orders the components of a load: ``in_turn`` one after another, ``round_robin`` a ``quantum`` of flips each by
+    turns, ``weighted`` a quantum in proportion to atoms. The worlds are the same; under a time limit (``seconds`` a load, or a
+    component where they come in turn) round robin gives every component its share of it.
+    """
+    if schedule not in ("in_turn", "round_robin", "weighted"):
+        raise ValueError(f"unknown schedule {schedule!r}")
 
     def run(t: pa.Table) -> pa.Table:
         flips = dict(zip(t.column("comp").to_pylist(), t.column("flips").to_pylist(), strict=True))
+        built = [(comp, kernel.Clauses.build(rows)) for comp, rows in _by_unit(t, "comp")]
+        if schedule == "in_turn":
+            walks = (kernel.walk(cl, flips[comp], tries, noise, policy, _seed(comp, seed), seconds=seconds) for comp, cl in built)
+        else:
+            turn = [max(1, quantum * (len(cl.ids) if schedule == "weighted" else 1)) for _, cl in built]
+            walks = kernel.take_turns([kernel.walking(cl, flips[comp], tries, noise, policy, _seed(comp, seed), quantum=q) for (comp, cl), q in zip(built, turn, strict=True)], seconds)
         out = []
-        for comp, rows in _by_unit(t, "comp"):
-            cl = kernel.Clauses.build(rows)
-            w = kernel.walk(cl, flips[comp], tries, noise, policy, _seed(comp, seed))
+        for (comp, cl), w in zip(built, walks, strict=True):
             out += [(comp, a, bool(v), w.hard, w.soft, w.flips, w.tries, w.ms) for a, v in zip(cl.ids, w.world, strict=True)]
         return _table(out, FOUND)
 
-    rows = binned(clauses, comps, **loading)
-    return rows.select("bin", "comp", "flips", "cid", "lits", "weight", "is_hard", "multiplicity").groupBy("bin").applyInArrow(run, FOUND)
+    return by_load(binned(clauses, comps, **loading), run, FOUND, parallel)
 
 
 TRACE = "comp bigint, try bigint, flip bigint, ms double, hard bigint, soft double"
@@ -94,8 +133,7 @@ def trace_components(clauses: DataFrame, comps: DataFrame, tries: int = 3, noise
             out += [(comp, *x) for x in w.trace]
         return _table(out, TRACE)
 
-    rows = binned(clauses, comps, **loading)
-    return rows.select("bin", "comp", "flips", "cid", "lits", "weight", "is_hard", "multiplicity").groupBy("bin").applyInArrow(run, TRACE)
+    return by_load(binned(clauses, comps, **loading), run, TRACE)
 
 
 def time_cost_curve(trace: DataFrame, points: int = 100, by: str = "flip", after: float = 0.0) -> DataFrame:
@@ -213,56 +251,89 @@ def start_state(pieces: DataFrame, seed: int = 0) -> DataFrame:
 
 
 def piece_colours(clauses: DataFrame, pieces: DataFrame, order: str) -> DataFrame:
-    """``piece, colour``: pieces of a colour share no clause. The driver sees the links between pieces."""
-    spark = clauses.sparkSession
-    names = [r[0] for r in pieces.select("piece").distinct().orderBy("piece").collect()]
+    """``piece, colour``: pieces of a colour share no clause; in ``sequential`` order every piece has its own."""
+    names = settle(pieces.select(F.col("piece").alias("node")).distinct())
     if order == "sequential":
-        return spark.createDataFrame([(p, k) for k, p in enumerate(names)], "piece long, colour int")
-    at = views.literals(clauses).join(pieces.select("aid", "piece"), "aid").select("cid", "piece").distinct()
-    pair = at.alias("x").join(at.alias("y"), (F.col("x.cid") == F.col("y.cid")) & (F.col("x.piece") < F.col("y.piece"))).select(F.col("x.piece").alias("p"), F.col("y.piece").alias("q")).distinct()
-    got = split.colour([(r.p, r.q) for r in pair.collect()], names)
-    return spark.createDataFrame(sorted(got.items()), "piece long, colour int")
+        return running_total(names, ["node"], F.lit(1).cast("long"), "colour").select(F.col("node").alias("piece"), (F.col("colour") - 1).cast("int").alias("colour"))
+    at = settle(views.literals(clauses).join(pieces.select("aid", "piece"), "aid").select("cid", "piece").distinct())
+    pair = at.alias("x").join(at.alias("y"), (F.col("x.cid") == F.col("y.cid")) & (F.col("x.piece") < F.col("y.piece")))
+    return split.colours(names, pair.select(F.col("x.piece").alias("u"), F.col("y.piece").alias("v")).distinct()).withColumnRenamed("node", "piece")
 
 
-def alternate(fld: Field, pieces: DataFrame, sweeps: int = 3, flips: int = 2000, order: str = "coloured", noise: float = 0.5, policy: str = "listed", seed: int = 0) -> tuple[DataFrame, list[tuple[int, float]]]:
+class Alternation(NamedTuple):
+    """A world (``aid, value``), the whole cost after each sweep, first the start's, and the flips made."""
+
+    world: DataFrame
+    costs: list[tuple[int, float]]
+    flips: int
+
+
+def alternate(fld: Field, pieces: DataFrame, sweeps: int = 3, flips: int = 2000, order: str = "coloured", noise: float = 0.5, policy: str = "listed", seed: int = 0, total: int | None = None) -> Alternation:
     """Block-alternating search: each piece is searched from its present state given the newest states of the others.
 
-    Returns the world (``aid, value``) and the whole cost after each sweep, first the start's. Stops when a sweep gains nothing.
+    ``flips`` are those of a piece in a sweep; with a ``total``, pieces and sweeps share that in proportion to atoms
+    instead. Each piece's clauses are dealt out once a step and meet the states of their atoms, the piece's and its
+    neighbours', in one task by cogroup; no clause is copied for other pieces' atoms. Stops when a sweep gains nothing.
     """
     clauses = fld.clauses
     state = settle(start_state(pieces, seed))
     colours = settle(piece_colours(clauses, pieces, order))
     n = colours.agg(F.max("colour")).first()[0]
+    lit = views.literals(clauses).join(pieces.select("aid", "piece"), "aid")
+    homes = lit.select("cid", "piece").distinct().join(colours, "piece")
+    held = settle(homes.join(clauses.select("cid", "lits", "weight", "is_hard", "multiplicity"), "cid"))
+    touch = settle(held.select("piece", "colour", F.explode("lits").alias("x")).select("piece", "colour", F.abs("x").alias("aid")).distinct())
+    owner = pieces.select("aid", F.col("piece").alias("owner"))
+    share = pieces.groupBy("piece").agg(F.count("*").alias("atoms"))
+    if total is None:
+        share = share.select("piece", F.lit(flips).cast("long").alias("flips"))
+    else:
+        every = F.lit(max(1, pieces.count()))
+        share = share.select("piece", F.greatest(F.lit(1), F.ceil(F.lit(total / sweeps) * F.col("atoms") / every)).cast("long").alias("flips"))
+    share = settle(share)
 
     def cost(world):
         r = views.world_cost(fld, world).first()
         return int(r.hard), round(float(r.soft), 9)
 
-    costs = [cost(state)]
+    costs, made = [cost(state)], 0
     for sweep in range(sweeps):
         for c in range((n if n is not None else -1) + 1):
-            chosen = colours.filter(F.col("colour") == c)
-            rows = residual(clauses, pieces, state, chosen).join(F.broadcast(chosen.select("piece")), "piece")
-            begun = pieces.join(chosen, "piece", "left_semi").join(state, "aid").groupBy("piece").agg(F.map_from_entries(F.collect_list(F.struct("aid", "value"))).alias("begun"))
-            rows = rows.join(begun, "piece")
-
-            run = _piece_search(flips, noise, policy, seed, sweep)
-            moved = rows.groupBy("piece").applyInArrow(run, "aid bigint, value boolean").withColumnRenamed("value", "new")
-            state = settle(state.join(moved, "aid", "left").select("aid", F.coalesce("new", "value").alias("value")))
+            mine = held.filter(F.col("colour") == c).join(share, "piece").drop("colour")
+            seen = touch.filter(F.col("colour") == c).join(state, "aid").join(owner, "aid").select("piece", "aid", "value", (F.col("owner") == F.col("piece")).alias("own"))
+            run = _piece_search(noise, policy, seed, sweep)
+            moved = settle(mine.groupBy("piece").cogroup(seen.groupBy("piece")).applyInArrow(run, "piece bigint, aid bigint, new boolean, flips bigint"))
+            made += moved.groupBy("piece").agg(F.max("flips").alias("f")).agg(F.coalesce(F.sum("f"), F.lit(0))).first()[0]
+            state = settle(state.join(moved.select("aid", "new"), "aid", "left").select("aid", F.coalesce("new", "value").alias("value")))
         costs.append(cost(state))
         if costs[-1] == costs[-2] or costs[-1] == (0, 0.0):
             break
-    return state, costs
-
-
-def _piece_search(flips: int, noise: float, policy: str, seed: int, sweep: int):
-    def run(t: pa.Table) -> pa.Table:
-        out, values = [], dict(t.column("begun")[0].as_py())
-        for piece, own in _by_unit(t, "piece"):
-            cl = kernel.Clauses.build(own)
-            w = kernel.walk(cl, flips, 1, noise, policy, _seed(piece, seed, sweep), start=[values[a] for a in cl.ids])
-            out += [(a, bool(v)) for a, v in zip(cl.ids, w.world, strict=True)]
-        return _table(out, "aid bigint, value boolean")
+    return Alternation(state, costs, int(made))
+
+
+def _piece_search(noise: float, policy: str, seed: int, sweep: int):
+    """Clauses of a piece and states of their atoms become the piece's new states."""
+
+    def run(mine: pa.Table, seen: pa.Table) -> pa.Table:
+        schema = "piece bigint, aid bigint, new boolean, flips bigint"
+        if not mine.num_rows or not seen.num_rows:
+            return _table([], schema)
+        value, own = {}, set()
+        for a, v, o in zip(*(seen.column(c).to_pylist() for c in ("aid", "value", "own")), strict=True):
+            value[a] = v
+            if o:
+                own.add(a)
+        left = []
+        for _, rows in _by_unit(mine, "piece"):
+            for lits, weight, hard, many in rows:  # what outside atoms satisfy is constant; literals of outside atoms go
+                if not any(value[abs(x)] == (x > 0) for x in lits if abs(x) not in own):
+                    left.append((tuple(x for x in lits if abs(x) in own), weight, hard, many))
+        piece, flips = mine.column("piece")[0].as_py(), mine.column("flips")[0].as_py()
+        if not left:
+            return _table([], schema)
+        cl = kernel.Clauses.build(left)
+        w = kernel.walk(cl, flips, 1, noise, policy, _seed(piece, seed, sweep), start=[value[a] for a in cl.ids])
+        return _table([(piece, a, bool(v), w.flips) for a, v in zip(cl.ids, w.world, strict=True)], schema)
 
     return run
 
@@ -369,10 +440,13 @@ class MapResult:
             (self.filled(name) if p.open else self.field.atoms.tables[name]).createOrReplaceTempView(name)
 
 
-def solve_map(program: Program, evidence: dict[str, DataFrame], budget: int = 10**7, partition: bool = True, may_split: bool = True, total: int = 10**6, tries: int = 3, policy: str = "listed", seed: int = 0, sweeps: int = 3, refuse: bool = False, lesion: str = "none", best: str = "global", **loading) -> MapResult:
+def solve_map(program: Program, evidence: dict[str, DataFrame], budget: int = 10**7, partition: bool = True, may_split: bool = True, total: int = 10**6, flips_per_atom: int | None = None, tries: int = 3, policy: str = "listed", seed: int = 0, sweeps: int = 3, refuse: bool = False, lesion: str = "none", best: str = "global", **loading) -> MapResult:
     """Ground, choose a path for a budget (atoms + literals that one task may hold), search, and account costs relationally.
 
-    ``partition=False`` is the whole-field search; with ``refuse`` it raises ``OverBudget`` where the field is too large.
+    ``total`` flips are shared in proportion to atoms on the paths by component and by piece, the same total on all paths (a
+    component or piece gets one a try or sweep at least); ``flips_per_atom`` sets the total by the size of the field. The
+    result tells the flips made. ``partition=False`` is the whole-field search; with ``refuse`` it raises
+    ``OverBudget`` where the field is too large.
     """
     t0 = time.perf_counter()
     fld = ground(program, evidence, lesion)
@@ -395,13 +469,14 @@ def solve_map(program: Program, evidence: dict[str, DataFrame], budget: int = 10
         path = choose_path(whole, largest, budget, may_split)
         path = "components" if path == "memory" else path
     t2 = time.perf_counter()
-    flips = 0
+    if flips_per_atom is not None:
+        total = max(1, flips_per_atom * views.literals(fld.clauses).select("aid").distinct().count())
     if path == "table":
         world, costs, _ = table_walk(fld.clauses, total, seed=seed)
         flips = len(costs) - 1
     elif path == "pieces":
         pieces = settle(split.split_bounded(fld.clauses, comps, budget))
-        world, _ = alternate(fld, pieces, sweeps, max(1, total // sweeps), policy=policy, seed=seed)
+        world, _, flips = alternate(fld, pieces, sweeps, policy=policy, seed=seed, total=total * tries)
     else:
         found = search_whole(fld.clauses, comps if best == "component" else None, total, tries, policy=policy, seed=seed) if path == "whole" else search_components(fld.clauses, comps, tries, policy=policy, seed=seed, total=total, **loading)
         found = settle(found)

@@ -279,9 +279,11 @@ def test_class_packing_equals_first_fit():
         counts = {chance.randint(1, 30): chance.randint(1, 12) for _ in range(chance.randint(1, 6))}
         fills = {}
         seen = {s: [] for s in counts}
-        for size, b, lo, hi in split.fill_classes(list(counts.items()), 20):
-            fills[b] = fills.get(b, 0) + size * (hi - lo)
-            seen[size] += range(lo, hi)
+        for size, lo, hi, first, per in split.fill_classes(list(counts.items()), 20):
+            for place in range(lo, hi):
+                b = first + (place - lo) // per
+                fills[b] = fills.get(b, 0) + size
+                seen[size].append(place)
         assert all(sorted(v) == list(range(counts[s])) for s, v in seen.items())
         assert all(f <= 20 or f in counts for f in fills.values())
         plain = split.first_fit([(k, s) for k, s in enumerate(s for s, n in counts.items() for _ in range(n))], 20)
@@ -312,7 +314,8 @@ def test_splitting_and_conditioning(spark):
     pieces = split.split_bounded(f.clauses, c, 24)
     assert pieces.select("piece").distinct().count() == 2
     for order in ("coloured", "sequential"):
-        _, costs = solve.alternate(f, pieces, 2, 800, order=order)
+        _, costs, made = solve.alternate(f, pieces, 2, 800, order=order)
+        assert 0 < made <= 2 * 2 * 800
         assert all(a >= b for a, b in zip(costs, costs[1:])) and costs[-1][1] == pytest.approx(best.soft)
     end = f.atoms.tables["on"].agg(F.min("aid")).first()[0]
     assert solve.condition_on(f.clauses, [end]).first().soft == pytest.approx(best.soft)
@@ -345,7 +348,7 @@ def test_paths_and_budgets(spark):
     with pytest.raises(solve.OverBudget):
         solve.solve_map(*workloads.bridged_rings(spark, D), budget=5, partition=False, refuse=True)
     split_up = solve.solve_map(*workloads.bridged_rings(spark, D), budget=24, total=2000)
-    assert split_up.path == "pieces" and split_up.soft == pytest.approx(3.75)
+    assert split_up.path == "pieces" and split_up.soft == pytest.approx(3.75) and 0 < split_up.flips <= 3 * 2000 + 6
 
 
 def test_table_path_runs_and_reports_its_flips(spark, monkeypatch):
