@@ -2,10 +2,10 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from ruleworld.sources.scratch import table
+from ruleworld.sources.scratch import settle, table
 
 
 def jaccard(a: Column, b: Column) -> Column:
@@ -31,12 +31,27 @@ def part_tokens(spark, sf_dir) -> DataFrame:
     return pairs.join(w1, "n1").join(w2, "n2").select("n1", "n2", F.round(jaccard(F.col("w1"), F.col("w2")), 6).alias("sim"))
 
 
+#: Query vectors that are broadcast at once (64 numbers each: some 5 MB).
+QUERY_BLOCK = 20_000
+
+
+def vector_search(vectors: DataFrame, queries: DataFrame, least: float) -> DataFrame:
+    """``v1, v2, sim``: every row whose cosine with a query vector is ``least`` or more. Queries go over all rows in blocks."""
+    n = queries.count()
+    out = None
+    for k in range(max(1, -(-n // QUERY_BLOCK))):
+        block = queries if n <= QUERY_BLOCK else queries.filter(F.pmod(F.xxhash64("vec_id"), F.lit(-(-n // QUERY_BLOCK))) == k)
+        q, v = F.broadcast(block.alias("q")), vectors.alias("v")
+        sim = F.round(cosine(F.col("q.embedding"), F.col("v.embedding")), 4)
+        found = v.join(q, F.col("v.vec_id") != F.col("q.vec_id")).select(F.col("q.vec_id").alias("v1"), F.col("v.vec_id").alias("v2"), sim.alias("sim")).filter(F.col("sim") >= least)
+        out = found if out is None else out.unionByName(found)
+    return out
+
+
 def vector_pairs(spark, sf_dir, least: float = 0.3) -> DataFrame:
-    v = table(spark, sf_dir, "embeddings")
-    a, b = v.alias("a"), v.alias("b")
-    pairs = a.join(b, (F.col("a.label") == F.col("b.label")) & (F.col("a.vec_id") < F.col("b.vec_id")))
-    scored = pairs.select(F.col("a.vec_id").alias("v1"), F.col("b.vec_id").alias("v2"), F.round(cosine(F.col("a.embedding"), F.col("b.embedding")), 4).alias("sim"))
-    return scored.filter(F.col("sim") >= least)
+    """Vectors near those whose id is divisible by 100."""
+    v = table(spark, sf_dir, "embeddings").select("vec_id", "embedding")
+    return vector_search(v, v.filter("vec_id % 100 = 0"), least)
 
 
 def shingles(text: Column, k: int = 5) -> Column:
@@ -50,18 +65,70 @@ def shingles(text: Column, k: int = 5) -> Column:
     return F.element_at(F.transform(F.array(F.filter(F.split(text, r"\s+"), lambda w: w != "")), runs), 1)
 
 
-def doc_pairs(spark, sf_dir, k: int = 5, shared: int = 3) -> DataFrame:
-    """Documents of one source that share at least ``shared`` distinct runs of ``k`` words."""
-    docs = table(spark, sf_dir, "documents").select("doc_id", "source", F.explode(shingles(F.col("text"), k)).alias("s"))
-    a, b = docs.alias("a"), docs.alias("b")
-    pairs = a.join(b, (F.col("a.source") == F.col("b.source")) & (F.col("a.s") == F.col("b.s")) & (F.col("a.doc_id") < F.col("b.doc_id")))
-    return pairs.groupBy(F.col("a.doc_id").alias("d1"), F.col("b.doc_id").alias("d2")).agg(F.count("*").alias("n")).filter(F.col("n") >= shared)
+def members(docs: DataFrame) -> DataFrame:
+    """``doc_id, rep``: the least id of the documents of the same text."""
+    text = F.coalesce("text", F.lit(""))
+    reps = docs.groupBy(text.alias("t")).agg(F.min("doc_id").alias("rep"))
+    return docs.select("doc_id", text.alias("t")).join(reps, "t").select("doc_id", "rep")
+
+
+def jaccard_pairs(docs: DataFrame, least: float = 0.8, k: int = 5) -> DataFrame:
+    """``d1, d2, n, sim``: all pairs of distinct texts (named by their least id) whose sets of runs of ``k`` words have a
+    Jaccard similarity of ``least`` or more.
+
+    Under one order of all runs, rarest first, two such sets share a run among the first size - ceil(least * size) + 1 of
+    each; those alone meet. Pairs that sizes or places rule out go, the others are verified on the whole sets.
+    """
+    text = F.coalesce("text", F.lit(""))
+    texts = docs.groupBy(text.alias("t")).agg(F.min("doc_id").alias("rep"))
+    runs = settle(texts.select("rep", F.explode(shingles(F.col("t"), k)).alias("s")).select("rep", F.xxhash64("s").alias("h")).distinct())
+    often = runs.groupBy("h").agg(F.count("*").alias("df"))
+    order = Window.partitionBy("rep").orderBy("df", "h")
+    placed = runs.join(often, "h").withColumns({"place": F.row_number().over(order), "size": F.count("*").over(Window.partitionBy("rep"))})
+    head = settle(placed.filter((F.col("place") <= F.col("size") - F.ceil(F.col("size") * least) + 1) & (F.col("df") > 1)).select("h", "rep", "place", "size"))
+    a, b = head.alias("a"), head.alias("b")
+    both = F.col("a.size") + F.col("b.size")
+    most = F.least("a.place", "b.place") + F.least(F.col("a.size") - F.col("a.place"), F.col("b.size") - F.col("b.place"))
+    likely = (F.least("a.size", "b.size") >= least * F.greatest("a.size", "b.size")) & (most >= both * least / (1 + least) - 1e-9)
+    pairs = settle(a.join(b, (F.col("a.h") == F.col("b.h")) & (F.col("a.rep") < F.col("b.rep")) & likely).select(F.col("a.rep").alias("d1"), F.col("b.rep").alias("d2")).distinct())
+    named = pairs.select(F.explode(F.array("d1", "d2")).alias("rep")).distinct()
+    sets = settle(runs.join(named, "rep", "left_semi").groupBy("rep").agg(F.collect_list("h").alias("s")))
+    x, y = sets.select(F.col("rep").alias("d1"), F.col("s").alias("x")), sets.select(F.col("rep").alias("d2"), F.col("s").alias("y"))
+    told = pairs.join(x, "d1").join(y, "d2").withColumn("n", F.size(F.array_intersect("x", "y")).cast("long"))
+    sim = F.col("n") / (F.size("x") + F.size("y") - F.col("n"))
+    return told.select("d1", "d2", "n", F.round(sim, 6).alias("sim")).filter(F.col("sim") >= least)
+
+
+def doc_pairs(spark, sf_dir) -> DataFrame:
+    return jaccard_pairs(table(spark, sf_dir, "documents"))
+
+
+def doc_members(spark, sf_dir) -> DataFrame:
+    return members(table(spark, sf_dir, "documents"))
+
+
+#: Pairs ``d1, d2, n, sim`` of distinct texts by brute force over shared runs, in SQL.
+JACCARD_SQL = r"""t AS (SELECT coalesce(text, '') AS t, min(doc_id) AS rep FROM documents GROUP BY ALL),
+w AS (SELECT rep, list_filter(regexp_split_to_array(t, '\s+'), lambda x: x <> '') AS w FROM t),
+s AS (SELECT DISTINCT rep, array_to_string(w[i : i + 4], ' ') AS s FROM (SELECT *, unnest(range(1, greatest(len(w) - 4, 1) + 1)) AS i FROM w)),
+z AS (SELECT rep, count(*) AS n FROM s GROUP BY rep),
+jac AS (SELECT d1, d2, n, round(n / CAST(a.n1 + b.n2 - n AS DOUBLE), 6) AS sim
+        FROM (SELECT a.rep AS d1, b.rep AS d2, count(*) AS n FROM s a JOIN s b ON a.s = b.s AND a.rep < b.rep GROUP BY ALL)
+        JOIN (SELECT rep AS d1, n AS n1 FROM z) a USING (d1) JOIN (SELECT rep AS d2, n AS n2 FROM z) b USING (d2))"""
+
+_DOT = "list_dot_product(CAST(a.embedding AS DOUBLE[]), CAST(b.embedding AS DOUBLE[]))"
+_NORM = "list_dot_product(CAST({0}.embedding AS DOUBLE[]), CAST({0}.embedding AS DOUBLE[]))"
+#: Vectors near those whose id is divisible by 100, in SQL.
+COSINE_SQL = f"""cos AS (SELECT a.vec_id AS v1, b.vec_id AS v2, round({_DOT} / sqrt({_NORM.format("a")} * {_NORM.format("b")}), 4) AS sim
+FROM embeddings a JOIN embeddings b ON a.vec_id % 100 = 0 AND a.vec_id <> b.vec_id)"""
 
 
 def oracle_sql() -> dict[str, str]:
-    dot = "list_dot_product(CAST(a.embedding AS DOUBLE[]), CAST(b.embedding AS DOUBLE[]))"
     return {
-        "sim_tokens_part": "WITH n AS (SELECT DISTINCT p_name AS n, list_distinct(string_split(lower(p_name), ' ')) AS w FROM part) SELECT a.n AS n1, b.n AS n2, round(len(list_intersect(a.w, b.w)) / CAST(len(list_distinct(list_concat(a.w, b.w))) AS DOUBLE), 6) AS sim FROM n a JOIN n b ON a.n < b.n WHERE len(list_intersect(a.w, b.w)) > 0",
-        "sim_cosine": f"SELECT a.vec_id AS v1, b.vec_id AS v2, round({dot} / sqrt(list_dot_product(CAST(a.embedding AS DOUBLE[]), CAST(a.embedding AS DOUBLE[])) * list_dot_product(CAST(b.embedding AS DOUBLE[]), CAST(b.embedding AS DOUBLE[]))), 4) AS sim FROM embeddings a JOIN embeddings b ON a.label = b.label AND a.vec_id < b.vec_id WHERE sim >= 0.3",
-        "sim_jaccard_docs": r"WITH w AS (SELECT doc_id, source, list_filter(regexp_split_to_array(text, '\s+'), lambda x: x <> '') AS w FROM documents), s AS (SELECT DISTINCT doc_id, source, array_to_string(w[i : i + 4], ' ') AS s FROM (SELECT *, unnest(range(1, greatest(len(w) - 4, 1) + 1)) AS i FROM w)) SELECT a.doc_id AS d1, b.doc_id AS d2, count(*) AS n FROM s a JOIN s b ON a.source = b.source AND a.s = b.s AND a.doc_id < b.doc_id GROUP BY ALL HAVING count(*) >= 3",
+        "sim_tokens_part": """WITH n AS (SELECT DISTINCT p_name AS n, list_distinct(string_split(lower(p_name), ' ')) AS w FROM part)
+            SELECT a.n AS n1, b.n AS n2, round(len(list_intersect(a.w, b.w)) / CAST(len(list_distinct(list_concat(a.w, b.w))) AS DOUBLE), 6) AS sim
+            FROM n a JOIN n b ON a.n < b.n WHERE len(list_intersect(a.w, b.w)) > 0""",
+        "sim_cosine": f"WITH {COSINE_SQL} SELECT * FROM cos WHERE sim >= 0.3",
+        "sim_jaccard_docs": f"WITH {JACCARD_SQL} SELECT * FROM jac WHERE sim >= 0.8",
+        "sim_doc_members": "SELECT doc_id, min(doc_id) OVER (PARTITION BY coalesce(text, '')) AS rep FROM documents",
     }

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from functools import reduce
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -179,8 +181,14 @@ def memory(clauses: DataFrame, comps: DataFrame, raw: DataFrame | None = None) -
 
 
 def program_stats(program, atoms) -> dict[str, int]:
+    """Relations, rules, distinct values by argument domain, rows that evidence decides, and unknown atoms."""
     opened = [t for t in atoms.tables.values() if "aid" in t.columns]
+    values: dict[str, list[DataFrame]] = {}
+    for name, p in program.predicates.items():
+        for (domain, _), c in zip(p.args, p.columns, strict=True):
+            values.setdefault(domain, []).append(atoms.tables[name].select(F.col(c).cast("string").alias("v")))
     return {
+        "entities": sum(reduce(DataFrame.unionByName, parts).distinct().count() for parts in values.values()),
         "relations": len(program.predicates),
         "rules": len(program.clauses),
         "evidence": sum(t.filter("truth <> -1").count() for t in atoms.tables.values()),

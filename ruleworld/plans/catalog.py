@@ -34,6 +34,8 @@ MAKERS = {
     "ie2": workloads.tag_turns,
     "lp": workloads.link_customers,
     "er": workloads.dedup_parts,
+    "er2": workloads.dedup_docs,
+    "er3": workloads.dedup_vectors,
     "ex1": workloads.twin_atoms,
     "ex2": workloads.bridged_rings,
     "fig1": lambda s, d: workloads.running_example(s),
@@ -159,20 +161,25 @@ def pack_ie(spark, sf_dir):
     return split.pack_components(sizes.select("comp", (F.col("atoms") + F.col("literals")).alias("size")), 1000)
 
 
-def _search(name: str, most: int, **how):
-    """Component costs found by search, where enumeration can restate them."""
+def _search(name: str, **how):
+    """Costs found by search, of every component."""
 
     def query(spark, sf_dir):
         f, c = field(spark, sf_dir, name), comps(spark, sf_dir, name)
         found = solve.search_components(f.clauses, c, tries=12, budget="fixed", flips=400, **how)
-        each = found.groupBy("comp").agg(F.count("*").alias("atoms"), F.max("hard").alias("hard"), F.max("soft").alias("soft"))
-        return each.filter(F.col("atoms") <= most)
+        return found.groupBy("comp").agg(F.count("*").alias("atoms"), F.max("hard").alias("hard"), F.max("soft").alias("soft"))
 
     return query
 
 
-def _enumerated(name: str, most: int):
-    return lambda spark, sf_dir: solve.enumerate_components(field(spark, sf_dir, name).clauses, comps(spark, sf_dir, name), most)
+def _enumerated(name: str, most: int = 20):
+    """Least costs by enumeration, of every component; one of more than ``most`` atoms is refused."""
+
+    def query(spark, sf_dir):
+        solve._none_larger(comps(spark, sf_dir, name), most)
+        return solve.enumerate_components(field(spark, sf_dir, name).clauses, comps(spark, sf_dir, name), most)
+
+    return query
 
 
 def whole_field_ex1(spark, sf_dir):
@@ -237,8 +244,10 @@ def _marginals(name: str, **how):
 
 
 def query_field_rc(spark, sf_dir):
+    """The sub-field that a question about all German documents needs."""
     f = field(spark, sf_dir, "rc")
-    wanted = atoms(spark, sf_dir, "rc").tables["topic"].filter("a1 < 100").select("aid")
+    german = table(spark, sf_dir, "documents").filter("lang = 'de'").select(F.col("doc_id").alias("a1"))
+    wanted = atoms(spark, sf_dir, "rc").tables["topic"].join(german, "a1", "left_semi").select("aid")
     return _text(views.query_field(f.clauses, wanted).select("rule", "lits", "weight"))
 
 
@@ -257,7 +266,7 @@ def filled_topic(spark, sf_dir):
 
 
 def completed_topic(spark, sf_dir):
-    return solve.solve_map(*program(spark, sf_dir, "rc"), total=200_000).filled("topic").select(F.col("a1").alias("doc_id"), F.col("a2").alias("cls"))
+    return solve.solve_map(*program(spark, sf_dir, "rc"), flips_per_atom=200).filled("topic").select(F.col("a1").alias("doc_id"), F.col("a2").alias("cls"))
 
 
 def regrown_rc(spark, sf_dir):
@@ -307,24 +316,6 @@ def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
     return completed_topic(spark, sf_dir)
 
 
-def program_stats(spark, sf_dir):
-    rows = []
-    for name in ("rc", "ie2", "lp"):
-        p, at = program(spark, sf_dir, name)[0], atoms(spark, sf_dir, name)
-        rows += [(name, k, v) for k, v in views.program_stats(p, at).items() if k == "query_atoms"]
-    return spark.createDataFrame(rows, "workload string, measure string, n long")
-
-
-def exhaustive_equals_pruned(spark, sf_dir):
-    """Costs of the two constant worlds with pruning and with every substitution; the same twice."""
-    f = field(spark, sf_dir, "fig1")
-    out = None
-    for value in (False, True):
-        row = views.world_cost(f, views.constant_world(f.clauses, value)).withColumn("world", F.lit(value))
-        out = row if out is None else out.unionByName(row)
-    return out
-
-
 def event_rollup(spark, sf_dir):
     ev, _ = workloads.event_rows(spark, sf_dir)
     return ev.rollup("event_type", "band").agg(F.count("*").alias("n")).select(F.coalesce("event_type", F.lit("all")).alias("event_type"), F.coalesce("band", F.lit(-1)).alias("band"), "n")
@@ -396,12 +387,11 @@ def queries() -> dict:
         "budgets_rc": budgets_rc,
         "bins_lower_bound": bins_lower_bound,
         "pack_sizes_ie": pack_ie,
-        "map_cost_ex1": _search("ex1", 4),
-        "map_cost_ie": _search("ie", 4),
-        "map_cost_rc_small": _search("rc", 8),
-        "map_cost_ex2": _search("ex2", 10),
-        "optimum_ie": _enumerated("ie", 4),
-        "optimum_rc_small": _enumerated("rc", 8),
+        "map_cost_ex1": _search("ex1"),
+        "map_cost_ie": _search("ie"),
+        "map_cost_rc": _search("rc"),
+        "map_cost_ex2": _search("ex2"),
+        "optimum_ie": _enumerated("ie"),
         "whole_field_ex1": whole_field_ex1,
         "alternate_cost_ex2": alternate_ex2,
         "condition_cost_ex2": condition_ex2,
@@ -413,18 +403,17 @@ def queries() -> dict:
         "profile_ex1": profile_ex1,
         "gap_bound_ex1": gap_ex1,
         "marginals_exact_fig1": _marginals("fig1", exact=True),
-        "marginals_exact_ie": _marginals("ie", exact=True, most=4),
+        "marginals_exact_ie": _marginals("ie", exact=True, most=20),
         "marginals_mcsat_ie": _marginals("ie", samples=50, burn_in=5),
         "query_field_rc": query_field_rc,
         "active_round0_rc": _active(0),
         "active_closure_rc": _active(None),
         "filled_topic_evidence": filled_topic,
         "completed_topic": completed_topic,
-        "program_stats": program_stats,
-        "exhaustive_equals_pruned": exhaustive_equals_pruned,
         "sim_tokens_part": similarity.part_tokens,
         "sim_cosine": similarity.vector_pairs,
         "sim_jaccard_docs": similarity.doc_pairs,
+        "sim_doc_members": similarity.doc_members,
         "session_components": stream.sessions_batch,
         "windowed_rates": stream.rates_batch,
         "op_rollup": event_rollup,
@@ -442,8 +431,10 @@ def queries() -> dict:
         "memory_rc": memory_rc,
     }
     for lesion in ("order", "nested_loop", "merge", "broadcast", "shuffle_hash", "no_pushdown"):
-        out[f"lesion_{lesion}"] = _canonical("ex2" if lesion == "nested_loop" else "rc", lesion)
-    return out
+        out[f"lesion_{lesion}"] = _canonical("rc", lesion)
+    from ruleworld.plans import catalog_measures
+
+    return out | catalog_measures.queries()
 
 
 def oracle_sql() -> dict[str, str]:
@@ -480,11 +471,9 @@ def oracle_sql() -> dict[str, str]:
         "budgets_rc": f"{rc}, {o.COMPONENTS} SELECT comp, atoms, CAST(ceil(10000000 * atoms / CAST(sum(atoms) OVER () AS DOUBLE)) AS BIGINT) AS flips FROM (SELECT comp, count(*) AS atoms FROM comps GROUP BY comp)",
         "bins_lower_bound": f"{ie} SELECT CAST(ceil(((SELECT count(*) FROM events) + sum(len(lits))) / 1000.0) AS BIGINT) AS bins FROM cl",
         "map_cost_ex1": f"{o.EX1}, {o.enumerated(4)} SELECT comp, atoms, hard, soft FROM ({o.BEST})",
-        "map_cost_ie": f"{ie}, {o.enumerated(4)} SELECT comp, atoms, hard, soft FROM ({o.BEST})",
-        "map_cost_rc_small": f"{rc}, {o.enumerated(8)} SELECT comp, atoms, hard, soft FROM ({o.BEST})",
+        "map_cost_ie": f"{ie}, {o.enumerated(12)} SELECT comp, atoms, hard, soft FROM ({o.BEST})",
         "map_cost_ex2": f"{o.EX2}, {o.enumerated(10)} SELECT comp, atoms, hard, soft FROM ({o.BEST})",
-        "optimum_ie": f"{ie}, {o.enumerated(4)} {o.BEST}",
-        "optimum_rc_small": f"{rc}, {o.enumerated(8)} {o.BEST}",
+        "optimum_ie": f"{ie}, {o.enumerated(12)} {o.BEST}",
         "whole_field_ex1": "SELECT CAST(0 AS BIGINT) AS hard, CAST(count(*) AS DOUBLE) AS soft FROM nation",
         "alternate_cost_ex2": f"{o.EX2}, {o.enumerated(10)} SELECT hard, soft FROM ({o.BEST})",
         "condition_cost_ex2": f"{o.EX2}, {o.enumerated(10)} SELECT hard, soft FROM ({o.BEST})",
@@ -495,12 +484,10 @@ def oracle_sql() -> dict[str, str]:
         "profile_ex1": "SELECT row_number() OVER (ORDER BY n_nationkey) AS comp, 1.75 AS a, 1.0 AS b, 1.0 AS opt_cost FROM nation",
         "gap_bound_ex1": "SELECT * FROM (VALUES ('listed', 25, round(4 / 7.0, 6), round(25 * 2 / 9.0, 6)), ('repairing', 25, 1.0, round(25 / 3.0, 6))) v(policy, h, r, log2_gap)",
         "marginals_exact_fig1": "SELECT * FROM (VALUES (1, 0.56759), (2, 0.01523), (4, 0.00001), (5, 0.65834), (6, 0.09744)) v(aid, p)",
-        "marginals_exact_ie": f"{ie}, {o.enumerated(4)} SELECT aid, round(sum(exp(-cost)) FILTER ((w >> k) & 1 = 1) / sum(exp(-cost)), 5) AS p FROM costs JOIN ranked USING (comp) GROUP BY aid",
-        "query_field_rc": f"{rc}, {o.COMPONENTS}, hit AS (SELECT DISTINCT comp FROM comps JOIN topic USING (aid) WHERE doc_id < 100) SELECT rule, {o.LITS}, weight FROM cl WHERE abs(lits[1]) IN (SELECT aid FROM comps WHERE comp IN (SELECT comp FROM hit))",
+        "marginals_exact_ie": f"{ie}, {o.enumerated(12)} SELECT aid, round(sum(exp(-cost)) FILTER ((w >> k) & 1 = 1) / sum(exp(-cost)), 5) AS p FROM costs JOIN ranked USING (comp) GROUP BY aid",
+        "query_field_rc": f"{rc}, {o.COMPONENTS}, hit AS (SELECT DISTINCT comp FROM comps JOIN topic USING (aid) WHERE doc_id IN (SELECT doc_id FROM documents WHERE lang = 'de')) SELECT rule, {o.LITS}, weight FROM cl WHERE abs(lits[1]) IN (SELECT aid FROM comps WHERE comp IN (SELECT comp FROM hit))",
         "active_round0_rc": f"{rc} SELECT rule, {o.LITS}, weight FROM cl WHERE CASE WHEN weight > 0 THEN len(list_filter(lits, lambda x: x < 0)) = 0 ELSE len(list_filter(lits, lambda x: x < 0)) > 0 END",
         "filled_topic_evidence": f"WITH {o.RC_ATOMS} SELECT doc_id, cls FROM topic WHERE truth = 1",
-        "program_stats": f"WITH {o.RC_ATOMS} SELECT 'rc' AS workload, 'query_atoms' AS measure, count(*) AS n FROM topic WHERE truth = -1 UNION ALL SELECT 'ie2', 'query_atoms', count(*) FROM (SELECT DISTINCT conv_id, turn FROM conversations) UNION ALL SELECT 'lp', 'query_atoms', count(*) FROM (SELECT o_custkey, l_suppkey FROM orders JOIN lineitem ON o_orderkey = l_orderkey GROUP BY ALL HAVING count(DISTINCT o_orderkey) >= 2)",
-        "exhaustive_equals_pruned": "SELECT * FROM (VALUES (CAST(0 AS BIGINT), 1.0, false), (0, 33.0, true)) v(hard, soft, world)",
         "op_rollup": "WITH e AS (SELECT event_type, CAST(least(floor(value / 50), 9) AS INT) AS band FROM events) SELECT coalesce(event_type, 'all') AS event_type, coalesce(band, -1) AS band, count(*) AS n FROM e GROUP BY ROLLUP (event_type, band)",
         "op_cube": "WITH e AS (SELECT event_type, CAST(least(floor(value / 50), 9) AS INT) AS band FROM events) SELECT coalesce(event_type, 'all') AS event_type, coalesce(band, -1) AS band, count(*) AS n FROM e GROUP BY CUBE (event_type, band)",
         "op_pivot": "WITH e AS (SELECT event_type, CAST(least(floor(value / 50), 9) AS INT) AS band FROM events) SELECT band, "
@@ -516,7 +503,7 @@ def oracle_sql() -> dict[str, str]:
         "reground_constants_rc": out["constant_cost_rc"],
         "entity_groups_rc": f"WITH RECURSIVE {o.RC_ATOMS}, link AS (SELECT d1 AS a, d2 AS b FROM cites UNION SELECT d2, d1 FROM cites), reach AS (SELECT DISTINCT doc_id AS a, doc_id AS r FROM documents UNION SELECT b, r FROM reach JOIN link USING (a) WHERE r < b), least AS (SELECT a AS doc_id, min(r) AS c FROM reach GROUP BY a) SELECT doc_id, min('doc:' || doc_id) OVER (PARTITION BY c) AS grp FROM least",
         "lumped_steps_ex1": "SELECT policy, CAST(n AS BIGINT) AS n, CAST(whole_steps AS DOUBLE) AS whole_steps, CAST(round(n * one, 3) AS DOUBLE) AS component_steps FROM (VALUES ('listed', 1, 1.214, 17 / 14.0), ('listed', 2, 4.078, 17 / 14.0), ('listed', 4, 16.166, 17 / 14.0), ('listed', 8, 109.922, 17 / 14.0), ('listed', 12, 684.747, 17 / 14.0), ('listed', 16, 4574.04, 17 / 14.0), ('repairing', 1, 2.5, 2.5), ('repairing', 2, 11.175, 2.5), ('repairing', 4, 83.667, 2.5), ('repairing', 8, 2878.36, 2.5), ('repairing', 12, 105216.543, 2.5), ('repairing', 16, 3995140.869, 2.5)) v(policy, n, whole_steps, one)",
-        "best_curve_ie": f"{ie}, {o.enumerated(4)} SELECT CAST(sum(hard) AS BIGINT) AS hard, round(sum(soft), 6) AS soft FROM ({o.BEST})",
+        "best_curve_ie": f"{ie}, {o.enumerated(12)} SELECT CAST(sum(hard) AS BIGINT) AS hard, round(sum(soft), 6) AS soft FROM ({o.BEST})",
         "memory_rc": f"{rc}, {o.COMPONENTS}, a AS (SELECT comp, count(*) AS atoms FROM comps GROUP BY comp), c AS (SELECT comp, count(*) AS n, sum(len(lits)) AS l FROM cl JOIN comps ON aid = abs(lits[1]) GROUP BY comp) SELECT CAST(sum(l * 8 + n * 33) AS BIGINT) AS clause_bytes, CAST(sum(atoms * 40 + n * 64 + l * 16) AS BIGINT) AS whole_bytes, CAST(max(atoms * 40 + n * 64 + l * 16) AS BIGINT) AS largest_bytes FROM a JOIN c USING (comp)",
     }
     for value, name in (("false", "cost_all_false"), ("true", "cost_all_true")):
@@ -533,7 +520,8 @@ def oracle_sql() -> dict[str, str]:
           SELECT cid, bool_or(x < 0 AND aid IS NULL) AS blocked, bool_or(x < 0 OR aid IS NOT NULL) AS moved
           FROM part LEFT JOIN (SELECT DISTINCT aid FROM grow) g ON aid = abs(x) GROUP BY cid) USING (cid)
         WHERE CASE WHEN weight > 0 THEN NOT blocked ELSE moved END"""
-    for lesion in ("order", "merge", "broadcast", "shuffle_hash", "no_pushdown"):
+    for lesion in ("order", "nested_loop", "merge", "broadcast", "shuffle_hash", "no_pushdown"):
         out[f"lesion_{lesion}"] = out["canonical_clauses_rc"]
-    out["lesion_nested_loop"] = f"{o.EX2} {canon}"
-    return out | similarity.oracle_sql() | stream.oracle_sql()
+    from ruleworld.plans import catalog_measures
+
+    return out | similarity.oracle_sql() | stream.oracle_sql() | catalog_measures.oracle_sql()

@@ -8,7 +8,7 @@ evidence decides is left out of the clauses and kept as constants, so costs stay
 from __future__ import annotations
 
 from contextlib import contextmanager
-from dataclasses import dataclass, field
+from dataclasses import dataclass, field, replace
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -95,11 +95,11 @@ def _constants(x: Literal, columns: list[str]) -> Column:
     return cond
 
 
-def literal_scan(atoms: Atoms, x: Literal, k: int, weight: float) -> DataFrame:
+def literal_scan(atoms: Atoms, x: Literal, k: int, weight: float, prune: bool = True) -> DataFrame:
     """Rows of a literal that leave the clause undecided: columns for its variables, ``t{k}`` truth and ``l{k}`` signed id."""
     p = atoms.program.predicates[x.pred]
     rows = atoms.tables[x.pred].filter(_constants(x, p.columns))
-    if p.open and weight > 0:
+    if p.open and weight > 0 and prune:
         rows = rows.filter(F.col("truth") != (1 if x.positive else 0))
     names = {}
     for t, c in zip(x.terms, p.columns, strict=True):
@@ -131,18 +131,71 @@ def _join(left: DataFrame | None, right: DataFrame, lesion: str) -> DataFrame:
     return left.join(right, shared) if shared else left.crossJoin(right)
 
 
-def ground_rule(atoms: Atoms, c: Clause, lesion: str = "none") -> DataFrame:
-    """Undecided instances of a clause, one row each, as ``CLAUSE``; ``state`` is free, lost or won (with weight under zero)."""
+#: Rules of one shape up to which their constants are a broadcast table.
+SHAPE_RULES = 100_000
+_RULE, _WEIGHT = "k_rule", "k_weight"
+
+
+def _shape(c: Clause) -> tuple:
+    """What rules have in common that differ in name, constants of literals and size of weight only."""
+    lits = tuple((x.pred, x.positive, tuple((t.value, True) if t.variable else (type(t.value).__name__, False) for t in x.terms)) for x in c.literals)
+    return lits, c.equals, c.exists, c.hard, c.weight > 0
+
+
+def rule_groups(clauses: list[Clause]) -> list[list[Clause]]:
+    """Rules of one shape together, in the order of their first."""
+    groups: dict[tuple, list[Clause]] = {}
+    for c in clauses:
+        groups.setdefault(_shape(c), []).append(c)
+    return list(groups.values())
+
+
+def ground_shape(atoms: Atoms, rules: list[Clause], lesion: str = "none") -> DataFrame:
+    """Instances of several rules of one shape by one plan: their constants are a small table that the literals join.
+
+    So the number of scans follows the number of shapes, not of rules. Shapes without a constant in a literal that lists
+    values (an open or a body one) are ground rule by rule.
+    """
+    first, preds = rules[0], atoms.program.predicates
+    names: dict[tuple[int, int], str] = {}
+    listed = False
+    for k, x in enumerate(first.literals):
+        for j, t in enumerate(x.terms):
+            if not t.variable:
+                names[k, j] = f"k{k}_{j}"
+                listed = listed or (preds[x.pred].open or not x.positive) and not x.variables() & first.exists
+    if len(rules) == 1 or not listed:
+        out = ground_rule(atoms, rules[0], lesion)
+        for c in rules[1:]:
+            out = out.unionByName(ground_rule(atoms, c, lesion))
+        return out
+    kinds = [preds[first.literals[k].pred].args[j][1] for k, j in names]
+    rows = [(c.id, float(c.weight), *(c.literals[k].terms[j].value for k, j in names)) for c in rules]
+    spark = next(iter(atoms.tables.values())).sparkSession
+    texts = spark.createDataFrame([(r[0], r[1], *map(str, r[2:])) for r in rows], ", ".join([f"{_RULE} string", f"{_WEIGHT} double", *[f"v_{n} string" for n in names.values()]]))
+    table = texts.select(_RULE, _WEIGHT, *[F.col(f"v_{n}").cast(kind).alias(f"v_{n}") for n, kind in zip(names.values(), kinds, strict=True)])
+    literals = tuple(replace(x, terms=tuple(Term(names[k, j], True) if (k, j) in names else t for j, t in enumerate(x.terms))) for k, x in enumerate(first.literals))
+    return ground_rule(atoms, replace(first, literals=literals), lesion, constants=F.broadcast(table) if len(rules) <= SHAPE_RULES and lesion == "none" else table)
+
+
+def ground_rule(atoms: Atoms, c: Clause, lesion: str = "none", constants: DataFrame | None = None, prune: bool = True) -> DataFrame:
+    """Undecided instances of a clause, one row each, as ``CLAUSE``; ``state`` is free, lost or won (with weight under zero).
+
+    ``constants`` binds variables of the clause by rule (columns ``k_rule``, ``k_weight``, ``v_...``). Without ``prune``
+    instances that evidence satisfies are rows too, with state won.
+    """
     spark = next(iter(atoms.tables.values())).sparkSession
     preds = atoms.program.predicates
-    now, lits, guards, wit = None, [], [], []
+    now, lits, guards, wit = constants, [], [], []
+    rule, weight = (F.col(_RULE), F.col(_WEIGHT)) if constants is not None else (F.lit(c.id), F.lit(float(c.weight)))
+    named = [rule.alias("rule"), weight.alias("weight")]
     for k, x in enumerate(c.literals):
         if x.variables() & c.exists:
             wit.append((k, x))
         elif not preds[x.pred].open and x.positive:
             guards.append((k, x))
         else:
-            now = _join(now, literal_scan(atoms, x, k, c.weight), lesion)
+            now = _join(now, literal_scan(atoms, x, k, c.weight, prune), lesion)
             if preds[x.pred].open:
                 lits.append(k)
     if now is None:
@@ -153,7 +206,7 @@ def ground_rule(atoms: Atoms, c: Clause, lesion: str = "none") -> DataFrame:
     for e in c.equals:
         same = _value(e.left) == _value(e.right)
         met = same if e.positive else ~same
-        if c.weight > 0:
+        if c.weight > 0 and prune:
             now = now.filter(~met)
         else:
             won = won | met
@@ -162,23 +215,26 @@ def ground_rule(atoms: Atoms, c: Clause, lesion: str = "none") -> DataFrame:
         true = atoms.tables[x.pred].filter(_constants(x, p.columns))
         keys = {t.value: col for t, col in zip(x.terms, p.columns, strict=True) if t.variable}
         true = true.select(*[F.col(col).alias(f"v_{v}") for v, col in keys.items()]).distinct()
-        if c.weight > 0:
-            now = now.join(true, [f"v_{v}" for v in keys], "left_anti")
+        right, cond = _looped(true, [f"v_{v}" for v in keys], lesion)
+        if c.weight > 0 and prune:
+            now = now.join(right, cond, "left_anti")
         else:
-            now = now.join(true.withColumn(f"g{k}", F.lit(True)), [f"v_{v}" for v in keys], "left")
+            now = now.join(right.withColumn(f"g{k}", F.lit(True)), cond, "left")
             won = won | F.coalesce(F.col(f"g{k}"), F.lit(False))
     array = F.array(*[F.when(F.col(f"t{k}") == -1, F.col(f"l{k}")) for k in lits]).cast("array<bigint>") if lits else F.array().cast("array<bigint>")
     for k in lits:
         won = won | (F.col(f"t{k}") == 1)
     if wit:
-        now = _witnessed(atoms, c, now, wit)
+        now = _witnessed(atoms, c, now, wit, prune)
+        if not prune:
+            won = won | F.col("w_met")
         array = F.concat(array, F.coalesce("w_ids", F.array().cast("array<bigint>")))
     free = F.array_distinct(F.array_compact(array))
-    body = now.select(free.alias("f"), won.alias("won"))
+    body = now.select(*named, free.alias("f"), won.alias("won"))
     clash = F.exists("f", lambda x: F.array_contains("f", -x))
     state = F.when(F.col("won") | clash, "won").when(F.size("f") == 0, "lost").otherwise("free")
     ordered = F.array_sort("f", lambda a, b: F.when(F.abs(a) < F.abs(b), -1).when(F.abs(a) > F.abs(b), 1).otherwise(0))
-    out = body.select(F.lit(c.id).alias("rule"), ordered.alias("lits"), F.lit(c.weight).alias("weight"), F.lit(c.hard).alias("is_hard"), state.alias("state"))
+    out = body.select("rule", ordered.alias("lits"), "weight", F.lit(c.hard).alias("is_hard"), state.alias("state"))
     if c.hard and c.weight < 0:  # must be false: every free literal's negation is a hard unit
         units = out.filter("state = 'free'").select("rule", F.explode("lits").alias("x"), F.lit(1.0).alias("weight"), "is_hard", "state")
         units = units.select("rule", F.array(-F.col("x")).alias("lits"), "weight", "is_hard", "state")
@@ -187,8 +243,20 @@ def ground_rule(atoms: Atoms, c: Clause, lesion: str = "none") -> DataFrame:
     return out
 
 
-def _witnessed(atoms: Atoms, c: Clause, now: DataFrame, wit: list[tuple[int, Literal]]) -> DataFrame:
-    """One row an outer binding, with the ids of unknown witnesses; bindings with a true witness go."""
+def _looped(right: DataFrame, keys: list[str], lesion: str):
+    """The right side and condition of a guard's join; without equal keys where only nested loops are allowed."""
+    if lesion != "nested_loop" or not keys:
+        return right, keys
+    right = right.select(*[F.col(c).alias(f"_{c}") if c in keys else F.col(c) for c in right.columns])
+    cond = F.lit(True)
+    for c in keys:
+        cond = cond & (F.col(c) <= F.col(f"_{c}")) & (F.col(c) >= F.col(f"_{c}"))
+    return right, cond
+
+
+def _witnessed(atoms: Atoms, c: Clause, now: DataFrame, wit: list[tuple[int, Literal]], prune: bool = True) -> DataFrame:
+    """One row an outer binding, with the ids of unknown witnesses; bindings with a true witness go, or are marked ``w_met``."""
+    now = now if prune else now.withColumn("w_met", F.lit(False))
     for k, x in wit:
         p = atoms.program.predicates[x.pred]
         rows = atoms.tables[x.pred].filter(_constants(x, p.columns))
@@ -197,7 +265,7 @@ def _witnessed(atoms: Atoms, c: Clause, now: DataFrame, wit: list[tuple[int, Lit
         rows = rows.select(*[F.col(col).alias(f"v_{v}") for v, col in keys.items()], "truth", ids.alias("w"))
         found = rows.groupBy(*[f"v_{v}" for v in keys]).agg(F.max(F.col("truth") == 1).alias("met"), F.array_sort(F.collect_list(F.when(F.col("truth") == -1, F.col("w")))).alias(f"w{k}"))
         now = now.join(found, [f"v_{v}" for v in keys], "left") if keys else now.crossJoin(found)
-        now = now.filter(~F.coalesce("met", F.lit(False))).drop("met")
+        now = now.filter(~F.coalesce("met", F.lit(False))).drop("met") if prune else now.withColumn("w_met", F.col("w_met") | F.coalesce("met", F.lit(False))).drop("met")
         ids = F.coalesce(f"w{k}", F.array().cast("array<bigint>"))
         now = now.withColumn("w_ids", F.concat("w_ids", ids) if "w_ids" in now.columns else ids)
     return now
@@ -239,8 +307,8 @@ class Field:
 
 
 def ground_raw(program: Program, atoms: Atoms, lesion: str = "none") -> DataFrame:
-    """Undecided, lost and won instances of all rules, before merging."""
-    parts = [ground_rule(atoms, c, lesion) for c in program.clauses]
+    """Undecided, lost and won instances of all rules, before merging; one plan for the rules of each shape."""
+    parts = [ground_shape(atoms, rules, lesion) for rules in rule_groups(program.clauses)]
     out = parts[0]
     for p in parts[1:]:
         out = out.unionByName(p)
@@ -322,5 +390,18 @@ def rule_sql(program: Program, c: Clause) -> str:
     return f"SELECT array_compact(array({', '.join(lits)})) AS lits\nFROM {', '.join(frm)}\nWHERE {' AND '.join(where) or 'true'}"
 
 
+def explain_grounding(program: Program, atoms: Atoms, c: Clause) -> str:
+    """The rule's query as SQL text (where it has one) and the plan that Catalyst makes of its grounding."""
+    text = rule_sql(program, c) if c.weight > 0 and not c.exists else "(no SQL text: a rule of negative weight or with witnesses)"
+    run = ground_rule(atoms, c)._jdf.queryExecution()
+    return f"{text}\n\n{run.explainString(_formatted(atoms))}"
+
+
+def _formatted(atoms: Atoms):
+    """Spark's formatted explain mode."""
+    spark = next(iter(atoms.tables.values())).sparkSession
+    return spark._jvm.org.apache.spark.sql.execution.ExplainMode.fromString("formatted")
+
+
 def _sql(v) -> str:
     return "'" + v.replace("'", "''") + "'" if isinstance(v, str) else str(v).lower() if isinstance(v, bool) else str(v)

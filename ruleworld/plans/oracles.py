@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from ruleworld.functions.similarity import COSINE_SQL, JACCARD_SQL
 from ruleworld.plans.workloads import EVENT_TYPES, band_weight
 
 # Clause tables ``cl(rule, lits, weight, is_hard)``, one row an undecided instance, and atoms.
@@ -59,6 +60,32 @@ raw AS (SELECT 'r1' AS rule, {_TWO.format('x', 'y', '-', '')} AS lits, 2.0 AS we
         UNION ALL SELECT 'r4', [-aid], 1.25 FROM nodes WHERE k % 3 = 0
         UNION ALL SELECT 'r5', {_TWO.format('x', 'y', '-', '-')}, 0.5 FROM ring WHERE k % 2 = 1), {MERGE}"""
 
+LP = f"""WITH RECURSIVE t AS (SELECT row_number() OVER (ORDER BY c, s) AS aid, c, s, n FROM (
+    SELECT o_custkey AS c, l_suppkey AS s, least(count(DISTINCT o_orderkey), 3) AS n FROM orders JOIN lineitem ON o_orderkey = l_orderkey GROUP BY ALL HAVING count(DISTINCT o_orderkey) >= 2)),
+alike AS (SELECT x, y FROM (SELECT c_custkey AS x, lead(c_custkey) OVER (PARTITION BY c_nationkey, c_mktsegment ORDER BY c_custkey) AS y FROM customer) WHERE y IS NOT NULL),
+raw AS (SELECT 'r1' AS rule, {_TWO.format('x.aid', 'y.aid', '-', '-')} AS lits, 3.0 AS weight FROM t x JOIN t y ON x.c = y.c AND x.s <> y.s
+        UNION ALL SELECT 'r2', [aid], 1.0 FROM t WHERE n = 3
+        UNION ALL SELECT 'r3', [aid], 0.5 FROM t WHERE n = 2
+        UNION ALL SELECT 'r4', [aid], 1.0 FROM t JOIN customer ON c = c_custkey JOIN supplier ON s = s_suppkey WHERE c_nationkey = s_nationkey
+        UNION ALL SELECT 'r5', {_TWO.format('x.aid', 'y.aid', '-', '')}, 0.5 FROM t x JOIN alike ON alike.x = x.c JOIN t y ON y.c = alike.y AND y.s = x.s), {MERGE}"""
+
+_THREE = "list_transform(list_sort([x.aid * 2, y.aid * 2, z.aid * 2 + 1]), lambda v: CASE WHEN v % 2 = 1 THEN v // 2 ELSE -(v // 2) END)"
+ER2 = f"""WITH RECURSIVE {JACCARD_SQL}, two AS (SELECT d1 AS p, d2 AS q, sim FROM jac WHERE sim >= 0.5 UNION ALL SELECT d2, d1, sim FROM jac WHERE sim >= 0.5),
+t2 AS (SELECT row_number() OVER (ORDER BY p, q) AS aid, p, q, sim FROM two),
+raw AS (SELECT 'r1' AS rule, [aid] AS lits, 2.0 AS weight FROM t2 WHERE sim >= 0.8
+        UNION ALL SELECT 'r2', [aid], 0.5 FROM t2 JOIN documents a ON a.doc_id = p JOIN documents b ON b.doc_id = q WHERE a.lang = b.lang
+        UNION ALL SELECT 'r3', [aid], -1.0 FROM t2
+        UNION ALL SELECT 'r4', {_TWO.format('x.aid', 'y.aid', '-', '')}, 1.0 FROM t2 x JOIN t2 y ON y.p = x.q AND y.q = x.p
+        UNION ALL SELECT 'r5', {_THREE}, 3.0 FROM t2 x JOIN t2 y ON x.q = y.p JOIN t2 z ON z.p = x.p AND z.q = y.q),
+cl AS (SELECT rule, lits, CASE WHEN rule = 'r4' THEN 1.0 ELSE sum(weight) END AS weight, count(*) AS multiplicity FROM raw GROUP BY rule, lits)"""
+
+ER3 = f"""WITH {COSINE_SQL}, pairs AS (SELECT * FROM cos WHERE sim >= 0.3),
+two AS (SELECT DISTINCT * FROM (SELECT v1 AS p, v2 AS q, sim FROM pairs UNION ALL SELECT v2, v1, sim FROM pairs)),
+t AS (SELECT row_number() OVER (ORDER BY p, q) AS aid, p, q, sim FROM two),
+raw AS (SELECT 'r1' AS rule, [aid] AS lits, 2.0 AS weight FROM t WHERE sim >= 0.4
+        UNION ALL SELECT 'r2', [aid], 1.0 FROM t JOIN embeddings a ON a.vec_id = p JOIN embeddings b ON b.vec_id = q WHERE a.label = b.label
+        UNION ALL SELECT 'r3', [aid], -1.0 FROM t)"""
+
 # Parts that follow a clause table.
 
 COMPONENTS = """

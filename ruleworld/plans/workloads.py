@@ -5,9 +5,10 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from ruleworld.functions import similarity
 from ruleworld.plans.ground import query_atoms
 from ruleworld.plans.program import Program
-from ruleworld.sources.scratch import table
+from ruleworld.sources.scratch import settle, table
 
 
 def unknown():
@@ -182,6 +183,48 @@ def dedup_parts(spark: SparkSession, sf_dir: str, block: tuple[str, ...] = ("p_n
     }
 
 
+def dedup_docs(spark: SparkSession, sf_dir: str, alike: float = 0.5, near: float = 0.8):
+    """Which documents of different text are the same: candidates are texts with a five-word Jaccard similarity from ``alike`` on."""
+    docs = table(spark, sf_dir, "documents")
+    pairs = settle(similarity.jaccard_pairs(docs.select("doc_id", "text"), alike))
+    both = pairs.select("d1", "d2", "sim").unionByName(pairs.select(F.col("d2").alias("d1"), F.col("d1").alias("d2"), "sim"))
+    lang = docs.groupBy("doc_id").agg(F.min("lang").alias("lang"))
+    spoken = both.join(lang.select(F.col("doc_id").alias("d1"), F.col("lang").alias("l1")), "d1").join(lang.select(F.col("doc_id").alias("d2"), F.col("lang").alias("l2")), "d2")
+    program = Program.parse(
+        """
+        @closed near(doc bigint, doc bigint)
+        @closed same_lang(doc bigint, doc bigint)
+        @open same(doc bigint, doc bigint)
+        2: near(p, q) => same(p, q)
+        0.5: same_lang(p, q) => same(p, q)
+        -1: same(p, q)
+        hard: same(p, q) => same(q, p)
+        3: same(p, q) & same(q, r) => same(p, r)
+        """
+    )
+    return program, {"near": both.filter(F.col("sim") >= near).select("d1", "d2"), "same_lang": spoken.filter("l1 = l2").select("d1", "d2"), "same": both.select("d1", "d2", unknown())}
+
+
+def dedup_vectors(spark: SparkSession, sf_dir: str, alike: float = 0.3, near: float = 0.4):
+    """Which vectors are of one thing: candidates are found by a search from the vectors whose id is divisible by 100."""
+    label = table(spark, sf_dir, "embeddings").select("vec_id", "label")
+    pairs = settle(similarity.vector_pairs(spark, sf_dir, alike))
+    both = pairs.unionByName(pairs.select(F.col("v2").alias("v1"), F.col("v1").alias("v2"), "sim")).distinct()
+    told = both.join(label.select(F.col("vec_id").alias("v1"), F.col("label").alias("l1")), "v1").join(label.select(F.col("vec_id").alias("v2"), F.col("label").alias("l2")), "v2")
+    program = Program.parse(
+        """
+        @closed near(vec bigint, vec bigint)
+        @closed same_label(vec bigint, vec bigint)
+        @open same(vec bigint, vec bigint)
+        2: near(p, q) => same(p, q)
+        1: same_label(p, q) => same(p, q)
+        -1: same(p, q)
+        hard: same(p, q) => same(q, p)
+        """
+    )
+    return program, {"near": both.filter(F.col("sim") >= near).select("v1", "v2"), "same_label": told.filter("l1 = l2").select("v1", "v2"), "same": both.select("v1", "v2", unknown())}
+
+
 def twin_atoms(spark: SparkSession, sf_dir: str, keys: str = "nation", n: int | None = None):
     name, key = {"nation": ("nation", "n_nationkey"), "supplier": ("supplier", "s_suppkey"), "customer": ("customer", "c_custkey")}[keys]
     k = table(spark, sf_dir, name).select(F.col(key).cast("long").alias("k"))
