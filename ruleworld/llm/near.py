@@ -4,13 +4,14 @@ A text is the set of its runs of ``words`` words (64-bit hashes). Under one orde
 ``least`` or more share a run among the first n - ceil(least n) + 1 of each, so only those prefixes travel, to the task
 of each run. The order puts runs that are frequent in a bounded sample last; any order gives the same result. Pairs that
 meet are dropped only if they cannot be similar, by their sizes, by the places of the shared run, or by parity bitmaps
-of one to two bits a run (as many unlike bits as the sets have unlike runs at most, where unlike sets of any size
+of two to four bits a run (as many unlike bits as the sets have unlike runs at most, where unlike sets of any size
 show more); the others are verified on the whole sets.
 
-Groups are found in two rounds: first the links of fingerprints by meet-in-the-middle ball hashing (``simhash.py``) and
-every text of a run with the run's least row number, then all pairs that are not in one group by then. So a large group
-takes a number of pairs in proportion to it, and no link between groups is lost. A ball of 4 of 64 bits alone would miss
-most pairs of a similarity near 0.8.
+Groups are found in two rounds: first the links of fingerprints by meet-in-the-middle ball hashing (``simhash.py``) and,
+for the few prefix runs of least hash of each text, the text with the least row number that has the run; then all pairs
+that are not in one group by then, over runs that texts of several groups hold. So the first round takes a number of pairs in
+proportion to the texts, however large their groups, and no link between groups is lost. A ball of 4 of 64 bits alone
+would miss most pairs of a similarity near 0.8.
 
 Edge cases: texts without words are equal; texts of fewer words are one run; ASCII case and white space do not count.
 """
@@ -33,8 +34,9 @@ from ruleworld.operators.connect import connect
 from ruleworld.sources.scratch import settle
 
 SEED = 42
-#: 64-bit words of a parity bitmap at least; documents of the sample that tells frequent runs; times a frequent run is seen there.
-PARITY, SAMPLE, OFTEN = 8, 4000, 3
+#: 64-bit words of a parity bitmap at least; documents of the sample that tells frequent runs; times a frequent run is seen
+#: there; prefix runs of a text that meet in the first round.
+PARITY, SAMPLE, OFTEN, FEW = 8, 4000, 3, 8
 MIX = np.uint64(0x9E3779B97F4A7C15)
 
 
@@ -53,8 +55,8 @@ def word_runs(text: str | None, words: int = 5) -> np.ndarray:
 
 
 def parity(runs: np.ndarray) -> np.ndarray:
-    """A bitmap of 1 to 2 bits a run, 64 ``PARITY`` at least, in which each run turns one bit."""
-    size = max(64 * PARITY, 1 << (len(runs) - 1).bit_length())
+    """A bitmap of 2 to 4 bits a run, 64 ``PARITY`` at least, in which each run turns one bit."""
+    size = max(64 * PARITY, 2 << (len(runs) - 1).bit_length())
     odd = np.bincount((runs >> np.uint64(7)).astype(np.int64) & (size - 1), minlength=size) & 1
     return np.packbits(odd.astype(np.uint8), bitorder="little").view(np.uint64)
 
@@ -109,13 +111,13 @@ def _telling(words: int):
 
 
 def _prefixes(shared, words: int, num: int, den: int):
-    """``rid, doc_id, text`` become ``rid, doc_id, n, fp, parity, prefix``."""
+    """``rid, doc_id, text`` become ``rid, doc_id, n, fp, parity, prefix, few``."""
 
     def run(batches):
         forget()
         often, level = landed(shared)
         for b in batches:
-            n, bits, fps, heads = [], [], [], []
+            n, bits, fps, heads, few = [], [], [], [], []
             for t in b.column(2).to_pylist():
                 runs = word_runs(t, words)
                 n.append(len(runs))
@@ -125,21 +127,26 @@ def _prefixes(shared, words: int, num: int, den: int):
                     at = np.minimum(np.searchsorted(often, runs), len(often) - 1)
                     runs = runs[np.lexsort((runs, np.where(often[at] == runs, level[at], 0)))]
                 heads.append(runs[: len(runs) + 1 + (-len(runs) * num) // den])
-            told = [pa.array(n, pa.int64()), pa.array(np.array(fps, np.uint64).view(np.int64)), pa.array(bits, pa.binary()), _lists(heads)]
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), *told], names=["rid", "doc_id", "n", "fp", "parity", "prefix"])
+                few.append(np.sort(heads[-1])[:FEW])
+            told = [pa.array(n, pa.int64()), pa.array(np.array(fps, np.uint64).view(np.int64)), pa.array(bits, pa.binary()), _lists(heads), _lists(few)]
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), *told], names=["rid", "doc_id", "n", "fp", "parity", "prefix", "few"])
 
     return run
 
 
 def _meeting(batches):
-    """Rows of runs that more than one text holds."""
-    got = [[b.column(k).to_numpy() for k in range(3)] for b in batches]
+    """Rows ``s, rid, pos, root`` of runs that texts of more than one group hold."""
+    got = [[b.column(k).to_numpy() for k in range(4)] for b in batches]
     if got:
-        s, rid, pos = (np.concatenate(x) for x in zip(*got, strict=True))
-        _, back, many = np.unique(s, return_inverse=True, return_counts=True)
-        keep = many[back] > 1
-        if keep.any():
-            yield pa.RecordBatch.from_arrays([pa.array(x[keep]) for x in (s, rid, pos)], names=["s", "rid", "pos"])
+        s, rid, pos, root = (np.concatenate(x) for x in zip(*got, strict=True))
+        order = np.argsort(s, kind="stable")
+        s, rid, pos, root = (x[order] for x in (s, rid, pos, root))
+        first = np.flatnonzero(np.concatenate(([True], s[1:] != s[:-1]))) if len(s) else np.zeros(0, int)
+        if len(first):
+            several = np.minimum.reduceat(root, first) != np.maximum.reduceat(root, first)
+            keep = np.repeat(several, np.diff(np.append(first, len(s))))
+            if keep.any():
+                yield pa.RecordBatch.from_arrays([pa.array(x[keep]) for x in (s, rid, pos, root)], names=["s", "rid", "pos", "root"])
 
 
 def possible(n, pos, bits: Bitmaps, i: np.ndarray, j: np.ndarray, num: int, den: int) -> np.ndarray:
@@ -152,8 +159,8 @@ def possible(n, pos, bits: Bitmaps, i: np.ndarray, j: np.ndarray, num: int, den:
     return ok
 
 
-def _pairing(num: int, den: int, star: bool):
-    """Pairs of texts that share a run: with the run's least row number, or all that are not in one group."""
+def _pairing(num: int, den: int):
+    """Pairs of texts of different groups that share a run and may be similar."""
 
     def run(batches):
         got, packed = [], []
@@ -163,29 +170,16 @@ def _pairing(num: int, den: int, star: bool):
         if not packed:
             return
         s, rid, pos, n, root = (np.concatenate(x) for x in zip(*got, strict=True))
-        order = np.lexsort((rid, s) if star else (rid, n, s))
+        order = np.lexsort((rid, n, s))
         s, rid, pos, n, root = (x[order] for x in (s, rid, pos, n, root))
-        bits = Bitmaps([packed[k] for k in order.tolist()])
-        found = []
-
-        def take(i, j):
-            if not star:
-                apart = root[i] != root[j]
-                i, j = i[apart], j[apart]
-            ok = possible(n, pos, bits, i, j, num, den)
-            a, b = rid[i[ok]], rid[j[ok]]
+        bits, found = Bitmaps([packed[k] for k in order.tolist()]), []
+        i, k = np.arange(len(s)), 1
+        while len(i := i[i + k < len(s)]) and len(i := i[(s[i] == s[i + k]) & (n[i] * den >= num * n[i + k])]):
+            x = i[root[i] != root[i + k]]  # sizes ascend, so a row that has met one too large meets no further
+            ok = possible(n, pos, bits, x, x + k, num, den)
+            a, b = rid[x[ok]], rid[x[ok] + k]
             found.append(np.unique(np.stack([np.minimum(a, b), np.maximum(a, b)], axis=1), axis=0))
-
-        if star:
-            first = np.flatnonzero(np.concatenate(([True], s[1:] != s[:-1])))
-            centre = np.repeat(first, np.diff(np.append(first, len(s))))
-            rest = np.flatnonzero(centre != np.arange(len(s)))
-            take(centre[rest], rest)
-        else:
-            i, k = np.arange(len(s)), 1
-            while len(i := i[i + k < len(s)]) and len(i := i[(s[i] == s[i + k]) & (n[i] * den >= num * n[i + k])]):
-                take(i, i + k)  # sizes ascend, so a row that has met one too large meets no further
-                k += 1
+            k += 1
         pairs = np.unique(np.concatenate(found), axis=0) if found else np.zeros((0, 2), np.int64)
         if len(pairs):
             yield pa.RecordBatch.from_arrays([pa.array(pairs[:, 0]), pa.array(pairs[:, 1])], names=["u", "v"])
@@ -193,6 +187,23 @@ def _pairing(num: int, den: int, star: bool):
     return run
 
 
+def _likely(num: int, den: int):
+    """Pairs ``u, v`` with sizes and bitmaps that do not rule similarity out."""
+
+    def run(batches):
+        for b in batches:
+            n1, n2 = b.column(2).to_numpy(), b.column(3).to_numpy()
+            at = np.flatnonzero(np.minimum(n1, n2) * den >= num * np.maximum(n1, n2))
+            if len(at):
+                near = b.take(pa.array(at))
+                bits = Bitmaps(near.column(4).to_pylist() + near.column(5).to_pylist())
+                x = np.arange(len(at))
+                ok = bits.unlike(x, x + len(at)) * (num + den) <= (n1[at] + n2[at]) * (den - num)
+                yield near.select(["u", "v"]).filter(pa.array(ok))
+
+    return run
+
+
 def _verified(num: int, den: int):
     def run(batches):
         for b in batches:
@@ -218,40 +229,53 @@ def _verify(docs: DataFrame, pairs: DataFrame, words: int, num: int, den: int) -
     return pairs.join(one, "u").join(two, "v").select("u", "v", "x", "y").mapInArrow(_verified(num, den), "u bigint, v bigint, sim double")
 
 
-def _met(docs: DataFrame, words: int, num: int, den: int) -> tuple[DataFrame, DataFrame]:
-    """What is known of each text of ``rid, doc_id, text``, and the prefix rows of runs that several texts hold."""
+def _balls(told: DataFrame, radius: int = 4) -> DataFrame:
+    """``u, v``: pairs of rows that span each group of fingerprints linked within the radius."""
+    nodes = settle(told.groupBy("fp").agg(F.min("rid").alias("first")))
+    links = ball_links(nodes.select("fp"), radius)
+    ends = [nodes.select(F.col("fp").alias(a), F.col("first").alias(f"{a}_first")) for a in ("u", "v")]
+    between = links.join(ends[0], "u").join(ends[1], "v").select(F.col("u_first").alias("u"), F.col("v_first").alias("v"))
+    equal = told.join(nodes, "fp").filter("rid <> first").select(F.col("first").alias("u"), F.col("rid").alias("v"))
+    return between.unionByName(equal).select(F.least("u", "v").alias("u"), F.greatest("u", "v").alias("v"))
+
+
+def _told(docs: DataFrame, words: int, num: int, den: int) -> DataFrame:
+    """What is known of each text of ``rid, doc_id, text``."""
     spark, n = docs.sparkSession, docs.count()
     sample = docs.filter(F.pmod(F.xxhash64("rid"), F.lit(max(1, n // SAMPLE))) == 0).select("rid", "text")
     seen = sample.mapInArrow(_telling(words), "rid bigint, runs array<bigint>").select(F.explode("runs").alias("s")).groupBy("s").count().filter(F.col("count") >= OFTEN).collect()
     seen = sorted((r[0] % 2**64, r[1]) for r in seen)
     shared = ship(spark, (np.array([r[0] for r in seen], np.uint64), np.array([r[1] for r in seen], np.int64)))
-    told = settle(docs.select("rid", "doc_id", "text").mapInArrow(_prefixes(shared, words, num, den), "rid bigint, doc_id bigint, n bigint, fp bigint, parity binary, prefix array<bigint>"))
-    rows = told.select("rid", F.posexplode("prefix").alias("pos", "s")).select("s", "rid", F.col("pos").cast("long").alias("pos"))
-    met = rows.repartition("s").mapInArrow(_meeting, "s bigint, rid bigint, pos bigint")
-    return told.drop("prefix"), settle(met.join(told.select("rid", "n", "parity"), "rid"))
+    schema = "rid bigint, doc_id bigint, n bigint, fp bigint, parity binary, prefix array<bigint>, few array<bigint>"
+    return settle(docs.select("rid", "doc_id", "text").mapInArrow(_prefixes(shared, words, num, den), schema))
 
 
-def _candidates(met: DataFrame, num: int, den: int, star: bool) -> DataFrame:
-    rows = met.select("s", "rid", "pos", "n", "root", "parity").repartition("s")
-    return settle(rows.mapInArrow(_pairing(num, den, star), "u bigint, v bigint").distinct())
+def _candidates(told: DataFrame, roots: DataFrame, num: int, den: int) -> DataFrame:
+    """``u, v``: pairs that share a prefix run, are in different groups (``rid, root``), and may be similar."""
+    grouped = told.select("rid", "prefix").join(roots, "rid", "left").select("rid", F.coalesce("root", "rid").alias("root"), "prefix")
+    rows = grouped.select("rid", "root", F.posexplode("prefix").alias("pos", "s")).select("s", "rid", F.col("pos").cast("long").alias("pos"), "root")
+    met = settle(rows.repartition("s").mapInArrow(_meeting, "s bigint, rid bigint, pos bigint, root bigint"))
+    known = met.join(told.select("rid", "n", "parity"), "rid").select("s", "rid", "pos", "n", "root", "parity").repartition("s")
+    return settle(known.mapInArrow(_pairing(num, den), "u bigint, v bigint").distinct())
 
 
-def _balls(told: DataFrame, radius: int = 4) -> DataFrame:
-    """``u, v``: pairs of rows that span each group of fingerprints linked within the radius."""
-    nodes = settle(told.groupBy("fp").agg(F.min("rid").alias("first")))
-    links = ball_links(nodes.select("fp"), radius)
-    ends = [nodes.select(F.col("fp").alias(a), F.col("first").alias(f"{a}_first")) for a in ("u", "v")]
-    between = links.join(ends[0], "u").join(ends[1], "v").select(F.col("u_first").alias("u"), F.col("v_first").alias("v"))
-    equal = told.join(nodes, "fp").filter("rid <> first").select(F.col("first").alias("u"), F.col("rid").alias("v"))
-    return between.unionByName(equal).select(F.least("u", "v").alias("u"), F.greatest("u", "v").alias("v"))
+def _first(told: DataFrame, num: int, den: int) -> DataFrame:
+    """``u, v``: pairs of the first round that may be similar: a few for each text."""
+    few = settle(told.select("rid", F.explode("few").alias("s")))
+    least = few.groupBy("s").agg(F.min("rid").alias("u"), F.count("*").alias("c")).filter("c > 1").select("s", "u")
+    stars = few.join(least, "s").filter("rid <> u").select("u", F.col("rid").alias("v"))
+    pairs = _balls(told).unionByName(stars).distinct()
+    one, two = (told.select(F.col("rid").alias(a), F.col("n").alias(f"n{a}"), F.col("parity").alias(f"p{a}")) for a in ("u", "v"))
+    both = pairs.join(one, "u").join(two, "v").select("u", "v", "nu", "nv", "pu", "pv")
+    return settle(both.mapInArrow(_likely(num, den), "u bigint, v bigint"))
 
 
 def similar_pairs(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 5, least: float = 0.8) -> DataFrame:
     """``u, v, sim``: all pairs of ids, ``u < v``, whose texts have a Jaccard similarity of ``least`` or more. Ids are distinct."""
     num, den = Fraction(str(least)).as_integer_ratio()
     rows = docs.select(F.col(id_col).cast("long").alias("rid"), F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
-    told, met = _met(rows, words, num, den)
-    return _verify(rows.select("rid", "text"), _candidates(met.withColumn("root", F.col("rid")), num, den, False), words, num, den)
+    none = docs.sparkSession.createDataFrame([], "rid bigint, root bigint")
+    return _verify(rows.select("rid", "text"), _candidates(_told(rows, words, num, den), none, num, den), words, num, den)
 
 
 def drop_near(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 5, least: float = 0.8) -> DataFrame:
@@ -263,13 +287,10 @@ def drop_near(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", w
     mark = "__rw_rid"
     placed = numbered(docs, mark)
     rows = placed.select(F.col(mark).alias("rid"), F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
-    told, met = _met(rows, words, num, den)
-    stars = _candidates(met.withColumn("root", F.col("rid")), num, den, True)
-    first = settle(_balls(told).unionByName(stars).distinct())
-    links = settle(_verify(rows.select("rid", "text"), first, words, num, den).select("u", "v"))
+    told, texts = _told(rows, words, num, den), rows.select("rid", "text")
+    links = settle(_verify(texts, _first(told, num, den), words, num, den).select("u", "v"))
     roots = settle(connect(links).select(F.col("node").alias("rid"), "root"))
-    grouped = met.join(roots, "rid", "left").withColumn("root", F.coalesce("root", "rid"))
-    more = _verify(rows.select("rid", "text"), _candidates(grouped, num, den, False), words, num, den).select("u", "v")
+    more = _verify(texts, _candidates(told, roots, num, den), words, num, den).select("u", "v")
     roots = connect(links.unionByName(more)).select(F.col("node").alias("rid"), "root")
     order = F.struct(F.col("doc_id").isNull().alias("a"), F.col("doc_id").alias("b"), F.col("rid").alias("c"))
     known = settle(told.select("rid", "doc_id").join(roots, "rid"))
