@@ -94,7 +94,7 @@ def take_turns(walks: list, seconds: float | None = None) -> list[Walk]:
     return out
 
 
-def walking(cl: Clauses, flips: int, tries: int = 1, noise: float = 0.5, policy: str = "listed", seed: int = 0, start=None, seconds: float | None = None, parts: list[int] | None = None, quantum: int = 0):
+def walking(cl: Clauses, flips: int, tries: int = 1, noise: float = 0.5, policy: str = "listed", seed: int = 0, start=None, seconds: float | None = None, parts: list[int] | None = None, quantum: int = 0, target: tuple[int, float] | None = None):
     """Restarted random walk with greedy moves; the start counts as a candidate, zero cost ends it.
 
     A violated clause is picked evenly; with chance ``noise`` one of its atoms at random flips, else the one whose flip
@@ -102,7 +102,7 @@ def walking(cl: Clauses, flips: int, tries: int = 1, noise: float = 0.5, policy:
     there are any. With ``parts`` (component of each atom) the best state is kept for each part on its own.
 
     A generator that returns a ``Walk``. With a ``quantum`` it pauses after so many flips, each time; what is sent to it
-    tells whether to end there.
+    tells whether to end there. A cost of ``target`` or less ends it.
     """
     if policy not in ("listed", "repairing"):
         raise ValueError(f"unknown policy {policy!r}")
@@ -186,8 +186,9 @@ def walking(cl: Clauses, flips: int, tries: int = 1, noise: float = 0.5, policy:
         keep(range(n_parts))
         draws = iter(())
         for _ in range(flips):
-            if not bad:
+            if not bad or target is not None and best <= target:
                 stop = True
+                ended = target is not None
                 break
             if seconds is not None and done % 1000 == 0 and time.perf_counter() - began > seconds:
                 stop = True
@@ -337,7 +338,7 @@ def hitting_time(cl: Clauses, policy: str = "listed", noise: float = 0.5, exact:
         hard, soft, _ = optimum(cl)
         steps = []
         for k in range(runs):
-            w = walk(cl, flips, 1, noise, policy, seed + k)
+            w = _end(walking(cl, flips, 1, noise, policy, seed + k, target=(hard, round(soft, 9))))
             got = [t[1] for t in w.trace if (t[3], round(t[4], 9)) <= (hard, round(soft, 9))]
             steps.append(got[0] if got else flips)
         return float(np.mean(steps)), float(max(steps))

@@ -79,6 +79,10 @@ class Program:
     predicates: dict[str, Predicate] = field(default_factory=dict)
     clauses: list[Clause] = field(default_factory=list)
 
+    @staticmethod
+    def builder() -> ProgramBuilder:
+        return ProgramBuilder()
+
     @staticmethod
     def parse(text: str) -> Program:
         out = Program()
@@ -124,6 +128,34 @@ class Program:
             raise ProgramError("witnesses may stand in the head of rules of positive weight only")
 
 
+class ProgramBuilder:
+    """A program step by step: ``Program.builder().open("on", n="bigint").rule(1.5, "on(x)", body="e(x, y)").build()``."""
+
+    def __init__(self):
+        self.lines: list[str] = []
+
+    def _declare(self, kind: str, name: str, args: dict[str, str] | list[tuple[str, str]]) -> ProgramBuilder:
+        pairs = args.items() if isinstance(args, dict) else args
+        self.lines.append(f"@{kind} {name}({', '.join(f'{d} {t}' for d, t in pairs)})")
+        return self
+
+    def closed(self, name: str, *args: tuple[str, str], **more: str) -> ProgramBuilder:
+        """A relation whose absent rows are false; arguments as ``(domain, type)`` pairs or by keyword."""
+        return self._declare("closed", name, [*args, *more.items()])
+
+    def open(self, name: str, *args: tuple[str, str], **more: str) -> ProgramBuilder:
+        """A relation of atoms with a truth that may be unknown."""
+        return self._declare("open", name, [*args, *more.items()])
+
+    def rule(self, weight: float | str, head: str, body: str = "") -> ProgramBuilder:
+        """``weight``: a number, ``"hard"`` or ``"-inf"``."""
+        self.lines.append(f"{weight}: {body + ' => ' if body else ''}{head}")
+        return self
+
+    def build(self) -> Program:
+        return Program.parse("\n".join(self.lines))
+
+
 def _uncomment(line: str) -> str:
     return re.sub(r"^((?:[^#'\"]|'[^']*'|\"[^\"]*\")*)#.*$", r"\1", line)
 
