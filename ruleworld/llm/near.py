@@ -37,6 +37,8 @@ SEED = 42
 #: 64-bit words of a parity bitmap at least; documents of the sample that tells frequent runs; times a frequent run is seen
 #: there; prefix runs of a text that meet in the first round.
 PARITY, SAMPLE, OFTEN, FEW = 8, 4000, 3, 8
+#: 64-bit words at most of the bitmaps that travel to each run.
+SHORT = 32
 MIX = np.uint64(0x9E3779B97F4A7C15)
 
 
@@ -111,25 +113,27 @@ def _telling(words: int):
 
 
 def _prefixes(shared, words: int, num: int, den: int):
-    """``rid, doc_id, text`` become ``rid, doc_id, n, fp, parity, prefix, few``."""
+    """``rid, doc_id, text`` become ``rid, doc_id, n, fp, parity, short, prefix, few``;
+    ``short`` is ``parity`` folded to ``SHORT`` words, where it is longer."""
 
     def run(batches):
         forget()
         often, level = landed(shared)
         for b in batches:
-            n, bits, fps, heads, few = [], [], [], [], []
+            n, bits, short, fps, heads, few = [], [], [], [], [], []
             for t in b.column(2).to_pylist():
                 runs = word_runs(t, words)
                 n.append(len(runs))
-                bits.append(parity(runs).tobytes())
+                bits.append((own := parity(runs)).tobytes())
+                short.append(np.bitwise_xor.reduce(own.reshape(-1, SHORT), axis=0).tobytes() if len(own) > SHORT else bits[-1])
                 fps.append(majority(runs))
                 if len(often):
                     at = np.minimum(np.searchsorted(often, runs), len(often) - 1)
                     runs = runs[np.lexsort((runs, np.where(often[at] == runs, level[at], 0)))]
                 heads.append(runs[: len(runs) + 1 + (-len(runs) * num) // den])
                 few.append(np.sort(heads[-1])[:FEW])
-            told = [pa.array(n, pa.int64()), pa.array(np.array(fps, np.uint64).view(np.int64)), pa.array(bits, pa.binary()), _lists(heads), _lists(few)]
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), *told], names=["rid", "doc_id", "n", "fp", "parity", "prefix", "few"])
+            told = [pa.array(n, pa.int64()), pa.array(np.array(fps, np.uint64).view(np.int64)), pa.array(bits, pa.binary()), pa.array(short, pa.binary()), _lists(heads), _lists(few)]
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), *told], names=["rid", "doc_id", "n", "fp", "parity", "short", "prefix", "few"])
 
     return run
 
@@ -159,20 +163,34 @@ def possible(n, pos, bits: Bitmaps, i: np.ndarray, j: np.ndarray, num: int, den:
     return ok
 
 
+def _whole_keys(batches, rows: int = 50_000):
+    """Sorted batches in portions of about so many rows, all rows of a key (first column) in one."""
+    held: list[pa.RecordBatch] = []
+    size = 0
+    for b in batches:
+        if size >= rows and b.num_rows:
+            cut = int(np.searchsorted(b.column(0).to_numpy(), held[-1].column(0)[-1].as_py(), side="right"))
+            held.append(b.slice(0, cut))
+            b = b.slice(cut)
+            if b.num_rows:
+                yield pa.Table.from_batches(held)
+                held, size = [], 0
+        if b.num_rows:
+            held.append(b)
+            size += b.num_rows
+    if held:
+        yield pa.Table.from_batches(held)
+
+
 def _pairing(num: int, den: int):
-    """Pairs of texts of different groups that share a run and may be similar."""
+    """Pairs of texts of different groups that share a run and may be similar, a few runs at a time."""
 
-    def run(batches):
-        got, packed = [], []
-        for b in batches:
-            got.append([b.column(k).to_numpy() for k in range(5)])
-            packed += b.column(5).to_pylist()
-        if not packed:
-            return
-        s, rid, pos, n, root = (np.concatenate(x) for x in zip(*got, strict=True))
+    def portion(t: pa.Table) -> np.ndarray:
+        s, rid, pos, n, root = (t.column(k).to_numpy() for k in range(5))
         order = np.lexsort((rid, n, s))
         s, rid, pos, n, root = (x[order] for x in (s, rid, pos, n, root))
-        bits, found = Bitmaps([packed[k] for k in order.tolist()]), []
+        packed, found = t.column(5).to_pylist(), []
+        bits = Bitmaps([packed[k] for k in order.tolist()])
         i, k = np.arange(len(s)), 1
         while len(i := i[i + k < len(s)]) and len(i := i[(s[i] == s[i + k]) & (n[i] * den >= num * n[i + k])]):
             x = i[root[i] != root[i + k]]  # sizes ascend, so a row that has met one too large meets no further
@@ -180,9 +198,13 @@ def _pairing(num: int, den: int):
             a, b = rid[x[ok]], rid[x[ok] + k]
             found.append(np.unique(np.stack([np.minimum(a, b), np.maximum(a, b)], axis=1), axis=0))
             k += 1
-        pairs = np.unique(np.concatenate(found), axis=0) if found else np.zeros((0, 2), np.int64)
-        if len(pairs):
-            yield pa.RecordBatch.from_arrays([pa.array(pairs[:, 0]), pa.array(pairs[:, 1])], names=["u", "v"])
+        return np.unique(np.concatenate(found), axis=0) if found else np.zeros((0, 2), np.int64)
+
+    def run(batches):
+        for t in _whole_keys(batches):
+            pairs = portion(t)
+            if len(pairs):
+                yield pa.RecordBatch.from_arrays([pa.array(pairs[:, 0]), pa.array(pairs[:, 1])], names=["u", "v"])
 
     return run
 
@@ -246,7 +268,7 @@ def _told(docs: DataFrame, words: int, num: int, den: int) -> DataFrame:
     seen = sample.mapInArrow(_telling(words), "rid bigint, runs array<bigint>").select(F.explode("runs").alias("s")).groupBy("s").count().filter(F.col("count") >= OFTEN).collect()
     seen = sorted((r[0] % 2**64, r[1]) for r in seen)
     shared = ship(spark, (np.array([r[0] for r in seen], np.uint64), np.array([r[1] for r in seen], np.int64)))
-    schema = "rid bigint, doc_id bigint, n bigint, fp bigint, parity binary, prefix array<bigint>, few array<bigint>"
+    schema = "rid bigint, doc_id bigint, n bigint, fp bigint, parity binary, short binary, prefix array<bigint>, few array<bigint>"
     return settle(docs.select("rid", "doc_id", "text").mapInArrow(_prefixes(shared, words, num, den), schema))
 
 
@@ -255,8 +277,15 @@ def _candidates(told: DataFrame, roots: DataFrame, num: int, den: int) -> DataFr
     grouped = told.select("rid", "prefix").join(roots, "rid", "left").select("rid", F.coalesce("root", "rid").alias("root"), "prefix")
     rows = grouped.select("rid", "root", F.posexplode("prefix").alias("pos", "s")).select("s", "rid", F.col("pos").cast("long").alias("pos"), "root")
     met = settle(rows.repartition("s").mapInArrow(_meeting, "s bigint, rid bigint, pos bigint, root bigint"))
-    known = met.join(told.select("rid", "n", "parity"), "rid").select("s", "rid", "pos", "n", "root", "parity").repartition("s")
-    return settle(known.mapInArrow(_pairing(num, den), "u bigint, v bigint").distinct())
+    known = met.join(told.select("rid", "n", "short"), "rid").select("s", "rid", "pos", "n", "root", "short").repartition("s").sortWithinPartitions("s")
+    return _filtered(told, settle(known.mapInArrow(_pairing(num, den), "u bigint, v bigint").distinct()), num, den)
+
+
+def _filtered(told: DataFrame, pairs: DataFrame, num: int, den: int) -> DataFrame:
+    """``u, v``: the pairs that sizes and whole bitmaps do not rule out."""
+    one, two = (told.select(F.col("rid").alias(a), F.col("n").alias(f"n{a}"), F.col("parity").alias(f"p{a}")) for a in ("u", "v"))
+    both = pairs.join(one, "u").join(two, "v").select("u", "v", "nu", "nv", "pu", "pv")
+    return settle(both.mapInArrow(_likely(num, den), "u bigint, v bigint"))
 
 
 def _first(told: DataFrame, num: int, den: int) -> DataFrame:
@@ -264,10 +293,7 @@ def _first(told: DataFrame, num: int, den: int) -> DataFrame:
     few = settle(told.select("rid", F.explode("few").alias("s")))
     least = few.groupBy("s").agg(F.min("rid").alias("u"), F.count("*").alias("c")).filter("c > 1").select("s", "u")
     stars = few.join(least, "s").filter("rid <> u").select("u", F.col("rid").alias("v"))
-    pairs = _balls(told).unionByName(stars).distinct()
-    one, two = (told.select(F.col("rid").alias(a), F.col("n").alias(f"n{a}"), F.col("parity").alias(f"p{a}")) for a in ("u", "v"))
-    both = pairs.join(one, "u").join(two, "v").select("u", "v", "nu", "nv", "pu", "pv")
-    return settle(both.mapInArrow(_likely(num, den), "u bigint, v bigint"))
+    return _filtered(told, _balls(told).unionByName(stars).distinct(), num, den)
 
 
 def similar_pairs(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 5, least: float = 0.8) -> DataFrame:
