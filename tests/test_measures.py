@@ -173,7 +173,7 @@ def test_jaccard_pairs_equal_brute_force(spark):
     chance = random.Random(2)
     words = [f"w{k}" for k in range(80)]
     rows = []
-    for _ in range(12):
+    for _ in range(24):
         base = chance.choices(words, k=chance.choice([3, 8, 40]))
         for _ in range(4):
             own = list(base)
