@@ -37,6 +37,8 @@ from ruleworld.sources.scratch import shared_dir
 HEADER = "<4sIIIIIII"
 MAGIC = b"RWB1"
 BLOCK_IDS, LANES, LANE_IDS = 1 << 21, 4096, 128
+#: Chunks in a generation of the encoder's memo: more than its default, for nothing else shares these workers.
+MEMO = 500_000
 TOTAL_BITS = 24
 FLOOR = 16
 _T = np.uint64(TOTAL_BITS)
@@ -69,7 +71,7 @@ class Mixer:
             self.right[0] += np.bincount(state[hit1 & ~hit2], minlength=256)
             self.fresh = []
         room = (1 << TOTAL_BITS) - FLOOR * self.size
-        freq = FLOOR + self.count * room // int(self.count.sum())
+        freq = FLOOR + (self.count * (room / int(self.count.sum()))).astype(np.int64)
         self.cum = np.zeros(self.size + 1, np.uint64)
         np.cumsum(freq, out=self.cum[1:])
         self.cum[-1] = 1 << TOTAL_BITS
@@ -105,7 +107,9 @@ class Mixer:
         x = np.where(v < self.m2, self.c2, self.c1).astype(np.int64)
         far = np.flatnonzero(v >= self.base)
         u = v[far] - self.base[far]
-        x[far] = np.searchsorted(self.cum, ((u + _ONE << _T) - _ONE) // self.rest[far], side="right") - 1
+        u = ((u + _ONE << _T) - _ONE) // self.rest[far]
+        order = np.argsort(u)  # in order, neighbouring searches read the same part of the table
+        x[far[order]] = np.searchsorted(self.cum, u[order], side="right") - 1
         return x
 
     def learn(self, x: np.ndarray) -> None:
@@ -218,7 +222,7 @@ def _writing(where: str, vocabulary: str, end_id: int, block_ids: int, roll: int
         from pyspark import TaskContext
 
         part, turn, docs, total, size = TaskContext.get().partitionId(), 0, 0, 0, 0
-        encoder, end = shared_encoder(vocabulary), np.array([end_id], "<u4").tobytes()
+        encoder, end = shared_encoder(vocabulary, MEMO), np.array([end_id], "<u4").tobytes()
         store, out, held, filled, runs = Store(where), None, [], 0, []
 
         def put():

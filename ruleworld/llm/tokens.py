@@ -42,11 +42,12 @@ def byte_letters() -> dict[int, int]:
     return {b: 256 + k for k, b in enumerate(hidden)}
 
 
-def encoder(vocabulary: str) -> Encoder:
+def encoder(vocabulary: str, memo: int = 300_000) -> Encoder:
     """This process's encoder of a vocabulary: a worker keeps its memo from task to task."""
     kept = sys.__dict__.setdefault("_ruleworld_encoders", {})
     if vocabulary not in kept:
         kept[vocabulary] = Encoder(vocabulary)
+    kept[vocabulary].limit = memo
     return kept[vocabulary]
 
 
