@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ruleworld.llm.ship import landed, ship
+from ruleworld.llm.ship import landed, portions, ship
 from ruleworld.llm.sift import numbered, without
 from ruleworld.llm.tokens import forget
 from ruleworld.sources.scratch import settle
@@ -256,7 +256,7 @@ def _cleaning(shared, at: int, chars: int | None, limit: float):
     def run(batches):
         forget()
         machine = landed(shared)
-        for b in batches:
+        for b in portions(batches):
             keep, texts, lengths = [], [], b.column(chars).to_pylist() if chars is not None else None
             for k, text in enumerate(b.column(at).to_pylist()):
                 words = words_of(text)

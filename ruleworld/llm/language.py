@@ -24,7 +24,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ruleworld.llm.tokens import forget
-from ruleworld.llm.ship import landed, ship
+from ruleworld.llm.ship import landed, portions, ship
 
 BUCKETS = 1 << 12
 UNKNOWN = "und"
@@ -156,7 +156,7 @@ def _predicting(shared, at: int):
     def run(batches):
         forget()
         model, letters = landed(shared), letter_table()
-        for b in batches:
+        for b in portions(batches):
             texts, k = b.column(at).to_pylist(), 0
             langs, scores, gone = [], [], []
             while k < len(texts):

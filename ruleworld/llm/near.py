@@ -26,7 +26,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ruleworld.llm.ship import landed, ship
+from ruleworld.llm.ship import landed, portions, ship
 from ruleworld.llm.sift import bitmap, maybe_in, numbered, without
 from ruleworld.llm.simhash import ball_links, majority
 from ruleworld.llm.tokens import forget
@@ -106,7 +106,7 @@ def _telling(words: int):
 
     def run(batches):
         forget()
-        for b in batches:
+        for b in portions(batches):
             yield pa.RecordBatch.from_arrays([b.column(0), _lists([word_runs(t, words) for t in b.column(1).to_pylist()])], names=["rid", "runs"])
 
     return run
@@ -119,7 +119,7 @@ def _prefixes(shared, words: int, num: int, den: int):
     def run(batches):
         forget()
         often, level = landed(shared)
-        for b in batches:
+        for b in portions(batches):
             n, bits, short, fps, heads, few = [], [], [], [], [], []
             for t in b.column(2).to_pylist():
                 runs = word_runs(t, words)
@@ -228,7 +228,7 @@ def _likely(num: int, den: int):
 
 def _verified(num: int, den: int):
     def run(batches):
-        for b in batches:
+        for b in portions(batches):
             sides = [(c.offsets.to_numpy(), c.values.to_numpy()) for c in (b.column(2), b.column(3))]
             same = np.zeros(b.num_rows, np.int64)
             whole = np.zeros(b.num_rows, np.int64)

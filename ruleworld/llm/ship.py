@@ -17,3 +17,10 @@ def landed(shared):
         shared._unpacked = pickle.loads(shared.value)
         shared.__dict__.pop("_value", None)  # the packed bytes
     return shared._unpacked
+
+
+def portions(batches, rows: int = 1000):
+    """Batches in slices, so that a task holds the texts of a few rows as objects at a time."""
+    for b in batches:
+        for k in range(0, b.num_rows, rows):
+            yield b.slice(k, rows)
