@@ -19,6 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ruleworld.llm.ship import portions, trim
 from ruleworld.llm.sift import numbered
 from ruleworld.llm.tokens import encoder as shared_encoder
 
@@ -66,8 +67,9 @@ def _cutting(vocabulary: str, end_id: int, capacity: int):
     """``doc_id, pack_group, text`` become ``PIECE, pack_group``."""
 
     def cut(batches):
+        trim()
         encoder, end = shared_encoder(vocabulary), np.array([end_id], "<u4").tobytes()
-        for b in batches:
+        for b in portions(batches, 2000):
             rows = []
             for doc, group, ids in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), encoder.stream(b.column(2).to_pylist()), strict=True):
                 ids += end

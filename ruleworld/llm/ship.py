@@ -2,8 +2,10 @@
 
 from __future__ import annotations
 
+import ctypes
 import pickle
 
+import pyarrow as pa
 from pyspark import cloudpickle
 
 
@@ -24,3 +26,11 @@ def portions(batches, rows: int = 1000):
     for b in batches:
         for k in range(0, b.num_rows, rows):
             yield b.slice(k, rows)
+
+
+def trim() -> None:
+    """Give freed memory back to the system: a worker goes from stage to stage, and allocators keep what the last one freed."""
+    pa.default_memory_pool().release_unused()
+    give = getattr(ctypes.CDLL(None), "malloc_trim", None)  # glibc's
+    if give:
+        give(0)

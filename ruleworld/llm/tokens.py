@@ -23,6 +23,8 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 
+from ruleworld.llm.ship import trim
+
 _CUT = re.compile(r" (?=\S)")
 #: First characters that are surely no white space.
 _SURE = r"^[!-~\x{A1}-\x{24F}]"
@@ -62,6 +64,7 @@ def encoder(vocabulary: str, memo: int = 300_000) -> Encoder:
 def forget() -> None:
     """Drop this process's encoders: a worker that turns to other work gives their memory back."""
     sys.__dict__.pop("_ruleworld_encoders", None)
+    trim()
 
 
 def gathered(flat: np.ndarray, size: np.ndarray, codes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
