@@ -3,7 +3,7 @@
 Documents are tokenized at the scan and cut into pieces of a sequence's length and a rest. Documents go to groups by a
 hash of their row's place, and each group is packed on its own: pieces by falling length, each into the first
 sequence with room, found in a tree that holds the largest room of every subtree. Groups have a few thousand
-documents at any corpus size, whatever ids are null or repeated. Only piece records are shuffled, never texts or ids.
+documents at any corpus size, whatever ids are null or repeated. Only piece records are written and shuffled, never texts or ids.
 
 Edge cases: a null or empty text is the end id alone; a null id is kept; repeated rows are packed each for itself;
 ties in length go by id, start and checksum, so a retry packs alike; the same rows in other files are dealt to other
@@ -19,10 +19,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ruleworld.llm.ship import portions, trim
+from ruleworld.llm.ship import portions, small_batches, trim
 from ruleworld.llm.sift import numbered
 from ruleworld.llm.tokens import encoder as shared_encoder
+from ruleworld.sources.scratch import settle
 
+#: Words that a worker's encoder remembers, in each of two generations: a third of what one that does nothing else may.
+MEMO = 100_000
 PIECE = "doc_id bigint, start bigint, length bigint, ids_crc32 bigint, doc_tokens bigint"
 _NAMES = [x.split()[0] for x in PIECE.split(", ")]
 
@@ -68,7 +71,7 @@ def _cutting(vocabulary: str, end_id: int, capacity: int):
 
     def cut(batches):
         trim()
-        encoder, end = shared_encoder(vocabulary), np.array([end_id], "<u4").tobytes()
+        encoder, end = shared_encoder(vocabulary, MEMO), np.array([end_id], "<u4").tobytes()
         for b in portions(batches, 2000):
             rows = []
             for doc, group, ids in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), encoder.stream(b.column(2).to_pylist()), strict=True):
@@ -107,7 +110,8 @@ def pack(docs: DataFrame, vocabulary: str = "byte_bpe_50k.json", end_id: int = 1
     itself where that is a power of two.
     """
     groups = max(1, -(-docs.count() // group_docs))
-    dealt = pieces(docs, vocabulary, end_id, capacity, groups, seed, id_col, text_col)
+    with small_batches(docs.sparkSession):  # settled here, so that the whole texts are read under that setting
+        dealt = settle(pieces(docs, vocabulary, end_id, capacity, groups, seed, id_col, text_col))
     return dealt.groupBy("pack_group").applyInArrow(_padding(_packing(capacity), capacity), PIECE + ", sequence_id bigint, offset bigint, sequence_tokens bigint, padded_to bigint")
 
 

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import ctypes
 import pickle
+from contextlib import contextmanager
 
 import pyarrow as pa
 from pyspark import cloudpickle
@@ -28,6 +29,18 @@ def portions(batches, rows: int = 1000):
             yield b.slice(k, rows)
 
 
+@contextmanager
+def small_batches(spark, rows: int = 1000):
+    """What is written meanwhile goes to Python workers in batches of so many rows; the session's own setting comes back then."""
+    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    own = spark.conf.get(name)
+    spark.conf.set(name, rows)
+    try:
+        yield
+    finally:
+        spark.conf.set(name, own)
+
+
 def trim() -> None:
     """Give freed memory back to the system: a worker goes from stage to stage, and allocators keep what the last one freed."""
     pa.default_memory_pool().release_unused()
