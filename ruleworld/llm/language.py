@@ -84,8 +84,11 @@ class CentroidModel:
     nearest: np.ndarray  # smallest cosine a language accepts, by the power of two of the buckets that a text fills
 
     def vectors(self, counts: np.ndarray) -> np.ndarray:
-        v = np.log1p(counts).astype(np.float32) * self.idf
-        return v / np.maximum(np.linalg.norm(v, axis=1, keepdims=True), 1e-9)
+        out = np.empty(counts.shape, np.float32)
+        for k in range(0, len(counts), 256):
+            v = np.log1p(counts[k : k + 256]).astype(np.float32) * self.idf
+            out[k : k + 256] = v / np.maximum(np.linalg.norm(v, axis=1, keepdims=True), 1e-9)
+        return out
 
     def predict(self, texts: list[str | None], letters: np.ndarray):
         counts, has = gram_rows(texts, letters, len(self.idf))
@@ -98,13 +101,22 @@ class CentroidModel:
         return [self.names[self.owner[b]] if ok else UNKNOWN for b, ok in zip(best, has, strict=True)], score, rejected
 
 
+def _small_rows(texts: list[str], letters: np.ndarray, buckets: int) -> tuple[np.ndarray, np.ndarray]:
+    """``gram_rows`` of many texts, a few at a time, in half the width."""
+    parts = [(np.zeros((0, buckets), np.int32), np.zeros(0, bool))]
+    for k in range(0, len(texts), 64):
+        counts, has = gram_rows(texts[k : k + 64], letters, buckets)
+        parts.append((counts.astype(np.int32), has))
+    return np.concatenate([p[0] for p in parts]), np.concatenate([p[1] for p in parts])
+
+
 def fit_centroids(rows: list[tuple[str, str]], each: int = 3, buckets: int = BUCKETS, margin: float = 0.5, low: float = 0.01, rounds: int = 12, seed: int = 11) -> CentroidModel:
     letters = letter_table()
     rows = sorted(rows)
     names = sorted({lang for lang, _ in rows})
     if not names:
         return CentroidModel([], np.ones(buckets, np.float32), np.zeros((0, buckets), np.float32), np.zeros(0, int), np.zeros((0, 0)))
-    counts = np.concatenate([gram_rows([t for _, t in rows[k : k + 64]], letters, buckets)[0] for k in range(0, len(rows), 64)])
+    counts = _small_rows([t for _, t in rows], letters, buckets)[0]
     idf = (np.log((1 + len(rows)) / (1 + (counts > 0).sum(axis=0))) + 1).astype(np.float32)
     model = CentroidModel(names, idf, np.zeros((0, buckets), np.float32), np.zeros(0, int), np.zeros((len(names), buckets.bit_length())))
     v, label = model.vectors(counts), np.array([names.index(lang) for lang, _ in rows])
@@ -120,7 +132,7 @@ def fit_centroids(rows: list[tuple[str, str]], each: int = 3, buckets: int = BUC
         owner += [k] * len(centre)
         texts = [t for lang, t in rows if lang == names[k]]
         short = [t.strip()[:n] for t in texts[:: -(-len(texts) // CUT_TEXTS)] for n in CUTS]
-        some, lettered = gram_rows(short, letters, buckets)
+        some, lettered = _small_rows(short, letters, buckets)
         seen = np.concatenate([counts[label == k], some[lettered]])
         cos, size = (model.vectors(seen) @ centre.T).max(axis=1), fills(seen)
         for j in range(buckets.bit_length()):
